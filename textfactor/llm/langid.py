@@ -22,13 +22,13 @@ from pyspark.sql import functions as F
 UND = "und"
 
 
-def train_dictionaries(labelled: DataFrame, sample_docs: int = 150, dictionary_bytes: int = 112_000) -> dict[str, bytes]:
+def train_dictionaries(labelled: DataFrame, sample_docs: int = 600, dictionary_bytes: int = 400_000) -> dict[str, bytes]:
     """labelled: (doc_id, text, lang). One raw-content dictionary per language, the most typical texts last since near offsets are cheapest."""
     usable = labelled.where("lang is not null and text rlike '\\\\p{L}'")
     odd = F.when(F.length("text").between(200, 4000), 0).otherwise(1)
     order = Window.partitionBy("lang").orderBy("odd", "h", "doc_id")
     sample = (
-        usable.select("lang", "doc_id", odd.alias("odd"), F.xxhash64(F.col("doc_id").cast("string")).alias("h"), F.left("text", F.lit(4000)).alias("text"))
+        usable.select("lang", "doc_id", odd.alias("odd"), F.xxhash64(F.col("doc_id").cast("string")).alias("h"), F.lower(F.left("text", F.lit(4000))).alias("text"))
         .withColumn("k", F.row_number().over(order))
         .where(F.col("k") <= sample_docs)  # limited before the shuffle too (WindowGroupLimit)
     )
@@ -48,34 +48,46 @@ def train_dictionaries(labelled: DataFrame, sample_docs: int = 150, dictionary_b
 
 
 class CompressionClassifier:
-    def __init__(self, dictionaries: dict[str, bytes], level: int = 3):
-        self.parts = []
-        for lang in sorted(dictionaries, key=lambda x: (-len(dictionaries[x]), x)):
-            data = zstandard.ZstdCompressionDict(dictionaries[lang], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
-            data.precompute_compress(level=level)
-            params = zstandard.ZstdCompressor(level=level, dict_data=data, write_content_size=False, write_dict_id=False, write_checksum=False)
-            self.parts.append((lang, params.compress))
+    """Lower-cased texts; while the margin is under `close` bytes, the sizes of the next of the `finer` levels are added."""
+
+    def __init__(self, dictionaries: dict[str, bytes], level: int = 6, finer: tuple[int, ...] = (13, 9, 3), close: int = 4):
+        self.close, self.langs = close, sorted(dictionaries, key=lambda x: (-len(dictionaries[x]), x))
+        self.coders = [[self._coder(dictionaries[lang], k) for lang in self.langs] for k in (level, *finer)]
+
+    @staticmethod
+    def _coder(raw: bytes, level: int):
+        data = zstandard.ZstdCompressionDict(raw, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        data.precompute_compress(level=level)
+        return zstandard.ZstdCompressor(level=level, dict_data=data, write_content_size=False, write_dict_id=False, write_checksum=False).compress
 
     def classify(self, text: str | None) -> tuple[str, int, float]:
         """(language, margin in bytes, relative margin 0..1)"""
-        if not self.parts or not text or not any(map(str.isalpha, text)):
+        if not self.langs or not text or not any(map(str.isalpha, text)):
             return UND, 0, 0.0
-        raw = text.encode()
-        sizes = [(len(compress(raw)), k) for k, (_, compress) in enumerate(self.parts)]
-        sizes.sort()
-        best, k = sizes[0]
-        margin = sizes[1][0] - best if len(sizes) > 1 else best
-        return self.parts[k][0], margin, min(1.0, margin / max(1, best + margin))
+        raw = text.lower().encode()
+        sizes = [len(compress(raw)) for compress in self.coders[0]]
+        best, margin = self._best(sizes)
+        for coders in self.coders[1:]:
+            if margin >= self.close:
+                break
+            sizes = [s + len(compress(raw)) for s, compress in zip(sizes, coders, strict=True)]
+            best, margin = self._best(sizes)
+        return self.langs[best], margin, margin / max(1, sizes[best] + margin)
+
+    @staticmethod
+    def _best(sizes: list[int]) -> tuple[int, int]:
+        low, k = min((s, k) for k, s in enumerate(sizes))
+        return k, min((s for j, s in enumerate(sizes) if j != k), default=2 * low) - low
 
 
-def classify(docs: DataFrame, dictionaries: dict[str, bytes], min_margin: int = 1, level: int = 3) -> DataFrame:
+def classify(docs: DataFrame, dictionaries: dict[str, bytes], min_margin: int = 1) -> DataFrame:
     """docs with lang_pred, margin, score, accepted added; only text is looked at. A map without shuffle."""
     names = docs.columns
     sent = docs.sparkSession.sparkContext.broadcast(dictionaries)  # languages * dictionary_bytes
     schema = docs.schema.simpleString()[len("struct<") : -1] + ",lang_pred:string,margin:bigint,score:double,accepted:boolean"
 
     def predict(batches):
-        model = CompressionClassifier(sent.value, level)
+        model = CompressionClassifier(sent.value)
         for batch in batches:
             found = [model.classify(x) for x in batch.column("text").to_pylist()]
             lang, margin, score = zip(*found, strict=True) if found else ((), (), ())
