@@ -13,7 +13,9 @@ stays fixed if executors are lost since pass two reads the committed table.
 from __future__ import annotations
 
 import os
+import re
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -28,6 +30,35 @@ SEPARATOR = 1
 PIECE_SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
+# Chunks of these symbols alone are cut here as the tokenizer's own pattern cuts them: letters, single digits,
+# other symbols in runs. Apostrophes (contractions), "<" (special strings) and all further symbols go to the library whole.
+PLAIN = re.compile(r"[!-&(-;=-~\u00c0-\u012f\u0131-\u024f]+")
+PARTS = re.compile(r"[^\W\d_]+|[0-9]|(?:[^\w]|_)+")
+
+
+def byte_symbols() -> list[str]:
+    """The byte-level alphabet: printable Latin-1 bytes stand for themselves, the others follow from 256 on."""
+    shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in set(shown)]
+    table = {b: chr(b) for b in shown} | {b: chr(256 + k) for k, b in enumerate(rest)}
+    return [table[b] for b in range(256)]
+
+
+class WordIds(dict):
+    """Memo from one pre-token (lower case) to its merged ids as bytes."""
+
+    def __init__(self, tokenizer):
+        super().__init__()
+        self.merge = tokenizer.model.tokenize
+        self.symbols = byte_symbols()
+        self.code = "H" if tokenizer.get_vocab_size(with_added_tokens=True) <= 1 << 16 else "I"
+
+    def __missing__(self, word: str) -> bytes:
+        raw = word if word.isascii() else "".join([self.symbols[b] for b in word.encode()])
+        value = self[word] = array(self.code, [t.id for t in self.merge(raw)]).tobytes()
+        return value
+
+
 class ChunkIds(dict):
     """Memo from a chunk between ASCII white space to its ids; this tokenizer drops white space, so chunks are independent."""
 
@@ -37,41 +68,49 @@ class ChunkIds(dict):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(tokenizer_path)
-        self.dtype = np.dtype("<u2") if self.tokenizer.get_vocab_size(with_added_tokens=True) <= 1 << 16 else np.dtype("<u4")
-        self.limit = limit
-        self.encode_all = getattr(self.tokenizer, "encode_batch_fast", self.tokenizer.encode_batch)
-
-    def learn(self, chunks: set[bytes]) -> None:
-        if len(self) > self.limit:
-            self.clear()
-        new = [c for c in chunks if c not in self]
-        for at in range(0, len(new), 20_000):
-            some = new[at : at + 20_000]
-            for chunk, enc in zip(some, self.encode_all([c.decode() for c in some], add_special_tokens=False), strict=True):
-                self[chunk] = np.array(enc.ids, self.dtype).tobytes()
-
-    def ids(self, texts: list[bytes | None], end: bytes) -> list[bytes]:
-        split = [x.split() if x else [] for x in texts]
-        out = []
-        for at in range(0, len(split), 500):  # a few hundred texts at a time bound the chunks held besides the memo
-            some = split[at : at + 500]
-            self.learn({c for s in some for c in s})
-            out += [b"".join(map(self.__getitem__, s)) + end for s in some]
+        self.words, self.limit = WordIds(self.tokenizer), limit
+        self.code = self.words.code
+        self.width = array(self.code).itemsize
+
+    def __missing__(self, chunk: bytes) -> bytes:
+        text = chunk.decode()
+        if PLAIN.fullmatch(text):
+            value = b"".join(map(self.words.__getitem__, PARTS.findall(text.lower())))
+        else:
+            value = array(self.code, self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
+        self[chunk] = value
+        return value
+
+    def ids(self, text: bytes | None) -> bytes:
+        out = b"".join(map(self.__getitem__, text.split())) if text else b""
+        for memo in (self, self.words):
+            if len(memo) > self.limit:
+                memo.clear()
         return out
 
 
+_memos: dict[str, ChunkIds] = {}
+
+
+def memo_of(tokenizer_path: str) -> ChunkIds:
+    """One bounded memo for each worker process, kept from task to task."""
+    if tokenizer_path not in _memos:
+        _memos[tokenizer_path] = ChunkIds(tokenizer_path)
+    return _memos[tokenizer_path]
+
+
 def tokenized(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", separator: int = SEPARATOR) -> DataFrame:
     """(doc_id, ids binary, n_tokens, part, at): `at` counts the tokens before the document in its partition."""
     kept = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"), F.spark_partition_id().alias("part"))
 
     def encode(batches):
-        memo, at = ChunkIds(tokenizer_path), 0
-        end, width = np.array([separator], memo.dtype).tobytes(), memo.dtype.itemsize
+        memo, at = memo_of(tokenizer_path), 0
+        end = array(memo.code, [separator]).tobytes()
         for whole in batches:
-            for low in range(0, whole.num_rows, 2000):
-                batch = whole.slice(low, 2000)
-                ids = memo.ids(batch.column("text").to_pylist(), end)
-                n = np.fromiter((len(x) // width for x in ids), np.int64, len(ids))
+            for low in range(0, whole.num_rows, 1000):
+                batch = whole.slice(low, 1000)
+                ids = [memo.ids(x.as_py()) + end for x in batch.column("text")]
+                n = np.fromiter((len(x) // memo.width for x in ids), np.int64, len(ids))
                 before = at + np.cumsum(n) - n
                 at += int(n.sum())
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(ids, pa.binary()), pa.array(n), batch.column("part"), pa.array(before)], ["doc_id", "ids", "n_tokens", "part", "at"])
@@ -87,7 +126,7 @@ def pack(docs: DataFrame, tokenizer_path: str, window: int = 2048, id_col: str =
     sums = np.cumsum([0] + [r.n for r in totals])
     bases = spark.createDataFrame([(r.part, int(b)) for r, b in zip(totals, sums, strict=False)], "part int, base long")
     # ids were written by one tokenizer: their width follows from the vocabulary
-    width = ChunkIds(tokenizer_path).dtype.itemsize
+    width = memo_of(tokenizer_path).width
 
     def cut(batches):
         for batch in batches:
