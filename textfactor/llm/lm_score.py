@@ -187,7 +187,7 @@ def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_filter
                 yield pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([len(c)], pa.int64()), pa.array([int(c.sum())], pa.int64()), pa.array([per_level.tolist()], pa.list_(pa.int64()))], ["kind", "n", "total", "per_level"])
 
     n = {1: [0, 0, np.zeros(65, np.int64)], 2: [0, 0, np.zeros(65, np.int64)]}
-    for r in counts.mapInArrow(facts, "kind int, n long, total long, per_level array<bigint>").toLocalIterator():  # two rows a shard
+    for r in counts.mapInArrow(facts, "kind int, n long, total long, per_level array<bigint>").collect():  # two rows a shard
         n[r.kind][0] += r.n
         n[r.kind][1] += r.total
         n[r.kind][2] += np.array(r.per_level)
@@ -196,12 +196,12 @@ def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_filter
     entries = lambda low: int((n[1][2] * levels).sum() + (n[2][2] * levels)[low:].sum())
     while lowest < 64 and entries(lowest) * bits // 8 > max_filter_bytes:
         lowest += 1
-    rows = [(r.shard, r.size, bytes(r.cells)) for r in build_filters(counts, bits, probes, 1 << (lowest - 1)).toLocalIterator()]
+    rows = [(r.shard, r.size, bytes(r.cells)) for r in build_filters(counts, bits, probes, 1 << (lowest - 1)).collect()]
     held = spark.sparkContext.broadcast(LogFrequencyFilter(rows, shards, probes))
     exact = None
     unigrams = counts.where("kind = 1").select("keys", "counts")
     if distinct * 16 <= max_table_bytes:
-        pairs = [(np.frombuffer(bytes(r["keys"]), np.uint64), np.frombuffer(bytes(r["counts"]), np.uint64)) for r in unigrams.toLocalIterator()]
+        pairs = [(np.frombuffer(bytes(r["keys"]), np.uint64), np.frombuffer(bytes(r["counts"]), np.uint64)) for r in unigrams.collect()]
         keys = np.concatenate([k for k, _ in pairs]) if pairs else np.empty(0, np.uint64)
         values = np.concatenate([c for _, c in pairs]) if pairs else np.empty(0, np.uint64)
         order = np.argsort(keys)
