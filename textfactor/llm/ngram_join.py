@@ -5,8 +5,9 @@
 2. A total order (sketch count, hash) puts rare shingles first. Two sets with Jaccard >= t share a shingle among the first
    n - ceil(t n) + 1 of both. A second pass emits those prefixes as blobs by shard; a shard keeps tokens that
    at least two classes hold. Tokens that the sketch shows as very frequent are dealt by class, so that no shard holds a hot token.
-3. Candidates: per token every class meets one hub class (two rounds, the second with a hub drawn per token); verified links merge
-   components, and the last round takes all pairs that are still in different components. So a group of thousands of
+3. Candidates: per token every class meets one hub class, the one whose shingles are the most frequent (the centre of a group of near
+   copies), then the most central class outside the first hub's component; verified links merge components, and the last round takes all
+   pairs that are still in different components. So a group of thousands of
    near copies costs a multiple of its size, and no pair that could join two components is left out. Length, positional and
    suffix (counts over hash ranges) filters come before the sets are fetched, and each pair is verified once.
 4. Components by alternating large-star and small-star steps on tables.
@@ -110,7 +111,7 @@ def read_sketch(rows: DataFrame) -> np.ndarray:
 
     shares = rows.where("block is not null").select("block", "counts").repartition(SKETCH_BLOCKS, "block")
     out = np.zeros((SKETCH_BLOCKS, (1 << SKETCH_BITS) // SKETCH_BLOCKS), np.uint32)
-    for r in shares.mapInArrow(add, "block int, counts binary").toLocalIterator():
+    for r in shares.mapInArrow(add, "block int, counts binary").collect():
         out[r.block] = np.frombuffer(bytes(r.counts), np.uint32)
     return out.reshape(-1)
 
@@ -124,14 +125,14 @@ def shared_prefixes(docs: DataFrame, sketch: np.ndarray, size: int, percent: int
         counts = sent.value
 
         def flush():
-            token, sig, n, pos, frequent = (np.concatenate(x) for x in zip(*held, strict=True))
+            token, sig, n, pos, central, frequent = (np.concatenate(x) for x in zip(*held, strict=True))
             shard = (mix64(np.where(frequent, sig, token)) % np.uint64(shards)).astype(np.int64) * 2 + frequent
             order = np.argsort(shard, kind="stable")
-            token, sig, n, pos, shard = (x[order] for x in (token, sig, n, pos, shard))
+            token, sig, n, pos, central, shard = (x[order] for x in (token, sig, n, pos, central, shard))
             first = np.flatnonzero(np.r_[True, shard[1:] != shard[:-1]])
             ends = np.r_[first[1:], len(shard)]
-            blobs = [pa.array([x[a:b].tobytes() for a, b in zip(first, ends, strict=True)], pa.binary()) for x in (token, sig, n, pos)]
-            return pa.RecordBatch.from_arrays([pa.array(shard[first] // 2), pa.array(shard[first] % 2 == 1), *blobs], ["shard", "frequent", "token", "sig", "n", "pos"])
+            blobs = [pa.array([x[a:b].tobytes() for a, b in zip(first, ends, strict=True)], pa.binary()) for x in (token, sig, n, pos, central)]
+            return pa.RecordBatch.from_arrays([pa.array(shard[first] // 2), pa.array(shard[first] % 2 == 1), *blobs], ["shard", "frequent", "token", "sig", "n", "pos", "central"])
 
         for batch in _slices(batches):
             for text in batch.column("text").to_pylist():
@@ -141,7 +142,7 @@ def shared_prefixes(docs: DataFrame, sketch: np.ndarray, size: int, percent: int
                 p = prefix_length(len(s), percent)
                 c = counts[bucket_of(s)]
                 order = np.lexsort((s, c))[:p]
-                held.append((s[order], np.full(p, xxhash.xxh3_64_intdigest(s), np.uint64), np.full(p, len(s), np.uint32), np.arange(p, dtype=np.uint32), c[order] >= hot))
+                held.append((s[order], np.full(p, xxhash.xxh3_64_intdigest(s), np.uint64), np.full(p, len(s), np.uint32), np.arange(p, dtype=np.uint32), np.full(p, 1000 * np.log2(1.0 + c).mean(), np.uint32), c[order] >= hot))
                 rows += p
                 if rows > 1_500_000:
                     yield flush()
@@ -152,19 +153,19 @@ def shared_prefixes(docs: DataFrame, sketch: np.ndarray, size: int, percent: int
 
     def reduce(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
         column = lambda name, kind: np.frombuffer(b"".join(table.column(name).to_pylist()), kind)
-        token, sig, n, pos = column("token", np.uint64), column("sig", np.uint64), column("n", np.uint32), column("pos", np.uint32)
+        token, sig, n, pos, central = column("token", np.uint64), column("sig", np.uint64), column("n", np.uint32), column("pos", np.uint32), column("central", np.uint32)
         order = np.lexsort((n, sig, token))
-        token, sig, n, pos = (x[order] for x in (token, sig, n, pos))
+        token, sig, n, pos, central = (x[order] for x in (token, sig, n, pos, central))
         new = np.r_[True, (token[1:] != token[:-1]) | (sig[1:] != sig[:-1]) | (n[1:] != n[:-1])] if len(token) else np.empty(0, bool)
-        token, sig, n, pos = (x[new] for x in (token, sig, n, pos))
+        token, sig, n, pos, central = (x[new] for x in (token, sig, n, pos, central))
         if not key[1].as_py() and len(token):
             same = token[1:] == token[:-1]
             keep = np.r_[same, False] | np.r_[False, same]
-            token, sig, n, pos = (x[keep] for x in (token, sig, n, pos))
-        return pa.table({"token": token.view(np.int64), "sig": sig.view(np.int64), "n": n.astype(np.int32), "pos": pos.astype(np.int32)})
+            token, sig, n, pos, central = (x[keep] for x in (token, sig, n, pos, central))
+        return pa.table({"token": token.view(np.int64), "sig": sig.view(np.int64), "n": n.astype(np.int32), "pos": pos.astype(np.int32), "central": central.astype(np.int32)})
 
-    blobs = _texts(docs).mapInArrow(emit, "shard long, frequent boolean, token binary, sig binary, n binary, pos binary")
-    return blobs.groupBy("shard", "frequent").applyInArrow(reduce, "token long, sig long, n int, pos int")
+    blobs = _texts(docs).mapInArrow(emit, "shard long, frequent boolean, token binary, sig binary, n binary, pos binary, central binary")
+    return blobs.groupBy("shard", "frequent").applyInArrow(reduce, "token long, sig long, n int, pos int, central int")
 
 
 def fetch_sets(docs: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
@@ -184,7 +185,7 @@ def fetch_sets(docs: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
     bloom = np.zeros((1 << bits) // 8, np.uint8)
     bytes_set = wanted.mapInArrow(place, "block long, at long, bits long").groupBy("block", "at").agg(F.bit_or("bits").alias("bits"))
     packed = bytes_set.groupBy("block").agg(F.collect_list(F.struct("at", "bits")).alias("cells"))  # at most 4096 cells a block
-    for r in packed.toLocalIterator():
+    for r in packed.collect():
         bloom[[c["at"] for c in r.cells]] = [c["bits"] for c in r.cells]
     sent = spark.sparkContext.broadcast(bloom)
 
@@ -243,7 +244,7 @@ def components(edges: DataFrame, scratch: Scratch, name: str) -> DataFrame:
     return now.select(F.col("u").alias("id"), F.col("v").alias("comp")).union(now.select(F.col("v").alias("id"), F.col("v").alias("comp")).distinct())
 
 
-def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, hot: int = 20_000, shard_rows: int = 1_000_000) -> tuple[DataFrame, DataFrame]:
+def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, hot: int = 20_000, shard_rows: int = 250_000) -> tuple[DataFrame, DataFrame]:
     """(documents, links): rows (doc_id, n_shingles, class_id, component_id), and verified links between class representatives."""
     scratch = Scratch(docs.sparkSession, "ngrams")
     docs = docs.select("doc_id", "text")
@@ -253,7 +254,7 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, hot: int
     classes = scratch.write(members.where("n > 0").groupBy("sig", "n").agg(F.min("doc_id").alias("id"), F.first("parts").alias("parts")), "classes")
     total = members.agg(F.sum(F.col("n") * F.lit((100 - percent) / 100) + 1)).first()[0] or 0
     tokens = shared_prefixes(docs, sketch, size, percent, max(32, int(total // shard_rows)), hot)
-    tokens = scratch.write(tokens.join(classes.select("sig", "n", "id"), ["sig", "n"]).where("id is not null").select("token", "id", "n", "pos"), "tokens")
+    tokens = scratch.write(tokens.join(classes.select("sig", "n", "id"), ["sig", "n"]).where("id is not null").select("token", "id", "n", "pos", "central"), "tokens")
     parts = classes.select("id", "parts")
 
     def usable(pairs: DataFrame) -> DataFrame:
@@ -270,8 +271,9 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, hot: int
         here = tokens if comp is None else tokens.join(comp, "id", "left").withColumn("comp", F.coalesce("comp", "id"))
         here = here.withColumn("comp", F.col("id")) if comp is None else here
         if k < 2:
-            rank = F.struct((F.xxhash64("id") if k == 0 else F.xxhash64("token", "id")).alias("h"), "id")
-            hub = here.groupBy("token").agg(F.min_by(F.struct("id", "n", "pos", "comp"), rank).alias("hub"), F.min("comp").alias("c1"), F.max("comp").alias("c2")).where("c1 <> c2")
+            best = F.min_by(F.struct("id", "n", "pos", "comp"), F.struct((-F.col("central")).alias("c"), "id")).alias("hub")
+            mixed = here.groupBy("token").agg(best, F.min("comp").alias("c1"), F.max("comp").alias("c2")).where("c1 <> c2")
+            hub = mixed if k == 0 else here.join(mixed.select("token", F.col("hub.comp").alias("first")), "token").where("comp <> first").groupBy("token").agg(best)
             met = here.join(hub.select("token", F.col("hub.id").alias("hub_id"), F.col("hub.n").alias("hub_n"), F.col("hub.pos").alias("hub_pos"), F.col("hub.comp").alias("hub_comp")), "token").where("comp <> hub_comp")
         else:
             mixed = here.groupBy("token").agg(F.min("comp").alias("c1"), F.max("comp").alias("c2")).where("c1 <> c2").select("token")
