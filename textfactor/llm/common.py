@@ -1,4 +1,4 @@
-"""Shared helpers of the training-data operators: tables, scratch space, word hashing.
+"""Shared helpers of the training-data operators: tables, scratch space, word keys.
 
 Every intermediate that must outlive a job is a Parquet table below the shared folder that the
 session names in ``spark.checkpoint.dir``; nothing is kept on an executor's own disk.
@@ -11,8 +11,8 @@ import tempfile
 import uuid
 
 import numpy as np
-import xxhash
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _own_dirs: dict[str, str] = {}
 
@@ -40,10 +40,23 @@ def _remove(spark: SparkSession, path: str) -> None:
         pass
 
 
+ARROW_BYTES = 8 << 20
+
+
+def bound_batches(spark: SparkSession) -> None:
+    """Keeps Arrow batches to a few MB whatever a row weighs; a runtime setting, only ever lowered."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = spark.conf.get(key, None)
+    size = int(now.rstrip("b")) if now and now.rstrip("b").isdigit() else None
+    if size is None or size > ARROW_BYTES:
+        spark.conf.set(key, f"{ARROW_BYTES}b")
+
+
 class Scratch:
     """Written intermediates of one operator call, removed when the interpreter ends or on close()."""
 
     def __init__(self, spark: SparkSession, operator: str):
+        bound_batches(spark)
         self.spark = spark
         self.root = f"{shared_dir(spark)}/textfactor-{operator}-{uuid.uuid4().hex[:12]}"
         atexit.register(_remove, spark, self.root)
@@ -61,23 +74,87 @@ class Scratch:
         _remove(self.spark, self.root)
 
 
-class WordHashes(dict):
-    """Memo from a word's bytes to a 64-bit fingerprint; trim() bounds it between batches."""
-
-    def __init__(self, seed: int = 0, limit: int = 500_000):
-        super().__init__()
-        self.seed, self.limit = seed, limit
-
-    def __missing__(self, word: bytes) -> int:
-        value = self[word] = xxhash.xxh3_64_intdigest(word, self.seed)
-        return value
-
-    def array(self, words: list[bytes]) -> np.ndarray:
-        return np.fromiter(map(self.__getitem__, words), dtype=np.uint64, count=len(words))
-
-    def trim(self) -> None:
-        if len(self) > self.limit:
-            self.clear()
+# Word keys: every byte has a seeded 64-bit value, a word's key is their polynomial in an odd base modulo 2^64, finalised with the length.
+# Prefix sums give all words of a joined buffer at once; the base has an inverse, so a word's place in the buffer drops out.
+BYTE_VALUES = np.random.default_rng(20).integers(0, 2**64, 256, dtype=np.uint64)
+SPACE = np.zeros(256, bool)
+SPACE[[9, 10, 11, 12, 13, 32]] = True
+BASE, INVERSE = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 2**64)
+PIECE = 1 << 20
+_powers: list[np.ndarray] = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
+
+
+def _power_tables(n: int) -> list[np.ndarray]:
+    if len(_powers[0]) < n:
+        for k, base in enumerate((BASE, INVERSE)):
+            steps = np.full(max(n, PIECE), base, np.uint64)
+            steps[0] = 1
+            _powers[k] = np.cumprod(steps, dtype=np.uint64)
+    return _powers
+
+
+def _buffer_keys(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """(keys, first bytes) of the words in a lower-cased buffer."""
+    data = np.frombuffer(raw, np.uint8)
+    inside = np.r_[False, ~SPACE[data], False]
+    edges = np.flatnonzero(inside[1:] != inside[:-1])
+    first, end = edges[::2], edges[1::2]
+    power, inverse = _power_tables(len(data) + 1)
+    sums = np.zeros(len(data) + 1, np.uint64)
+    np.cumsum(BYTE_VALUES[data] * power[: len(data)], out=sums[1:])
+    keys = (sums[end] - sums[first]) * inverse[first]
+    return mix64(keys + (end - first).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)), first
+
+
+def word_keys(texts: list[bytes | None]) -> tuple[np.ndarray, np.ndarray]:
+    """64-bit keys of the words (A-Z lower-cased, cut at ASCII white space) of all texts, and where each text's keys begin (one more entry for the end)."""
+    keys, counts, held, size = [], [], [], 0
+
+    def flush():
+        nonlocal held, size
+        if held:
+            found, first = _buffer_keys(b" ".join(held).lower())
+            at = np.cumsum([0, *(len(t) + 1 for t in held)])
+            keys.append(found)
+            counts.extend(np.diff(np.searchsorted(first, at)).tolist())
+            held, size = [], 0
+
+    for text in texts:
+        text = text or b""
+        if len(text) > PIECE:  # a very long text goes in pieces that end at white space
+            flush()
+            total, at = 0, 0
+            while at < len(text):
+                stop = at + PIECE
+                cut = max((text.rfind(c, at, stop) for c in (b" ", b"\n", b"\t", b"\r", b"\x0b", b"\x0c")), default=-1) if stop < len(text) else len(text)
+                if cut <= at:  # one word fills the piece: take it whole
+                    cut = next((k for k in range(stop, len(text)) if SPACE[text[k]]), len(text))
+                found, _ = _buffer_keys(text[at:cut].lower())
+                keys.append(found)
+                total += len(found)
+                at = cut
+            counts.append(total)
+            continue
+        held.append(text)
+        size += len(text) + 1
+        if size >= PIECE:
+            flush()
+    flush()
+    return (np.concatenate(keys) if keys else np.empty(0, np.uint64)), np.cumsum([0, *counts])
+
+
+def hash_sample(df: DataFrame, k: int, id_col: str = "doc_id", by: str | None = None) -> DataFrame:
+    """At least min(k, all) rows per group, those with the smallest hash of their id (column `h`), about 4 k at most. The cut follows
+    from the group's count, so nothing is sorted and no task reads more than its own partition."""
+    group = F.col(by) if by else F.lit(0)
+    sizes = df.groupBy(group.alias("g")).agg(F.count(F.lit(1)).alias("n")).collect()
+    h = F.xxhash64(F.col(id_col).cast("string"))
+    keep = F.lit(False)
+    for r in sizes:
+        share = 4 * k / max(1, r.n)
+        here = group.eqNullSafe(F.lit(r.g))
+        keep = keep | (here if share >= 1 else here & (h < F.lit(int(-(2**63) + share * 2**64))))
+    return df.where(keep).withColumn("h", h)
 
 
 def words_of(text: bytes | None) -> list[bytes]:

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from textfactor.llm.common import Scratch, WordHashes, mix64, words_of
+from textfactor.llm.common import Scratch, mix64, word_keys
 
 # fixed values: the keys of the end token and of the place before a text
 END, BEGIN = np.uint64(0x1F83D9ABFB41BD6B), np.uint64(0x5BE0CD19137E2179)
@@ -26,10 +26,6 @@ LEFT, RIGHT = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
 LAMBDA = 0.6
 
 
-def token_keys(text: bytes | None, hashes: WordHashes) -> np.ndarray:
-    return np.append(hashes.array(words_of(text)), END)
-
-
 def bigram_keys(keys: np.ndarray, starts: np.ndarray) -> np.ndarray:
     """Keys of (previous, own) for the joined token keys of many texts; starts: where each text begins."""
     before = np.empty_like(keys)
@@ -39,10 +35,10 @@ def bigram_keys(keys: np.ndarray, starts: np.ndarray) -> np.ndarray:
         return mix64(before * LEFT + keys * RIGHT + np.uint64(1))
 
 
-def batch_keys(texts: list, hashes: WordHashes) -> tuple[np.ndarray, np.ndarray]:
-    each = [token_keys(t, hashes) for t in texts]
-    size = np.fromiter(map(len, each), np.int64, len(each))
-    return (np.concatenate(each) if each else np.empty(0, np.uint64)), np.cumsum(size) - size
+def batch_keys(texts: list) -> tuple[np.ndarray, np.ndarray]:
+    """(token keys of all texts, each with its end token; where each text begins)."""
+    keys, at = word_keys(texts)
+    return np.insert(keys, at[1:], END), at[:-1] + np.arange(len(texts))
 
 
 def summed(keys: np.ndarray, counts: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
@@ -62,7 +58,7 @@ def count_ngrams(train: DataFrame, shards: int, flush: int = 3_000_000) -> DataF
     """(shard, kind, keys, counts): exact counts, kind 1 or 2, each key in one row."""
 
     def emit(batches):
-        hashes, held, size = WordHashes(), ([], []), 0
+        held, size = ([], []), 0
 
         def out():
             for kind in (1, 2):
@@ -77,14 +73,13 @@ def count_ngrams(train: DataFrame, shards: int, flush: int = 3_000_000) -> DataF
 
         for whole in batches:
             for low in range(0, whole.num_rows, 500):
-                keys, starts = batch_keys(whole.slice(low, 500).column("text").to_pylist(), hashes)
+                keys, starts = batch_keys(whole.slice(low, 500).column("text").to_pylist())
                 held[0].append(keys)
                 held[1].append(bigram_keys(keys, starts))
                 size += len(keys)
                 if size >= flush:
                     yield from out()
                     held, size = ([], []), 0
-                hashes.trim()
         if size:
             yield from out()
 
@@ -211,12 +206,11 @@ def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_filter
     kept = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"), F.spark_partition_id().alias("part"))
 
     def judge(batches):
-        hashes, row = WordHashes(), 0
+        row = 0
         for whole in batches:
             for low in range(0, whole.num_rows, 500):
                 batch = whole.slice(low, 500)
-                keys, starts = batch_keys(batch.column("text").to_pylist(), hashes)
-                hashes.trim()
+                keys, starts = batch_keys(batch.column("text").to_pylist())
                 unique, back = np.unique(keys, return_inverse=True)
                 if exact is not None:
                     known, values = exact.value
@@ -250,16 +244,16 @@ def base_by_join(kept: DataFrame, unigrams: DataFrame, floor: float) -> DataFram
     """(part, row, n_known, base_score) with the exact counts joined by key: for vocabularies too large to broadcast."""
 
     def tokens(batches):
-        hashes, row = WordHashes(), 0
+        row = 0
         for whole in batches:
             for low in range(0, whole.num_rows, 500):
                 batch = whole.slice(low, 500)
                 part = batch.column("part").to_pylist()
-                for k, text in enumerate(batch.column("text").to_pylist()):
-                    keys, n = np.unique(token_keys(text, hashes), return_counts=True)
+                all_keys, starts = batch_keys(batch.column("text").to_pylist())
+                for k, own in enumerate(np.split(all_keys, starts[1:])):
+                    keys, n = np.unique(own, return_counts=True)
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), part[k], np.int32)), pa.array(np.full(len(keys), row + k)), pa.array(keys.view(np.int64)), pa.array(n)], ["part", "row", "key", "tf"])
                 row += len(part)
-                hashes.trim()
 
     def explode(batches):
         for batch in batches:

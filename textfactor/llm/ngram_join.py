@@ -24,27 +24,34 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from textfactor.llm.common import Scratch, WordHashes, mix64, words_of
+from textfactor.llm.common import Scratch, mix64, word_keys
 
 SKETCH_BITS = 20
-SKETCH_BLOCKS = 64
+SKETCH_BLOCKS = 16
 PARTS = 16
 # fixed values: odd multipliers that combine the words of a shingle
 MULTIPLIERS = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3, 0x589965CC75374CC3], np.uint64)
 
 
-def shingle_set(text: bytes | None, hashes: WordHashes, size: int) -> np.ndarray:
-    """Sorted distinct 64-bit shingle hashes."""
-    words = words_of(text)
-    if not words:
-        return np.empty(0, np.uint64)
-    h = hashes.array(words)
-    k = min(size, len(h))
+def shingle_sets(texts: list[bytes | None], size: int) -> list[np.ndarray]:
+    """Sorted distinct 64-bit shingle hashes of every text."""
+    keys, at = word_keys(texts)
     with np.errstate(over="ignore"):
-        out = np.zeros(len(h) - k + 1, np.uint64)
-        for i in range(k):
-            out += h[i : len(h) - k + 1 + i] * MULTIPLIERS[i]
-        return np.unique(mix64(out + np.uint64(k)))
+        wide = np.zeros(max(0, len(keys) - size + 1), np.uint64)
+        for i in range(size):
+            wide += keys[i : i + len(wide)] * MULTIPLIERS[i]
+        wide = mix64(wide + np.uint64(size))
+        out = []
+        for low, high in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
+            n = high - low
+            if n >= size:
+                s = np.sort(wide[low : high - size + 1])
+                out.append(s[np.r_[True, s[1:] != s[:-1]]])
+            elif n:
+                out.append(mix64((keys[low:high] * MULTIPLIERS[:n]).sum(keepdims=True) + np.uint64(n)))
+            else:
+                out.append(np.empty(0, np.uint64))
+    return out
 
 
 def needed_overlap(na, nb, percent):
@@ -64,7 +71,7 @@ def _texts(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"))
 
 
-def _slices(batches, rows=2000):
+def _slices(batches, rows=1000):
     for whole in batches:
         for low in range(0, whole.num_rows, rows):
             yield whole.slice(low, rows)
@@ -74,11 +81,10 @@ def profile(docs: DataFrame, size: int) -> DataFrame:
     """Rows (doc_id, n, sig, parts) of documents, and rows (block, counts) of each partition's share of the sketch."""
 
     def run(batches):
-        hashes, sketch, used = WordHashes(), np.zeros(1 << SKETCH_BITS, np.uint32), False
+        sketch, used = np.zeros(1 << SKETCH_BITS, np.uint32), False
         for batch in _slices(batches):
             ids, n, sig, parts = batch.column("doc_id"), [], [], []
-            for text in batch.column("text").to_pylist():
-                s = shingle_set(text, hashes, size)
+            for s in shingle_sets(batch.column("text").to_pylist(), size):
                 n.append(len(s))
                 sig.append(int(np.uint64(xxhash.xxh3_64_intdigest(s)).astype(np.int64)) if len(s) else 0)
                 parts.append(np.bincount((s >> np.uint64(60)).astype(np.int64), minlength=PARTS).astype(np.int32).tolist())
@@ -87,7 +93,6 @@ def profile(docs: DataFrame, size: int) -> DataFrame:
                     first = np.flatnonzero(np.r_[True, b[1:] != b[:-1]])
                     sketch[b[first]] += np.diff(np.r_[first, len(b)]).astype(np.uint32)
                     used = True
-            hashes.trim()
             nothing = pa.nulls(len(n))
             yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int32()), pa.array(sig, pa.int64()), pa.array(parts, pa.list_(pa.int32())), nothing.cast(pa.int32()), nothing.cast(pa.binary())], ["doc_id", "n", "sig", "parts", "block", "counts"])
         if used:
@@ -121,7 +126,7 @@ def shared_prefixes(docs: DataFrame, sketch: np.ndarray, size: int, percent: int
     sent = docs.sparkSession.sparkContext.broadcast(sketch)
 
     def emit(batches):
-        hashes, held, rows = WordHashes(), [], 0
+        held, rows = [], 0
         counts = sent.value
 
         def flush():
@@ -135,8 +140,7 @@ def shared_prefixes(docs: DataFrame, sketch: np.ndarray, size: int, percent: int
             return pa.RecordBatch.from_arrays([pa.array(shard[first] // 2), pa.array(shard[first] % 2 == 1), *blobs], ["shard", "frequent", "token", "sig", "n", "pos", "central"])
 
         for batch in _slices(batches):
-            for text in batch.column("text").to_pylist():
-                s = shingle_set(text, hashes, size)
+            for s in shingle_sets(batch.column("text").to_pylist(), size):
                 if not len(s):
                     continue
                 p = prefix_length(len(s), percent)
@@ -147,7 +151,6 @@ def shared_prefixes(docs: DataFrame, sketch: np.ndarray, size: int, percent: int
                 if rows > 1_500_000:
                     yield flush()
                     held, rows = [], 0
-            hashes.trim()
         if held:
             yield flush()
 
@@ -190,13 +193,11 @@ def fetch_sets(docs: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
     sent = spark.sparkContext.broadcast(bloom)
 
     def build(batches):
-        hashes = WordHashes()
         for batch in _slices(batches):
             at = mix64(batch.column("doc_id").to_numpy(zero_copy_only=False).astype(np.uint64)) >> np.uint64(64 - bits)
             hit = (sent.value[(at >> np.uint64(3)).astype(np.int64)] >> (at & np.uint64(7)).astype(np.uint8)) & 1
             some = batch.filter(pa.array(hit == 1))
-            sets = [shingle_set(x, hashes, size).tobytes() for x in some.column("text").to_pylist()]
-            hashes.trim()
+            sets = [x.tobytes() for x in shingle_sets(some.column("text").to_pylist(), size)]
             yield pa.RecordBatch.from_arrays([some.column("doc_id"), pa.array(sets, pa.binary())], ["id", "set"])
 
     return _texts(docs.where("doc_id is not null")).mapInArrow(build, "id long, set binary").join(wanted, "id", "left_semi").dropDuplicates(["id"])
