@@ -16,29 +16,26 @@ from __future__ import annotations
 
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from textfactor.llm.common import hash_sample
+
 UND = "und"
 
 
 def train_dictionaries(labelled: DataFrame, sample_docs: int = 600, dictionary_bytes: int = 400_000) -> dict[str, bytes]:
     """labelled: (doc_id, text, lang). One raw-content dictionary per language, the most typical texts last since near offsets are cheapest."""
     usable = labelled.where("lang is not null and text rlike '\\\\p{L}'")
-    odd = F.when(F.length("text").between(200, 4000), 0).otherwise(1)
-    order = Window.partitionBy("lang").orderBy("odd", "h", "doc_id")
-    sample = (
-        usable.select("lang", "doc_id", odd.alias("odd"), F.xxhash64(F.col("doc_id").cast("string")).alias("h"), F.lower(F.left("text", F.lit(4000))).alias("text"))
-        .withColumn("k", F.row_number().over(order))
-        .where(F.col("k") <= sample_docs)  # limited before the shuffle too (WindowGroupLimit)
-    )
-    found: dict[str, list[tuple[int, bytes]]] = {}
-    for r in sample.select("lang", "k", "text").collect():
-        found.setdefault(r.lang, []).append((r.k, r.text.encode()))
+    odd = F.when(F.length("text").between(200, 4000), "0").otherwise("1")
+    rows = usable.select("doc_id", "lang", F.concat(odd, "lang").alias("kind"), F.lower(F.left("text", F.lit(4000))).alias("text"))
+    found: dict[str, list[tuple]] = {}
+    for r in hash_sample(rows, sample_docs, by="kind").select("lang", "kind", "h", "doc_id", "text").collect():
+        found.setdefault(r.lang, []).append((r.kind, r.h, r.doc_id, r.text.encode()))
     out = {}
     for lang, texts in found.items():
         share, data = [], 0
-        for _, text in sorted(texts):
+        for *_, text in sorted(texts)[:sample_docs]:
             if data >= dictionary_bytes:
                 break
             share.append(text)

@@ -22,6 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from textfactor.llm.common import hash_sample
+
 KINDS = ("assign", "access", "hex", "random")
 # fixed values: the patterns of the three base kinds, and of what the models look at
 ASSIGN = re.compile(rb"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I)
@@ -70,10 +72,11 @@ def seeded_random_strings(n: int, seed: int = 7) -> list[bytes]:
 
 
 def train(docs: DataFrame, sample_docs: int = 2000, threshold: float = 0.5) -> tuple[MarkovModel, MarkovModel, float]:
-    sample = docs.where("text is not null").select("doc_id", F.col("text").alias("text")).orderBy(F.xxhash64(F.col("doc_id").cast("string")), "doc_id").select(F.left("text", F.lit(20_000)).alias("text")).limit(sample_docs)
+    some = hash_sample(docs.where("text is not null").select("doc_id", "text"), sample_docs)
+    sample = sorted((r.h, r.doc_id, r.text) for r in some.select("h", "doc_id", F.left("text", F.lit(20_000)).alias("text")).collect())[:sample_docs]
     secret, plain = seeded_random_strings(2000), []
-    for row in sample.toLocalIterator():
-        raw, at = row.text.encode(), 0
+    for _, _, text in sample:
+        raw, at = text.encode(), 0
         for start, end, kind in base_spans(raw):
             if start >= at:
                 plain += re.findall(rb"[A-Za-z0-9+/_=-]{3,}", raw[at:start])
