@@ -235,7 +235,13 @@ def lz_end_grid(text, tau: int, grid: str = "one", mode: str = "merged", ledger:
 
 
 def lz_end(text) -> list[Phrase]:
-    """Phrase-end factorization by longest candidates; not monotone in the length, so every length up to the bound is looked at."""
+    """Phrase-end factorization."""
+    return lz_end_direct(text, None)
+
+
+def lz_end_direct(text, tau: int | None, grid: str = "one") -> list[Phrase]:
+    """Phrase-end (tau None) or grid factorization by longest candidates, not metered; the length isn't monotone, so every length from the
+    greedy bound down is looked at."""
     s, codes = symbols_of(text), codes_of(text)
     most, _ = previous_factors(SuffixOrder(s))
     prefixes, out, i = PrefixOrder(s), [], 0
@@ -247,6 +253,9 @@ def lz_end(text) -> list[Phrase]:
                 size, src = m, end - m
                 break
         out.append((i, size, src, int(codes[i]) if src < 0 else -1))
+        for end in range(i + 1, i + size):
+            if tau and (end - (grid == "one")) % tau == 0:
+                prefixes.insert(end)
         i += size
         prefixes.insert(i)
     return out

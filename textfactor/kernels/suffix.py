@@ -42,8 +42,22 @@ class SuffixOrder:
         self.sa = np.empty(n, np.int64)
         self.sa[rank] = np.arange(n)
 
+    def _lce_one(self, i: int, j: int) -> int:
+        if i == j:
+            return self.n - i
+        if not hasattr(self, "_lists"):
+            self._lists = [level.tolist() for level in self.levels]
+        n, start = self.n, i
+        for t in range(len(self._lists) - 1, -1, -1):
+            level, width = self._lists[t], 1 << t
+            while i < n and j < n and level[i] == level[j]:
+                i, j = i + width, j + width
+        return i - start
+
     def lce(self, i, j):
         """Longest common extension of suffixes i and j (arrays or ints); position n stands for the empty suffix."""
+        if isinstance(i, int) and isinstance(j, int):
+            return self._lce_one(i, j)
         a, b = np.atleast_1d(np.asarray(i, np.int64)).copy(), np.atleast_1d(np.asarray(j, np.int64)).copy()
         a, b = np.broadcast_arrays(a, b)
         a, b = a.copy(), b.copy()
