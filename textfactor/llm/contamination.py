@@ -59,7 +59,7 @@ class BlockMaxIndex:
     """Normalised BM25 impacts of up to a few thousand items, with a maximum per term and block."""
 
     def __init__(self, items: list[tuple[int, str]], block: int = 8, k1: float = 1.2, b: float = 0.75):
-        rows = sorted((len(t), i, t, x) for i, x in items if x and (t := terms_of(x.encode())))
+        rows = sorted(((len(t), i, t, x) for i, x in items if x and (t := terms_of(x.encode()))), key=lambda r: (r[0], r[1] is None, r[1] or 0))
         self.ids = [i for _, i, _, _ in rows]
         self.parts = [question_answer(x) for _, _, _, x in rows]
         self.longest = max((n for n, *_ in rows), default=1)
@@ -131,7 +131,7 @@ def search(index: BlockMaxIndex, memo: TermIds, texts: list[list[bytes]], least:
 def find_leaks(docs: DataFrame, benchmark: DataFrame, least: float = 0.5, least_overlap: float = 0.5, part_items: int = 2000) -> DataFrame:
     """(doc_id, item_id, n_passages, score, question_overlap, answer_overlap): one row per document and confirmed item; the best passage's figures."""
     items = [(r.item_id, r.text) for r in benchmark.where("text is not null").select("item_id", "text").toLocalIterator()]
-    items.sort(key=lambda x: (len(x[1]), x[0]))
+    items.sort(key=lambda x: (len(x[1]), x[0] is None, x[0] or 0))
     indexes = [i for i in (BlockMaxIndex(items[k : k + part_items]) for k in range(0, len(items), part_items)) if i.ids]
     sent = docs.sparkSession.sparkContext.broadcast(indexes)  # grows with the test set only
     kept = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"))

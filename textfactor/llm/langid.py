@@ -9,7 +9,7 @@ of 200 to 4,000 characters first), joined up to `dictionary_bytes`; everything e
 language with more sampled bytes, then by name.
 
 Cases: null, empty or letterless text gives `und`, score 0; a training table without labelled text gives `und` for all; rows with a null
-language never train; extra columns pass through `classify` untouched.
+language never train; extra columns pass through `classify` untouched, but for those named like a result column, which are replaced.
 """
 
 from __future__ import annotations
@@ -18,6 +18,7 @@ import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from textfactor.llm.common import hash_sample
 
@@ -79,9 +80,10 @@ class CompressionClassifier:
 
 def classify(docs: DataFrame, dictionaries: dict[str, bytes], min_margin: int = 1) -> DataFrame:
     """docs with lang_pred, margin, score, accepted added; only text is looked at. A map without shuffle."""
-    names = docs.columns
+    added = StructType.fromDDL("lang_pred string, margin long, score double, accepted boolean")
+    names = [c for c in docs.columns if c not in added.names]
     sent = docs.sparkSession.sparkContext.broadcast(dictionaries)  # languages * dictionary_bytes
-    schema = docs.schema.simpleString()[len("struct<") : -1] + ",lang_pred:string,margin:bigint,score:double,accepted:boolean"
+    schema = StructType([docs.schema[c] for c in names] + added.fields)
 
     def predict(batches):
         model = CompressionClassifier(sent.value)

@@ -10,7 +10,8 @@ A key is a line stripped of ASCII white space with A-Z lower-cased; keys under `
 dropped. Hashes have 128 bits, so that a false match is out of reach at any corpus size.
 
 Cases: null or empty text is one empty line and stays; repeated lines of the owning document all stay; rows that
-repeat a document id share their ownership; a null id owns nothing and loses nothing; a table without rows gives no rows.
+repeat a document id share their ownership; a null id owns nothing and loses nothing; a table without rows gives no rows;
+input columns named n_lines or n_dropped are replaced.
 """
 
 from __future__ import annotations
@@ -21,6 +22,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from textfactor.llm.common import Scratch
 
@@ -102,14 +104,15 @@ def dedup_lines(docs: DataFrame, batches: int = 3, fanout: int = 2, min_chars: i
     cuts = sorted(set(docs.approxQuantile("doc_id", [i / batches for i in range(1, batches)], 0.01))) if batches > 1 else []
     number = sum((F.when(F.col("doc_id") > c, 1).otherwise(0) for c in cuts), F.lit(0))
     keys = scratch.write(keys.withColumn("batch", number), "keys", ("batch",))
-    store, drops = LineRuns(scratch, fanout), None
+    store = LineRuns(scratch, fanout)
     for b in range(len(cuts) + 1):
         store.add(keys.where(F.col("batch") == b).select("doc_id", "key"))
     lost = keys.select("doc_id", "key").join(store.owners(), "key").where("owner < doc_id")
-    drops = lost.groupBy("doc_id").agg(F.collect_list("key").alias("drop_keys")).withColumnRenamed("doc_id", "drop_id")
-    joined = docs.join(drops, F.col("doc_id") == F.col("drop_id"), "left").drop("drop_id")
-    out_schema = docs.schema.simpleString()[len("struct<") : -1] + ",n_lines:bigint,n_dropped:bigint"
-    names = docs.columns
+    drops = lost.groupBy(F.col("doc_id").alias("_drop_id")).agg(F.collect_list("key").alias("_drop_keys"))  # no more than the document's own lines
+    added = StructType.fromDDL("n_lines long, n_dropped long")
+    names = [c for c in docs.columns if c not in ("n_lines", "n_dropped", "_drop_id", "_drop_keys")]
+    out_schema = StructType([docs.schema[c] for c in names] + added.fields)
+    joined = docs.select(names).join(drops, F.col("doc_id") == F.col("_drop_id"), "left").drop("_drop_id")
     shaped = joined.withColumn("text", F.col("text").cast("binary"))
 
     def keep(parts):
@@ -117,7 +120,7 @@ def dedup_lines(docs: DataFrame, batches: int = 3, fanout: int = 2, min_chars: i
             for low in range(0, whole.num_rows, 2000):
                 batch = whole.slice(low, 2000)
                 texts, n_lines, n_dropped = [], [], []
-                for text, dropped in zip(batch.column("text").to_pylist(), batch.column("drop_keys").to_pylist(), strict=True):
+                for text, dropped in zip(batch.column("text").to_pylist(), batch.column("_drop_keys").to_pylist(), strict=True):
                     n = text.count(b"\n") + 1 if text else 1
                     if dropped:
                         gone = set(dropped)

@@ -2,7 +2,7 @@
 
 Two variable-order Markov models (orders 0 to `order`, Witten-Bell smoothing, each order backing off to the one
 below) are fitted to accepted and to rejected URLs. A URL's score is the difference of its log-likelihoods divided by its length.
-The cut is calibrated on a held-out quarter of the labelled sample (largest balanced accuracy, ties to the lower cut).
+The cut is calibrated on a held-out quarter of the labelled sample (largest balanced accuracy; midway between the scores next to it).
 Labels are what the rules decide. At most `sample_urls` distinct labelled URLs per class are used, those with the smallest
 hash; judging covers every row.
 
@@ -85,7 +85,12 @@ class UrlRatio:
         if self.ready:
             self.good, self.bad = VariableOrderModel(fit(accepted) or accepted, order), VariableOrderModel(fit(rejected) or rejected, order)
             a, b = sorted(map(self.score, held(accepted) or accepted)), sorted(map(self.score, held(rejected) or rejected))
-            self.cut = max(sorted({*a, *b}), key=lambda c: sum(x >= c for x in a) / len(a) + sum(x < c for x in b) / len(b))
+            marks = sorted({*a, *b})
+            cuts = [(x + y) / 2 for x, y in zip(marks, marks[1:], strict=False)] or [marks[0]]
+            gain = [sum(x >= c for x in a) / len(a) + sum(x < c for x in b) / len(b) for c in cuts]
+            # between the highest rejected and the lowest accepted score that the best cuts leave
+            low, high = min(c for c, g in zip(cuts, gain, strict=True) if g == max(gain)), max(c for c, g in zip(cuts, gain, strict=True) if g == max(gain))
+            self.cut = (low + high) / 2
 
     def score(self, url: str) -> float:
         return (self.good.log_p(url) - self.bad.log_p(url)) / (len(url) + 1)
