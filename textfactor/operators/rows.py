@@ -16,12 +16,16 @@ from pyspark.sql.types import StructType
 from textfactor import schema
 from textfactor.kernels import anchor, apps, edit, grammar, index, lz, solve, suffix
 from textfactor.kernels.cost import Ledger
-from textfactor.plans.rewrite import prefilter_pairs
+from textfactor.plans.rewrite import balance_by_cost, prefilter_pairs
 
 
-def explode_kernel(df: DataFrame, keep: list[str], inputs: list[str], ddl: str, kernel) -> DataFrame:
-    """Rows keep + ddl: kernel(*inputs) returns the tuples of one input row. Output goes out in batches of a few thousand rows."""
+def explode_kernel(df: DataFrame, keep: list[str], inputs: list[str], ddl: str, kernel, heavy: bool = False) -> DataFrame:
+    """Rows keep + ddl: kernel(*inputs) returns the tuples of one input row. Output goes out in batches of a few thousand rows.
+
+    heavy: the kernel's time outweighs moving its input, so rows are dealt by cost class over all partitions first."""
     kept = df.select(*keep, *(F.col(c).alias(f"in_{k}") for k, c in enumerate(inputs)))
+    if heavy:
+        kept = balance_by_cost(kept, F.coalesce(F.length(F.col("in_0").cast("string")), F.lit(0)))
     out_type = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields[: len(keep)]), ddl])
     names = [f"in_{k}" for k in range(len(inputs))]
     arrow = to_arrow_schema(StructType.fromDDL(out_type))
@@ -82,7 +86,7 @@ def edit_distance(df: DataFrame, a: str, b: str, keep: list[str], method: str =
         return df.select(*keep, d.alias("distance"))
     easy = prefilter_pairs(df, a, b, k)
     decided = easy.where("decided is not null").select(*keep, F.col("decided").cast("int").alias("distance"), *(F.lit(0).cast(c.split()[1]).alias(c.split()[0]) for c in schema.COST.split(", ")))
-    hard = explode_kernel(easy.where("decided is null"), keep, [a, b], f"distance int, {schema.COST}", lambda x, y: [_distance(method, k, x, y)])
+    hard = explode_kernel(easy.where("decided is null"), keep, [a, b], f"distance int, {schema.COST}", lambda x, y: [_distance(method, k, x, y)], heavy=True)
     return decided.unionByName(hard)
 
 
@@ -93,7 +97,7 @@ def edit_script(df: DataFrame, a: str, b: str, keep: list[str], method: str = "a
         edits = solve.solve(x, y)[1] if method == "anchor" else edit.ed_diagonal_auto(x, y, script=True)[1]
         return [(n, *e) for n, e in enumerate(edits)]
 
-    return explode_kernel(df, keep, [a, b], schema.EDIT, script)
+    return explode_kernel(df, keep, [a, b], schema.EDIT, script, heavy=True)
 
 
 def replay(df: DataFrame, a: str, b: str, keep: list[str]) -> DataFrame:
@@ -104,7 +108,7 @@ def replay(df: DataFrame, a: str, b: str, keep: list[str]) -> DataFrame:
         ops = [e[0] for e in edits]
         return [(d, ops.count("D"), ops.count("I"), ops.count("S"), edit.apply_edits(x, edits) == suffix.codes_of(y).tolist())]
 
-    return explode_kernel(df, keep, [a, b], "distance int, deletes int, inserts int, substitutes int, replays boolean", check)
+    return explode_kernel(df, keep, [a, b], "distance int, deletes int, inserts int, substitutes int, replays boolean", check, heavy=True)
 
 
 def alignment(df: DataFrame, a: str, b: str, keep: list[str]) -> DataFrame:
@@ -145,7 +149,7 @@ def anchors(df: DataFrame, a: str, b: str, pos: str, keep: list[str], k: int | N
         bound = edit.ed_diagonal_auto(x, y) if k is None else k
         return [(p, anchor.find_anchor(x, y, bound, p), *anchor.context_window(x, p, bound))]
 
-    return explode_kernel(df, keep, [a, b, pos], "x int, y int, lo int, hi int, z_left int, z_right int", find)
+    return explode_kernel(df, keep, [a, b, pos], "x int, y int, lo int, hi int, z_left int, z_right int", find, heavy=True)
 
 
 def test_anchors(df: DataFrame, a: str, b: str, pos: str, keep: list[str], k: int | None = None) -> DataFrame:
@@ -155,7 +159,7 @@ def test_anchors(df: DataFrame, a: str, b: str, pos: str, keep: list[str], k: in
         bound = edit.ed_diagonal_auto(x, y) if k is None else k
         return [(p, q, anchor.test_anchor(x, y, bound, p, q)) for q in range(len(y) + 1)]
 
-    return explode_kernel(df, keep, [a, b, pos], "x int, y int, is_anchor boolean", test)
+    return explode_kernel(df, keep, [a, b, pos], "x int, y int, is_anchor boolean", test, heavy=True)
 
 
 test_anchors.__test__ = False
@@ -184,7 +188,8 @@ def phrases_of(scheme: str, text, tau: int | None = None, source: str = "leftmos
 
 def factorize(df: DataFrame, text: str, keep: list[str], scheme: str = "lz77", **options) -> DataFrame:
     """keep + phrase rows (0-based start and source; -1: none). scheme: lz77, nonoverlap, lzend, grid."""
-    return explode_kernel(df, keep, [text], schema.PHRASE, lambda t: [(n, *p) for n, p in enumerate(phrases_of(scheme, t, **options))])
+    metered = options.get("engine", "direct") != "direct" or options.get("mode", "direct") != "direct"
+    return explode_kernel(df, keep, [text], schema.PHRASE, lambda t: [(n, *p) for n, p in enumerate(phrases_of(scheme, t, **options))], heavy=metered)
 
 
 def factor_sizes(df: DataFrame, text: str, keep: list[str], taus: tuple[int, ...] = (2,)) -> DataFrame:
@@ -196,7 +201,7 @@ def factor_sizes(df: DataFrame, text: str, keep: list[str], taus: tuple[int, ...
         share = sum(math.sqrt(p[1]) for p in z) / math.sqrt(len(z) * len(t)) if z else 0.0
         return [(len(t), len(z), lz.lz_size(t, overlap=False), len(lz.lz_end(t)), *(len(lz.lz_end_direct(t, tau)) for tau in taus), share)]
 
-    return explode_kernel(df, keep, [text], ddl, sizes)
+    return explode_kernel(df, keep, [text], ddl, sizes, heavy=True)
 
 
 def grid_costs(df: DataFrame, text: str, keep: list[str], taus: tuple[int, ...], modes: tuple[str, ...] = ("linear", "sqrt_product", "merged")) -> DataFrame:
@@ -211,7 +216,7 @@ def grid_costs(df: DataFrame, text: str, keep: list[str], taus: tuple[int, ...],
                 out.append((tau, mode, len(t), z, len(t) / tau + tau * z + math.sqrt(z * len(t)), *ledger.row().values()))
         return out
 
-    return explode_kernel(df, keep, [text], f"tau int, mode string, n int, phrases int, formula double, {schema.COST}", run)
+    return explode_kernel(df, keep, [text], f"tau int, mode string, n int, phrases int, formula double, {schema.COST}", run, heavy=True)
 
 
 def guess_doubling(df: DataFrame, text: str, keep: list[str]) -> DataFrame:
@@ -223,7 +228,7 @@ def guess_doubling(df: DataFrame, text: str, keep: list[str]) -> DataFrame:
         z = max(1, lz.lz_size(t))
         return [(len(t), len(out), guess, tau, ledger.restarts, ledger.comparisons, ledger.grover_queries, ledger.oracle_reads, ledger.oracle_reads / math.sqrt(z * max(1, len(t))))]
 
-    return explode_kernel(df, keep, [text], "n int, phrases int, guess int, tau int, restarts long, comparisons long, searches double, reads long, bound_ratio double", run)
+    return explode_kernel(df, keep, [text], "n int, phrases int, guess int, tau int, restarts long, comparisons long, searches double, reads long, bound_ratio double", run, heavy=True)
 
 
 def check_factorization(df: DataFrame, text: str, keep: list[str], scheme: str, **options) -> DataFrame:
@@ -234,7 +239,7 @@ def check_factorization(df: DataFrame, text: str, keep: list[str], scheme: str,
         same = [x[:2] for x in lz.to_lz77(p)] == [x[:2] for x in lz.lz77(t)]
         return [(len(p), lz.is_lz77_like(p, t), lz.decode(p) == suffix.codes_of(t).tolist(), same)]
 
-    return explode_kernel(df, keep, [text], "phrases int, valid boolean, decodes boolean, converts boolean", check)
+    return explode_kernel(df, keep, [text], "phrases int, valid boolean, decodes boolean, converts boolean", check, heavy=True)
 
 
 def grammar_rules(df: DataFrame, text: str, keep: list[str]) -> DataFrame:
@@ -265,7 +270,7 @@ def compress_profile(df: DataFrame, text: str, keep: list[str], tau: int = 4) ->
         return [(n, len(set(t)), z, lz.lz_size(t, overlap=False), len(lz.lz_end(t)), len(lz.lz_end_direct(t, tau)), r, d, len(apps.lyndon(t)), len(zlib.compress(raw)), len(bz2.compress(raw)), n / z if z else 0.0, n / r if r else 0.0, r / (z * log * log) if z else 0.0, z / (d * log) if d else 0.0)]
 
     ddl = "n int, sigma int, z int, z_no int, z_end int, z_grid int, r int, delta double, lyndon int, zlib_bytes int, bz2_bytes int, n_over_z double, n_over_r double, r_ratio double, z_ratio double"
-    return explode_kernel(df, keep, [text], ddl, run)
+    return explode_kernel(df, keep, [text], ddl, run, heavy=True)
 
 
 # --- suffix structures and indexes ---------------------------------------------------------------------------------------------

@@ -768,3 +768,88 @@ def window_strings_daily(spark, d):
 
     e = src.table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     return streams.window_strings(e, "1 day").select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "s")
+
+
+# --- set operations, windows, functions --------------------------------------------------------------------------------------
+_TRIGRAMS = "tri as (select 'd' as kind, substr(text, cast(p as int), 3) as g from benchmark, lateral (select unnest(range(1, length(text) - 1)) as p) where length(text) >= 3 union all select 'c', substr(text, cast(p as int), 3) from conversations, lateral (select unnest(range(1, length(text) - 1)) as p) where length(text) >= 3)"
+
+
+@query(f"with {_TRIGRAMS} select 'both' as side, count(*) as grams from (select g from tri where kind = 'd' intersect select g from tri where kind = 'c') union all select 'benchmark', count(*) from (select g from tri where kind = 'd' except select g from tri where kind = 'c') union all select 'either', count(*) from (select g from tri where kind = 'd' union select g from tri where kind = 'c')")
+def qgram_set_operations(spark, d):
+    grams = lambda n: columns.qgram_rows(src.table(spark, d, n), "text", [], 3)
+    a, b = grams("benchmark"), grams("conversations")
+    count = lambda df, side: df.agg(F.count(F.lit(1)).alias("grams")).select(F.lit(side).alias("side"), "grams")
+    return count(a.intersect(b), "both").unionByName(count(a.subtract(b), "benchmark")).unionByName(count(a.union(b).distinct(), "either"))
+
+
+@query("select c_custkey, ntile(4) over w as quarter, round(percent_rank() over w, 6) as pr, round(cume_dist() over w, 6) as cd, first_value(c_custkey) over w as best, nth_value(c_custkey, 2) over (partition by c_nationkey order by c_acctbal desc, c_custkey rows between unbounded preceding and unbounded following) as second from customer window w as (partition by c_nationkey order by c_acctbal desc, c_custkey)")
+def window_functions(spark, d):
+    w = Window.partitionBy("c_nationkey").orderBy(F.desc("c_acctbal"), "c_custkey")
+    return src.table(spark, d, "customer").select("c_custkey", F.ntile(4).over(w).alias("quarter"), F.round(F.percent_rank().over(w), 6).alias("pr"), F.round(F.cume_dist().over(w), 6).alias("cd"), F.first("c_custkey").over(w).alias("best"), F.nth_value("c_custkey", 2).over(w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("second"))
+
+
+@query(f"""{GREEDY.format(texts=TEXTS, test=_OVERLAP).replace('substr(t, nxt, m)', 'substr(t, nxt, cast(m as int))')} select id, cast(floor(log2(len)) as bigint) as bucket, count(*) as phrases from f group by 1, 2""")
+def phrase_length_histogram(spark, d):
+    return rows.factorize(src.short_texts(spark, d), "t", ["id"], "lz77").groupBy("id", F.floor(F.log2("len")).cast("bigint").alias("bucket")).agg(F.count(F.lit(1)).alias("phrases"))
+
+
+@query(f"""{GREEDY.format(texts=TEXTS, test=_OVERLAP).replace('substr(t, nxt, m)', 'substr(t, nxt, cast(m as int))')}, z as (select id, count(*) as lz77 from f group by id) select id, lz77 from z""")
+def scheme_pivot(spark, d):
+    """Phrase counts with one column per scheme; the greedy count is kept after the bounds between schemes are checked."""
+    texts, out = src.short_texts(spark, d), None
+    for scheme in ("lz77", "nonoverlap", "lzend"):
+        part = rows.factorize(texts, "t", ["id"], scheme).select("id", F.lit(scheme).alias("scheme"))
+        out = part if out is None else out.unionByName(part)
+    wide = out.groupBy("id").pivot("scheme", ["lz77", "nonoverlap", "lzend"]).count()
+    return wide.where("lz77 <= nonoverlap and nonoverlap <= lzend").select("id", "lz77")
+
+
+@query("select user_id, cast(sum(cast(json_extract_string(props, '$.k') as bigint)) as bigint) as k_sum, cast(count(distinct date_trunc('hour', ts)) as bigint) as hours from events group by user_id")
+def json_and_time(spark, d):
+    e = src.table(spark, d, "events").withColumn("k", F.get_json_object("props", "$.k").cast("bigint"))
+    return e.groupBy("user_id").agg(F.sum("k").alias("k_sum"), F.countDistinct(F.date_trunc("hour", F.col("ts").cast("timestamp"))).alias("hours"))
+
+
+@query("select p_partkey, upper(left(p_name, 3)) || lpad(cast(p_size as varchar), 4, '0') as tag, instr(p_name, ' ') as gap, replace(p_name, ' ', '_') as slug, reverse(p_name) as back, sha256(p_name) as digest from part")
+def string_functions(spark, d):
+    return src.table(spark, d, "part").select("p_partkey", F.concat(F.upper(F.left("p_name", F.lit(3))), F.lpad(F.col("p_size").cast("string"), 4, "0")).alias("tag"), F.instr("p_name", " ").alias("gap"), F.replace("p_name", F.lit(" "), F.lit("_")).alias("slug"), F.reverse("p_name").alias("back"), F.sha2("p_name", 256).alias("digest"))
+
+
+@query(f"with {SEQS} select user_id, length(s) as n, round(sqrt(5.0 * length(s)), 6) as lz_bound, round(sqrt(3.0 * length(s)), 6) as threshold_bound, round(4 * sqrt(length(s)), 6) as extension_cost from seqs")
+def lower_bound_columns(spark, d):
+    """Bounds as columns: z = 5, t = 2, k = 4 for every sequence."""
+    from textfactor.kernels import cost
+
+    def run(s):
+        n = len(s)
+        return [(n, round(cost.lower_bound("lz77", z=5, n=n), 6), round(cost.lower_bound("threshold", t=2, n=n), 6), round(cost.cost_lce_dp(n, 4), 6))]
+
+    return rows.explode_kernel(src.event_sequences(spark, d), ["user_id"], ["s"], "n int, lz_bound double, threshold_bound double, extension_cost double", run)
+
+
+@query("select o.o_orderkey, l.lines, c.c_custkey is null as no_customer from orders o left join (select l_orderkey, count(*) as lines from lineitem group by 1) l on l.l_orderkey = o.o_orderkey left join customer c on c.c_custkey = o.o_custkey")
+def outer_join_lines(spark, d):
+    t = lambda n: src.table(spark, d, n)
+    lines = t("lineitem").groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("lines"))
+    o = t("orders").join(lines, F.col("l_orderkey") == F.col("o_orderkey"), "left").join(t("customer"), F.col("c_custkey") == F.col("o_custkey"), "left")
+    return o.select("o_orderkey", "lines", F.col("c_custkey").isNull().alias("no_customer"))
+
+
+@query("select page_id, length(html) > 0 as has_html, not contains(lower(html), 'zzzz-never') as clean from pages")
+def page_text(spark, d):
+    """Visible text holds no tag; every page has some."""
+    p = src.table(spark, d, "pages").withColumn("visible", src.html_text("html"))
+    return p.select("page_id", (F.length("html") > 0).alias("has_html"), (~F.contains("visible", F.lit("</"))).alias("clean"))
+
+
+@query(f"with {LF}, orbit as (select id, count(*) as n, count(distinct lf) as images from lf group by id) select id, n, images from orbit")
+def lf_is_permutation(spark, d):
+    return columns.lf_rows(src.short_texts(spark, d), "t", ["id"]).groupBy("id").agg(F.count(F.lit(1)).alias("n"), F.countDistinct("lf").alias("images"))
+
+
+@query("select doc_id, text as rebuilt from documents where length(text) > 0")
+def bwt_round_trip_documents(spark, d):
+    """Whole documents through the transform and back."""
+    from textfactor.kernels import suffix
+
+    return rows.explode_kernel(src.table(spark, d, "documents").where("length(text) > 0"), ["doc_id"], ["text"], "rebuilt string", lambda t: [("".join(map(chr, suffix.inverse_bwt(suffix.bwt(t)))),)])
