@@ -221,7 +221,9 @@ def verify(docs: DataFrame, pairs: DataFrame, size: int, percent: int, scratch:
             some = batch.filter(pa.array(keep, pa.bool_()))
             yield pa.RecordBatch.from_arrays([some.column("a"), some.column("b")], ["a", "b"])
 
-    return scratch.write(pairs.join(left, "a").join(right, "b").select("a", "b", "set_a", "set_b").mapInArrow(test, "a long, b long"), f"{name}-links")
+    links = scratch.write(pairs.join(left, "a").join(right, "b").select("a", "b", "set_a", "set_b").mapInArrow(test, "a long, b long"), f"{name}-links")
+    scratch.drop(f"{name}-sets")
+    return links
 
 
 def components(edges: DataFrame, scratch: Scratch, name: str) -> DataFrame:
