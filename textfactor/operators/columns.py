@@ -97,5 +97,7 @@ def pattern_positions(texts: DataFrame, text: str, patterns: DataFrame, keep: li
     from textfactor.plans.rewrite import checked_broadcast
 
     pairs = texts.select(*keep, F.col(text).alias("t")).join(checked_broadcast(patterns.select("pattern").distinct()), F.expr("instr(t, pattern) > 0"))
-    at = F.expr("filter(sequence(1, length(t) - length(pattern) + 1), p -> substr(t, p, length(pattern)) = pattern)")
+    # symbols are split once per hit text, so that looking at a position doesn't walk to it
+    at = F.expr("filter(sequence(1, size(c) - length(pattern) + 1), p -> element_at(c, p) = left(pattern, 1) and array_join(slice(c, p, length(pattern)), '') = pattern)")
+    pairs = pairs.withColumn("c", F.split("t", ""))
     return pairs.select(*keep, "pattern", F.explode(at).alias("pos"))

@@ -322,7 +322,7 @@ def pattern_occurrences(df: DataFrame, text: str, patterns: str, keep: list[str]
             out += [(p, len(at), v) for v in at] or [(p, 0, None)]
         return out
 
-    return explode_kernel(df, keep, [text, patterns], "pattern string, n int, pos int", rows)
+    return explode_kernel(df, keep, [text, patterns], "pattern string, n int, pos int", rows, heavy=True)
 
 
 def sa_lookup(df: DataFrame, text: str, keep: list[str], kind: str = "level") -> DataFrame:

@@ -253,12 +253,12 @@ def lz77_round_trip_documents(spark, d):
 
         return [("".join(map(chr, lz.decode(lz.lz77(t)))),)]
 
-    return rows.explode_kernel(src.table(spark, d, "documents").where("length(text) > 0"), ["doc_id"], ["text"], "decoded string", trip)
+    return rows.explode_kernel(src.table(spark, d, "documents").where("length(text) > 0"), ["doc_id"], ["text"], "decoded string", trip, heavy=True)
 
 
 @query()
 def lz77_sizes_documents(spark, d):
-    return rows.explode_kernel(src.table(spark, d, "documents"), ["doc_id"], ["text"], "n int, z int", lambda t: [(len(t), _z(t))])
+    return rows.explode_kernel(src.table(spark, d, "documents"), ["doc_id"], ["text"], "n int, z int", lambda t: [(len(t), _z(t))], heavy=True)
 
 
 def _z(t):
@@ -298,7 +298,7 @@ def grammar_root_lengths(spark, d):
 def corpus_profile_by_source(spark, d):
     """Texts joined per source: the repetitive regime, phrase counts and ratios."""
     joined = src.concatenated(src.table(spark, d, "documents").where("text is not null"), ["source"], "doc_id", "text")
-    return rows.explode_kernel(joined, ["source"], ["text"], "n int, z int, n_over_z double", lambda t: [(len(t), (z := _z(t)), len(t) / z)])
+    return rows.explode_kernel(joined, ["source"], ["text"], "n int, z int, n_over_z double", lambda t: [(len(t), (z := _z(t)), len(t) / z)], heavy=True)
 
 
 @query()
