@@ -54,7 +54,7 @@ def shard_of(keys: np.ndarray, shards: int) -> np.ndarray:
     return (mix64(keys) % np.uint64(shards)).astype(np.int64)
 
 
-def count_ngrams(train: DataFrame, shards: int, flush: int = 3_000_000) -> DataFrame:
+def count_ngrams(train: DataFrame, shards: int, flush: int = 1_500_000) -> DataFrame:
     """(shard, kind, keys, counts): exact counts, kind 1 or 2, each key in one row."""
 
     def emit(batches):
@@ -131,11 +131,11 @@ def build_filters(counts: DataFrame, bits: int, probes: int, least: int) -> Data
 
 
 class LogFrequencyFilter:
-    def __init__(self, rows: list[tuple[int, int, bytes]], shards: int, probes: int):
+    def __init__(self, rows, shards: int, probes: int):
         self.shards, self.probes = shards, probes
         self.sizes, self.base = np.full(shards, 64, np.uint64), np.zeros(shards, np.int64)
         cells, at = [np.zeros(8, np.uint8)], 64  # shards without a row point to an empty cell block
-        for shard, size, raw in sorted(rows):
+        for shard, size, raw in rows:
             self.sizes[shard], self.base[shard] = size, at
             cells.append(np.frombuffer(raw, np.uint8))
             at += size
@@ -165,7 +165,7 @@ class LogFrequencyFilter:
 
 
 
-def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_filter_bytes: int = 256 << 20, max_table_bytes: int = 256 << 20, shard_bytes: int = 16 << 20) -> DataFrame:
+def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_filter_bytes: int = 256 << 20, max_table_bytes: int = 256 << 20, shard_bytes: int = 4 << 20) -> DataFrame:
     """training: boolean column. (doc_id, n_tokens, n_known, train_tokens, base_score, score) of every row of docs."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "lm")
@@ -191,16 +191,19 @@ def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_filter
     entries = lambda low: int((n[1][2] * levels).sum() + (n[2][2] * levels)[low:].sum())
     while lowest < 64 and entries(lowest) * bits // 8 > max_filter_bytes:
         lowest += 1
-    rows = [(r.shard, r.size, bytes(r.cells)) for r in build_filters(counts, bits, probes, 1 << (lowest - 1)).collect()]
-    held = spark.sparkContext.broadcast(LogFrequencyFilter(rows, shards, probes))
+    filters = scratch.write(build_filters(counts, bits, probes, 1 << (lowest - 1)), "filters")
+    held = spark.sparkContext.broadcast(LogFrequencyFilter(((r.shard, r.size, r.cells) for r in filters.toLocalIterator()), shards, probes))  # one file at a time
     exact = None
     unigrams = counts.where("kind = 1").select("keys", "counts")
     if distinct * 16 <= max_table_bytes:
-        pairs = [(np.frombuffer(bytes(r["keys"]), np.uint64), np.frombuffer(bytes(r["counts"]), np.uint64)) for r in unigrams.collect()]
-        keys = np.concatenate([k for k, _ in pairs]) if pairs else np.empty(0, np.uint64)
-        values = np.concatenate([c for _, c in pairs]) if pairs else np.empty(0, np.uint64)
+        keys, values, at = np.empty(distinct, np.uint64), np.empty(distinct, np.uint64), 0
+        for r in unigrams.toLocalIterator():
+            k = np.frombuffer(r["keys"], np.uint64)
+            keys[at : at + len(k)], values[at : at + len(k)] = k, np.frombuffer(r["counts"], np.uint64)
+            at += len(k)
         order = np.argsort(keys)
         exact = spark.sparkContext.broadcast((keys[order], values[order].astype(np.uint32) if values.max(initial=0) < 1 << 32 else values[order]))
+        del keys, values, order
     begin_count = float(size.n)
     floor = np.log10(tokens + 1.0 * (distinct + 1))
     kept = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"), F.spark_partition_id().alias("part"))
