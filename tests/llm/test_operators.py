@@ -307,6 +307,18 @@ def test_op9(docs, rows, empty):
     assert all(r.n_known == 0 for r in lm_score.score(docs, F.lit(False)).collect())
 
 
+def test_op9_filter_beyond_the_broadcast_bound(docs):
+    """A filter that is too large to broadcast holds every bigram: the scores do not depend on the bound."""
+    from pyspark.sql import functions as F
+
+    held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 7 == 2, F.lit(False))
+    rows_of = lambda df: Counter((r.doc_id, r.n_tokens, r.n_known, round(r.base_score, 6), round(r.score, 6)) for r in df.collect())
+    want = rows_of(lm_score.score(docs, ~held))
+    assert rows_of(lm_score.score(docs, ~held, max_filter_bytes=0)) == want
+    assert rows_of(lm_score.score(docs, ~held, max_filter_bytes=0, max_table_bytes=0, unit_bytes=2000)) == want
+    assert rows_of(lm_score.score(docs, ~held & (F.col("doc_id") < 3), max_filter_bytes=0)) == rows_of(lm_score.score(docs, ~held & (F.col("doc_id") < 3)))
+
+
 def test_log_frequency_filter():
     rng = np.random.default_rng(1)
     keys, counts = rng.integers(0, 2**63, 5000).astype(np.uint64), rng.integers(1, 200, 5000).astype(np.uint64)

@@ -5,7 +5,8 @@ the key's hash. A count c has the level 1 + floor(log2 c), and the filter holds
 one sub-filter per shard and broadcast. A count is read back by probing level after level until one is missing. Bigrams and
 unigrams are interpolated with additive smoothing below. A false probe can only raise a level; with 10 bits an entry it does so in under 1 % of probes.
 
-If the filter would pass `max_filter_bytes`, the least bigram count is raised until it fits, by the exact histogram of levels; unigrams always stay.
+Every n-gram is in the filter, whatever its size. A filter beyond `max_filter_bytes` is not broadcast: texts are packed into units, a unit's distinct
+keys are shuffled to the sub-filters that may hold them, and the levels come back by unit; scores are the same as with a broadcast.
 Exact unigram counts (for the base score) are broadcast up to `max_table_bytes`; beyond that they are joined by shuffle.
 
 Cases: null and empty texts are one end token; without training rows every count is 0; repeated rows are scored each; extra columns are ignored.
@@ -109,16 +110,14 @@ def probe_places(keys: np.ndarray, level: int, sizes, probes: int):
             yield ((a + np.uint64(i) * b) % sizes).astype(np.int64)
 
 
-def build_filters(counts: DataFrame, bits: int, probes: int, least: int) -> DataFrame:
+def build_filters(counts: DataFrame, bits: int, probes: int) -> DataFrame:
     """(shard, size, cells): one sub-filter per shard over both kinds."""
 
     def build(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
         keys, levels = [], []
-        for kind, k, c in zip(table.column("kind").to_pylist(), table.column("keys").to_pylist(), table.column("counts").to_pylist(), strict=True):
-            k, c = np.frombuffer(k, np.uint64), np.frombuffer(c, np.uint64)
-            use = c >= (least if kind == 2 else 1)
-            keys.append(k[use])
-            levels.append(level_of(c[use]))
+        for k, c in zip(table.column("keys").to_pylist(), table.column("counts").to_pylist(), strict=True):
+            keys.append(np.frombuffer(k, np.uint64))
+            levels.append(level_of(np.frombuffer(c, np.uint64)))
         keys, levels = np.concatenate(keys), np.concatenate(levels)
         size = max(64, -(-int(levels.sum()) * bits // 64) * 64)
         cells = np.zeros(size, bool)
@@ -164,13 +163,70 @@ class LogFrequencyFilter:
         return out
 
 
+def pack_units(kept: DataFrame, unit_bytes: int) -> DataFrame:
+    """(unit, part, row, ids, texts): runs of texts of one partition, cut once they pass unit_bytes; row is the first one's place in it."""
 
-def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_filter_bytes: int = 256 << 20, max_table_bytes: int = 256 << 20, shard_bytes: int = 4 << 20) -> DataFrame:
+    def pack(batches):
+        ids, texts, part, row, held, number = [], [], 0, 0, 0, 0
+
+        def out():
+            kinds = [pa.int64(), pa.int32(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.binary())]
+            return pa.RecordBatch.from_arrays([pa.array([x], k) for x, k in zip((part << 32 | number, part, row, ids, texts), kinds, strict=True)], ["unit", "part", "row", "ids", "texts"])
+
+        for batch in batches:
+            for i, text, part in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), batch.column("part").to_pylist(), strict=True):
+                ids.append(i)
+                texts.append(text)
+                held += len(text or b"")
+                if held >= unit_bytes or len(ids) >= 20_000:
+                    yield out()
+                    row, number = row + len(ids), number + 1
+                    ids, texts, held = [], [], 0
+        if ids:
+            yield out()
+
+    return kept.mapInArrow(pack, "unit long, part int, row long, ids array<bigint>, texts array<binary>")
+
+
+def wanted_keys(keys: np.ndarray, starts: np.ndarray, shards: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(distinct keys of a unit's words and bigrams, the order that sorts them by shard, their shards in that order)."""
+    wanted = np.unique(np.concatenate((keys, bigram_keys(keys, starts))))
+    shard = shard_of(wanted, shards)
+    order = np.argsort(shard, kind="stable")
+    return wanted, order, shard[order]
+
+
+def routed_levels(units: DataFrame, filters: DataFrame, shards: int, probes: int, salts: int) -> DataFrame:
+    """(unit, shard, levels): the levels of each unit's distinct keys in wanted_keys order, one byte each. A sub-filter is sent to `salts` groups."""
+
+    def ask(batches):
+        for batch in batches:
+            for unit, texts in zip(batch.column("unit").to_pylist(), batch.column("texts").to_pylist(), strict=True):
+                wanted, order, shard = wanted_keys(*batch_keys(texts), shards)
+                first = np.flatnonzero(np.r_[True, shard[1:] != shard[:-1]])
+                blobs = [x.tobytes() for x in np.split(wanted[order], first[1:])]
+                salt = int(mix64(np.array([unit], np.uint64))[0] % np.uint64(salts))
+                yield pa.RecordBatch.from_arrays([pa.array(shard[first]), pa.array([salt] * len(first), pa.int64()), pa.array([unit] * len(first), pa.int64()), pa.array(blobs, pa.binary())], ["shard", "salt", "unit", "keys"])
+
+    def answer(key: tuple[pa.Scalar, ...], asked: pa.Table, held: pa.Table) -> pa.Table:
+        blobs = [np.frombuffer(x, np.uint64) for x in asked.column("keys").to_pylist()]
+        own = LogFrequencyFilter(zip([0] * held.num_rows, held.column("size").to_pylist(), held.column("cells").to_pylist(), strict=True), 1, probes)
+        levels = own.levels(np.concatenate(blobs)).astype(np.uint8) if blobs else np.empty(0, np.uint8)
+        found = [x.tobytes() for x in np.split(levels, np.cumsum([len(x) for x in blobs])[:-1])] if blobs else []
+        return pa.table({"unit": asked.column("unit"), "shard": asked.column("shard"), "levels": pa.array(found, pa.binary())})
+
+    asked = units.select("unit", "texts").mapInArrow(ask, "shard long, salt long, unit long, keys binary")
+    sent = filters.crossJoin(filters.sparkSession.range(salts).withColumnRenamed("id", "salt"))
+    return asked.groupBy("shard", "salt").cogroup(sent.groupBy("shard", "salt")).applyInArrow(answer, "unit long, shard long, levels binary")
+
+
+def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_filter_bytes: int = 256 << 20, max_table_bytes: int = 256 << 20, shard_bytes: int = 4 << 20, unit_bytes: int = 4 << 20) -> DataFrame:
     """training: boolean column. (doc_id, n_tokens, n_known, train_tokens, base_score, score) of every row of docs."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "lm")
     train = docs.where(training)
-    size = train.agg(F.sum(F.octet_length("text")).alias("b"), F.count(F.lit(1)).alias("n")).first()
+    weight = F.octet_length("text")
+    size = docs.agg(F.sum(F.when(training, weight)).alias("b"), F.count_if(training).alias("n"), F.sum(weight).alias("every")).first()
     shards = max(16, (size.b or 0) // shard_bytes)
     counts = scratch.write(count_ngrams(train, shards), "counts")
 
@@ -187,12 +243,11 @@ def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_filter
         n[r.kind][1] += r.total
         n[r.kind][2] += np.array(r.per_level)
     distinct, tokens = n[1][0], n[1][1]
-    levels, lowest = np.arange(65), 1
-    entries = lambda low: int((n[1][2] * levels).sum() + (n[2][2] * levels)[low:].sum())
-    while lowest < 64 and entries(lowest) * bits // 8 > max_filter_bytes:
-        lowest += 1
-    filters = scratch.write(build_filters(counts, bits, probes, 1 << (lowest - 1)), "filters")
-    held = spark.sparkContext.broadcast(LogFrequencyFilter(((r.shard, r.size, r.cells) for r in filters.toLocalIterator()), shards, probes))  # one file at a time
+    entries = int(((n[1][2] + n[2][2]) * np.arange(65)).sum())
+    filters = scratch.write(build_filters(counts, bits, probes), "filters")
+    held = None
+    if entries * bits // 8 <= max_filter_bytes:
+        held = spark.sparkContext.broadcast(LogFrequencyFilter(((r.shard, r.size, r.cells) for r in filters.toLocalIterator()), shards, probes))  # one file at a time
     exact = None
     unigrams = counts.where("kind = 1").select("keys", "counts")
     if distinct * 16 <= max_table_bytes:
@@ -208,35 +263,54 @@ def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_filter
     floor = np.log10(tokens + 1.0 * (distinct + 1))
     kept = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"), F.spark_partition_id().alias("part"))
 
+    def judged_batch(ids, part, row, keys, starts, levels):
+        unique, back = np.unique(keys, return_inverse=True)
+        if exact is not None:
+            known, values = exact.value
+            at = np.minimum(np.searchsorted(known, unique), max(0, len(known) - 1))
+            c = np.where(known[at] == unique, values[at], 0).astype(np.float64) if len(known) else np.zeros(len(unique))
+            base = np.add.reduceat((np.log10(c + 1) - floor)[back], starts)
+            n_known = np.add.reduceat((c > 0).astype(np.int64)[back], starts)
+        else:
+            base, n_known = np.zeros(len(starts)), np.zeros(len(starts), np.int64)
+        one = value_of(levels(unique))[back]
+        before = np.empty_like(one)
+        before[1:] = one[:-1]
+        before[starts] = begin_count
+        two = np.minimum(value_of(levels(bigram_keys(keys, starts))), before)
+        p1 = (one + 1) / (tokens + distinct + 1)
+        p = np.where(before > 0, LAMBDA * two / np.maximum(before, 1) + (1 - LAMBDA) * p1, p1)
+        total = np.add.reduceat(np.log10(p), starts)
+        n_tokens = np.diff(np.r_[starts, len(keys)])
+        index = np.arange(row, row + len(starts))
+        return pa.RecordBatch.from_arrays([ids, part, pa.array(index), pa.array(n_tokens), pa.array(n_known), pa.array(base), pa.array(total)], ["doc_id", "part", "row", "n_tokens", "n_known", "base_score", "score"])
+
     def judge(batches):
         row = 0
         for whole in batches:
             for low in range(0, whole.num_rows, 500):
                 batch = whole.slice(low, 500)
-                keys, starts = batch_keys(batch.column("text").to_pylist())
-                unique, back = np.unique(keys, return_inverse=True)
-                if exact is not None:
-                    known, values = exact.value
-                    at = np.minimum(np.searchsorted(known, unique), max(0, len(known) - 1))
-                    c = np.where(known[at] == unique, values[at], 0).astype(np.float64) if len(known) else np.zeros(len(unique))
-                    base = np.add.reduceat((np.log10(c + 1) - floor)[back], starts)
-                    n_known = np.add.reduceat((c > 0).astype(np.int64)[back], starts)
-                else:
-                    base, n_known = np.zeros(len(starts)), np.zeros(len(starts), np.int64)
-                one = value_of(held.value.levels(unique))[back]
-                before = np.empty_like(one)
-                before[1:] = one[:-1]
-                before[starts] = begin_count
-                two = np.minimum(value_of(held.value.levels(bigram_keys(keys, starts))), before)
-                p1 = (one + 1) / (tokens + distinct + 1)
-                p = np.where(before > 0, LAMBDA * two / np.maximum(before, 1) + (1 - LAMBDA) * p1, p1)
-                total = np.add.reduceat(np.log10(p), starts)
-                n_tokens = np.diff(np.r_[starts, len(keys)])
-                index = np.arange(row, row + len(starts))
-                row += len(starts)
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("part"), pa.array(index), pa.array(n_tokens), pa.array(n_known), pa.array(base), pa.array(total)], ["doc_id", "part", "row", "n_tokens", "n_known", "base_score", "score"])
-
-    judged = kept.mapInArrow(judge, "doc_id long, part int, row long, n_tokens long, n_known long, base_score double, score double")
+                yield judged_batch(batch.column("doc_id"), batch.column("part"), row, *batch_keys(batch.column("text").to_pylist()), held.value.levels)
+                row += batch.num_rows
+
+    def judge_unit(key: tuple[pa.Scalar, ...], unit: pa.Table, answers: pa.Table) -> pa.Table:
+        ids, part, row = (unit.column(c)[0].as_py() for c in ("ids", "part", "row"))
+        keys, starts = batch_keys(unit.column("texts")[0].as_py())
+        wanted, order, _ = wanted_keys(keys, starts, shards)
+        level = np.empty(len(wanted), np.int64)
+        by_shard = np.argsort(answers.column("shard").to_numpy())
+        blobs = answers.column("levels").to_pylist()
+        level[order] = np.frombuffer(b"".join(blobs[k] for k in by_shard), np.uint8)
+        found = judged_batch(pa.array(ids, pa.int64()), pa.array([part] * len(ids), pa.int32()), row, keys, starts, lambda k: level[np.searchsorted(wanted, k)])
+        return pa.Table.from_batches([found])
+
+    columns = "doc_id long, part int, row long, n_tokens long, n_known long, base_score double, score double"
+    if held is not None:
+        judged = kept.mapInArrow(judge, columns)
+    else:
+        units = scratch.write(pack_units(kept, unit_bytes), "units")
+        salts = max(1, -(-(size.every or 0) // (16 * max(1, size.b or 0))))
+        judged = units.groupBy("unit").cogroup(routed_levels(units, filters, shards, probes, salts).groupBy("unit")).applyInArrow(judge_unit, columns)
     if exact is None:
         joined = base_by_join(kept, unigrams, float(floor))
         judged = judged.drop("n_known", "base_score").join(joined, ["part", "row"])
