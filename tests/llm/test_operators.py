@@ -118,6 +118,43 @@ def test_op2_hot_tokens_and_small_shards(docs, rows):
     assert Counter((r.doc_id, r.n_shingles, r.component_id) for r in found.collect()) == Counter(brute_components(rows))
 
 
+def brute_links(rows):
+    """(links between classes, number of linked other documents per row)."""
+    known = [(i, ngram_join.shingle_sets([t.encode() if t is not None else None], 5)[0].tobytes()) for i, t in rows]
+    near = lambda x, y: 100 * len(x & y) >= 80 * len(x | y)
+    sets = {b: set(np.frombuffer(b, np.uint64).tolist()) for _, b in known}
+    label = {b: min((j for j, c in known if c == b and j is not None), default=None) for b in sets}
+    degree = Counter((i, sum(near(sets[b], sets[c]) for _, c in known) - 1 if b else 0) for i, b in known)
+    return {(label[x], label[y]) for x in sets for y in sets if x and y and label[x] < label[y] and near(sets[x], sets[y])}, degree
+
+
+def test_op2_returns_every_link(spark, docs, rows):
+    links_, degree = brute_links(rows)
+    found, links = ngram_join.near_duplicates(docs)
+    got = [(r.a, r.b) for r in links.collect()]
+    assert len(got) == len(set(got)) and set(got) == links_
+    assert Counter((r.doc_id, r.n_links) for r in found.collect()) == degree
+    scratch = common.Scratch(spark, "links")
+    classes = found.where("class_id = doc_id and n_shingles > 0").dropDuplicates(["class_id"]).select(found.class_id.alias("id"), found.n_shingles.cast("int").alias("n"), found.component_id.alias("comp"))
+    from pyspark.sql import functions as F
+
+    pairs, others = ngram_join.linked_pairs(docs, classes.withColumn("docs", F.lit(1).cast("long")), 5, 80, scratch, block=4)  # many block pairs
+    got = [(r.a, r.b) for r in pairs.collect()]
+    assert len(got) == len(set(got)) and set(got) == links_
+    want = Counter(x for pair in links_ for x in pair)
+    assert {r.id: r.others for r in others.collect() if r.others} == want
+    assert ngram_join.near_duplicates(docs.limit(0))[1].count() == 0
+
+
+def test_shared_counts():
+    rng = random.Random(9)
+    sets = [np.array(sorted(rng.sample(range(60), rng.randint(1, 40))), np.uint64) for _ in range(11)]
+    want = np.array([[len(set(x.tolist()) & set(y.tolist())) for y in sets] for x in sets])
+    upper = ngram_join.shared_counts(sets, None, 7)
+    assert (upper - want)[~np.eye(11, dtype=bool)].any() == 0
+    assert (ngram_join.shared_counts(sets, 4, 7) == want[:4, 4:]).all() and (ngram_join.shared_counts(sets[:2], 1) == want[:1, 1:2]).all()
+
+
 def test_word_keys(monkeypatch):
     rng = random.Random(1)
     texts = [b"".join(rng.choice([b"a", b"B", b"b", b" ", b"\n", b"\x0b", b"\xc3\xa9", b"\x1c"]) for _ in range(rng.randint(0, 60))) for _ in range(500)] + [None, b""]

@@ -11,6 +11,8 @@
    near copies costs a multiple of its size, and no pair that could join two components is left out. Length, positional and
    suffix (counts over hash ranges) filters come before the sets are fetched, and each pair is verified once.
 4. Components by alternating large-star and small-star steps on tables.
+5. The rounds link every component but leave out pairs inside it. Both ends of any link are in one component, so all links are found by comparing
+   all classes of each component: small components whole, large ones in pairs of blocks, each block pair by products of its incidence matrix.
 
 Shingles are compared by 64-bit hashes. Cases: null or empty texts have no shingle and link with nothing; a text with fewer words than
 the shingle size has one shingle; repeated rows are in one class; a table without rows gives no rows; extra columns are ignored.
@@ -247,14 +249,89 @@ def components(edges: DataFrame, scratch: Scratch, name: str) -> DataFrame:
     return now.select(F.col("u").alias("id"), F.col("v").alias("comp")).union(now.select(F.col("v").alias("id"), F.col("v").alias("comp")).distinct())
 
 
-def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, hot: int = 20_000, shard_rows: int = 250_000) -> tuple[DataFrame, DataFrame]:
-    """(documents, links): rows (doc_id, n_shingles, class_id, component_id), and verified links between class representatives."""
+def shared_counts(sets: list[np.ndarray], cut: int | None = None, width: int = 8192) -> np.ndarray:
+    """Sizes of the intersections of all sets with each other, or of those before `cut` with the rest."""
+    m = len(sets)
+    if m == 2:
+        shared = len(np.intersect1d(sets[0], sets[1], assume_unique=True))
+        return np.array([[shared]]) if cut else np.array([[len(sets[0]), shared], [shared, len(sets[1])]])
+    owner = np.repeat(np.arange(m), [len(x) for x in sets])
+    _, column, held = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    use = held[column] > 1  # others are in no intersection
+    owner, (_, column) = owner[use], np.unique(column[use], return_inverse=True)
+    order = np.argsort(column, kind="stable")
+    owner, column = owner[order], column[order]
+    out = np.zeros((cut or m, m - (cut or 0)), np.int64)
+    for low in range(0, int(column.max(initial=-1)) + 1, width):
+        first, end = np.searchsorted(column, [low, low + width])
+        cells = np.zeros((m, width), np.float32)
+        cells[owner[first:end], column[first:end] - low] = 1
+        out += (cells[: cut or m] @ cells[cut or 0 :].T).astype(np.int64)
+    return out
+
+
+def linked_pairs(docs: DataFrame, inside: DataFrame, size: int, percent: int, scratch: Scratch, block: int = 256) -> tuple[DataFrame, DataFrame]:
+    """inside: (id, n, comp, docs) of the classes that have a link. All links (a, b) between them, and (id, others): the documents in linked classes."""
+    inside = scratch.write(inside, "inside")
+    blocks = F.ceil(F.col("m") / F.lit(block)).cast("int")
+    held = inside.join(inside.groupBy("comp").agg(F.count(F.lit(1)).alias("m")), "comp").withColumn("k", blocks).withColumn("own", F.pmod(F.xxhash64("id"), F.col("k")).cast("int"))
+    sent = held.agg(F.sum(F.col("n").cast("long") * 8 * F.col("k"))).first()[0] or 0
+    sets = scratch.write(fetch_sets(docs, inside.select("id"), size), "inside-sets")
+    dealt = held.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1))).withColumn("low", F.least("own", "other")).withColumn("high", F.greatest("own", "other"))
+    dealt = dealt.join(sets, "id").withColumn("bin", F.pmod(F.xxhash64("comp", "low", "high"), F.lit(max(32, sent // (8 << 20)))))
+
+    def pieces(table: pa.Table):
+        """(ids, documents of each, linked matrix, cut) of each block pair in a bin."""
+        comp, low, high, own, ids, weight = (table.column(c).to_numpy() for c in ("comp", "low", "high", "own", "id", "docs"))
+        order = np.lexsort((own, high, low, comp))
+        comp, low, high, own, ids, weight = (x[order] for x in (comp, low, high, own, ids, weight))
+        raw = table.column("set").to_pylist()
+        new = np.flatnonzero(np.r_[True, (comp[1:] != comp[:-1]) | (low[1:] != low[:-1]) | (high[1:] != high[:-1])])
+        for a, b in zip(new, np.r_[new[1:], len(comp)], strict=True):
+            cut = int(np.searchsorted(own[a:b], high[a])) if low[a] < high[a] else None
+            if b - a < 2 or cut in (0, b - a):
+                continue
+            members = [np.frombuffer(raw[k], np.uint64) for k in order[a:b]]
+            n = np.array([len(x) for x in members])
+            shared = shared_counts(members, cut)
+            linked = 100 * shared >= percent * (n[: cut or len(n), None] + n[None, cut or 0 :] - shared)
+            if cut is None:
+                np.fill_diagonal(linked, False)
+            yield ids[a:b], weight[a:b], linked, cut
+
+    def pairs(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
+        found = [(np.empty(0, np.int64),) * 2]
+        for ids, _, linked, cut in pieces(table):
+            x, y = np.nonzero(linked if cut else np.triu(linked))
+            x, y = ids[x], ids[y + (cut or 0)]
+            found.append((np.minimum(x, y), np.maximum(x, y)))
+        a, b = (np.concatenate(x) for x in zip(*found, strict=True))
+        return pa.table({"a": a, "b": b})
+
+    def sums(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
+        found = [(np.empty(0, np.int64),) * 2]
+        for ids, weight, linked, cut in pieces(table):
+            if cut is None:
+                found.append((ids, linked @ weight))
+            else:
+                found += [(ids[:cut], linked @ weight[cut:]), (ids[cut:], linked.T @ weight[:cut])]
+        ids, others = (np.concatenate(x) for x in zip(*found, strict=True))
+        return pa.table({"id": ids, "others": others})
+
+    bins = dealt.select("bin", "comp", "low", "high", "own", "id", "docs", "set").groupBy("bin")
+    return bins.applyInArrow(pairs, "a long, b long"), bins.applyInArrow(sums, "id long, others long").groupBy("id").agg(F.sum("others").alias("others"))
+
+
+def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, hot: int = 20_000, shard_rows: int = 250_000, whole_links: bool = True) -> tuple[DataFrame, DataFrame]:
+    """(documents, links): rows (doc_id, n_shingles, class_id, component_id, n_links), and all verified links between class representatives.
+    n_links counts the other documents that a document is linked with, those of its own class included. Without whole_links there is no n_links,
+    and the links are only those that the rounds needed for the components."""
     scratch = Scratch(docs.sparkSession, "ngrams")
     docs = docs.select("doc_id", "text")
     rows = scratch.write(profile(docs, size), "profile")
     sketch = read_sketch(rows)
     members = rows.where("block is null")
-    classes = scratch.write(members.where("n > 0").groupBy("sig", "n").agg(F.min("doc_id").alias("id"), F.first("parts").alias("parts")), "classes")
+    classes = scratch.write(members.where("n > 0").groupBy("sig", "n").agg(F.min("doc_id").alias("id"), F.first("parts").alias("parts"), F.count(F.lit(1)).alias("docs")), "classes")
     total = members.agg(F.sum(F.col("n") * F.lit((100 - percent) / 100) + 1)).first()[0] or 0
     tokens = shared_prefixes(docs, sketch, size, percent, max(32, int(total // shard_rows)), hot)
     tokens = scratch.write(tokens.join(classes.select("sig", "n", "id"), ["sig", "n"]).where("id is not null").select("token", "id", "n", "pos", "central"), "tokens")
@@ -291,6 +368,11 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, hot: int
         links = found if links is None else links.union(found)
         tested = pairs if tested is None else tested.union(pairs)
         comp = components(links.select(F.col("a").alias("u"), F.col("b").alias("v")), scratch, f"comp{k}")
-    labelled = members.join(classes.select("sig", "n", "id"), ["sig", "n"], "left").join(comp, "id", "left")
-    out = labelled.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.coalesce("id", "doc_id").alias("class_id"), F.coalesce("comp", "id", "doc_id").alias("component_id"))
+    labelled = members.join(classes.select("sig", "n", "id", "docs"), ["sig", "n"], "left").join(comp, "id", "left")
+    own = []
+    if whole_links:
+        links, others = linked_pairs(docs, classes.select("id", "n", "docs").join(comp, "id"), size, percent, scratch)
+        labelled = labelled.join(others, "id", "left")
+        own = [(F.coalesce(F.col("docs") - 1, F.lit(0)) + F.coalesce("others", F.lit(0))).alias("n_links")]
+    out = labelled.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.coalesce("id", "doc_id").alias("class_id"), F.coalesce("comp", "id", "doc_id").alias("component_id"), *own)
     return out, links

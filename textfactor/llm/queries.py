@@ -14,10 +14,15 @@ def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found, _ = ngram_join.near_duplicates(table(spark, sf_dir, "documents"))
+    found, _ = ngram_join.near_duplicates(table(spark, sf_dir, "documents"), whole_links=False)
     return found.select("doc_id", "n_shingles", "component_id")
 
 
+def op2_ngram_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found, _ = ngram_join.near_duplicates(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_shingles", "component_id", "n_links")
+
+
 def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge(table(spark, sf_dir, "pages"))
 
@@ -59,7 +64,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kept.select("doc_id", "n_lines", "n_dropped", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
 
 
-QUERIES = {f.__name__: f for f in (op1_token_counts, op2_ngram_join, op3_url_filter, op4_decontamination, op5_nearest_neighbours, op6_secret_scan, op7_language_id, op8_packing, op9_lm_scoring, op10_line_dedup)}
+QUERIES = {f.__name__: f for f in (op1_token_counts, op2_ngram_join, op2_ngram_links, op3_url_filter, op4_decontamination, op5_nearest_neighbours, op6_secret_scan, op7_language_id, op8_packing, op9_lm_scoring, op10_line_dedup)}
 
 ORACLES = {
     "op2_ngram_join": r"""
@@ -77,6 +82,22 @@ reach as (select doc_id, doc_id as other from documents union select r.doc_id, l
 labels_ as (select doc_id, min(other) as component_id from reach group by doc_id)
 select d.doc_id, coalesce(s.n, 0) as n_shingles, c.component_id
 from documents d left join sizes s on s.doc_id = d.doc_id join labels_ c on c.doc_id = d.doc_id""",
+    "op2_ngram_links": r"""
+with recursive words as (
+  select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') as w from documents),
+grams as (
+  select distinct doc_id, array_to_string(w[i : i + 4], ' ') as g
+  from words, lateral (select unnest(range(1, greatest(len(w) - 4, 1) + 1)) as i) where len(w) > 0),
+sizes as (select doc_id, count(*) as n from grams group by doc_id),
+links as (
+  select x.doc_id as a, y.doc_id as b from grams x join grams y on x.g = y.g and x.doc_id <> y.doc_id
+  join sizes sx on sx.doc_id = x.doc_id join sizes sy on sy.doc_id = y.doc_id
+  group by x.doc_id, y.doc_id, sx.n, sy.n having 100 * count(*) >= 80 * (sx.n + sy.n - count(*))),
+reach as (select doc_id, doc_id as other from documents union select r.doc_id, l.b from reach r join links l on r.other = l.a),
+labels_ as (select doc_id, min(other) as component_id from reach group by doc_id),
+degrees as (select a, count(*) as n_links from links group by a)
+select d.doc_id, coalesce(s.n, 0) as n_shingles, c.component_id, coalesce(g.n_links, 0) as n_links
+from documents d left join sizes s on s.doc_id = d.doc_id join labels_ c on c.doc_id = d.doc_id left join degrees g on g.a = d.doc_id""",
     "op10_line_dedup": r"""
 with lines as (
   select doc_id, i as line_no, parts[i] as line, lcase.k as key
