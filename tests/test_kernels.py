@@ -78,6 +78,23 @@ def test_factorizations(pool):
         assert suffix.delta(s) <= len(full) or not s
 
 
+def test_grid_modes_charge_their_scans():
+    from textfactor.kernels.cost import Ledger
+
+    for size in (64, 128):  # one long phrase: variant 1 reads all of its symbols, variant 2 about the root of them
+        state = lz.GridState("ab" * size + "c" + "ab" * size, 4, ledger=(linear := Ledger()), mode="linear")
+        state.advance(0, 2 * size + 1)
+        h = state.far(2 * size + 1, 4 * size)
+        assert h is not None and linear.oracle_reads >= h - (2 * size + 1)
+        assert linear.oracle_reads <= 2 * size + 6  # the reach is reused: tau more at most, and not tau times the length
+        other = lz.GridState("ab" * size + "c" + "ab" * size, 4, ledger=(root := Ledger()), mode="sqrt_product")
+        other.advance(0, 2 * size + 1)
+        assert other.far(2 * size + 1, 4 * size) == h and root.grover_calls > 1
+    merged, own = Ledger(), Ledger()
+    assert lz.lz_grid_auto("ab" * 20, merged) == lz.lz_grid_auto("ab" * 20, own, mode="merged") and merged.row() == own.row()
+    assert lz.lz_grid_auto("ab" * 20, mode="linear") == lz.lz_grid_auto("ab" * 20)
+
+
 def test_selection_and_identification():
     rng = random.Random(1)
     for _ in range(100):

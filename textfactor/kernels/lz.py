@@ -165,14 +165,34 @@ class GridState:
         low = max(i, j - self.tau)
         if self.mode == "merged":
             return self._far_merged(i, j, low)
+        reach = j  # least start of a held fragment so far; a fragment that ends further left starts no earlier unless it holds text[reach:h]
         for h in range(j, low - 1, -1):
+            if h == i:
+                return h
+            start = min(reach, h)
+            if start < h and self.prefixes.holder(start, h) is None:  # charged as common suffix calls
+                continue
+            reach = start - self._extend(i, start, h)
+            if reach == i:
+                return h
+        return None
+
+    def _extend(self, i: int, start: int, h: int) -> int:
+        """By how many symbols text[start:h] can be extended to the left, not beyond i, and still be held; each one is read, or they are searched."""
+
+        def held(m: int) -> bool:
             if self.mode == "linear":
                 self.ledger.oracle_reads += 1
             else:
-                self.ledger.search(h - i)
-            if self.good(i, h) is not None:
-                return h
-        return None
+                self.ledger.search(m)
+            return self.prefixes.holder(start - m, h) is not None
+
+        if self.mode == "linear":
+            m = 0
+            while m < start - i and held(m + 1):
+                m += 1
+            return m
+        return gallop(held, 0, start - i)
 
     def _far_merged(self, i: int, j: int, low: int) -> int | None:
         """Each h keeps the ends that share text[low:h]; stripped of it they form one virtual list that is searched once for text[i:low]."""
@@ -261,7 +281,7 @@ def lz_end_direct(text, tau: int | None, grid: str = "one") -> list[Phrase]:
     return out
 
 
-def lz_grid_auto(text, ledger: Ledger | None = None, mode: str = "linear") -> tuple[list[Phrase], int, int]:
+def lz_grid_auto(text, ledger: Ledger | None = None, mode: str = "merged") -> tuple[list[Phrase], int, int]:
     """(phrases, guess, tau): the guess of the phrase count doubles, tau = ceil(sqrt(n / guess)), each round stops beyond its guess."""
     n, guess, ledger = len(symbols_of(text)), 1, ledger or Ledger()
     while True:
