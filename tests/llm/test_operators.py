@@ -225,6 +225,15 @@ def test_op4(spark, sf, empty):
     assert contamination.find_leaks(docs, nulls).count() == 0
 
 
+def test_op5_takes_the_commonest_length_of_all_rows(spark):
+    rng = random.Random(4)
+    some = lambda low, n, size: spark.createDataFrame([(low + k, [rng.gauss(0, 1) for _ in range(size)]) for k in range(n)], "vec_id long, embedding array<float>").coalesce(1)
+    bad = spark.createDataFrame([(90_000 + k, [float("nan")] * 5) for k in range(3000)], "vec_id long, embedding array<float>").coalesce(1)
+    table = some(0, 1100, 4).union(some(10_000, 1300, 8)).union(bad)
+    got = ann_search.nearest(table, "vec_id % 100 = 0").collect()
+    assert {r.query_id for r in got} == {10_000 + 100 * k for k in range(13)} and all(10_000 <= r.vec_id < 20_000 for r in got)
+
+
 def test_op5(spark, sf):
     e = spark.read.parquet(f"{sf}/embeddings.parquet")
     bad = spark.createDataFrame([(5000, None), (5050, [0.0] * 64), (5100, [float("nan")] * 64), (5150, [1.0] * 63), (5200, [None] + [1.0] * 63)], "vec_id long, embedding array<float>")

@@ -101,8 +101,9 @@ def nearest(embeddings: DataFrame, is_query, k: int = 5, curves: int = 6, dims:
     spark = embeddings.sparkSession
     scratch = Scratch(spark, "ann")
     rows = embeddings.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).alias("vec"))
-    lengths = [r.n for r in rows.where("vec is not null").select(F.size("vec").alias("n")).where("n > 0").limit(1000).collect()]
-    dim = max(set(lengths), key=lambda n: (lengths.count(n), n)) if lengths else 1
+    valid = F.col("vec_id").isNotNull() & F.forall("vec", lambda x: F.coalesce(F.abs(x) < float("inf"), F.lit(False))) & F.exists("vec", lambda x: x != 0)
+    commonest = rows.where(valid).groupBy(F.size("vec").alias("n")).count().orderBy(F.desc("count"), F.desc("n")).first()
+    dim = commonest.n if commonest else 1
 
     def place(batches):
         for batch in batches:
