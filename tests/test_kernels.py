@@ -78,6 +78,16 @@ def test_factorizations(pool):
         assert suffix.delta(s) <= len(full) or not s
 
 
+def test_suffix_array_engine_holds_an_order():
+    from textfactor.kernels.cost import Ledger
+
+    for text in ("abaababaabaab" * 5, "aaaa", "", "abcabcabd"):
+        got = lz.lz_no_suffix_array(text, ledger := Ledger())
+        assert [p[:2] for p in got] == [p[:2] for p in lz.lz77(text, overlap=False)] and lz.is_lz77_like(got, text)
+        assert all(src < 0 or src + size <= start for start, size, src, _ in got)
+        assert not text or ledger.comparisons >= len(text)  # each read position is put in its place
+
+
 def test_grid_modes_charge_their_scans():
     from textfactor.kernels.cost import Ledger
 

@@ -384,14 +384,25 @@ def lz_no_sorted_prefix(text, ledger: Ledger | None = None) -> list[Phrase]:
 
 
 def lz_no_suffix_array(text, ledger: Ledger | None = None) -> list[Phrase]:
-    """The same output over a growing suffix order of the read prefix: linear updates, square-root searches."""
+    """The same output over a growing suffix array of the reversed read prefix: linear updates, square-root searches."""
     s, codes, ledger = symbols_of(text), codes_of(text), ledger or Ledger()
-    out, i = [], 0
-    while i < len(s):
-        size = gallop(lambda m, i=i: m == 0 or s.find(s[i : i + m], 0, i) >= 0, 0, len(s) - i)
+    back, out, i, n = s[::-1], [], 0, len(s)
+    ends: list[int] = []  # of the read prefix, in the order of back[n - end:]
+
+    def holder(i: int, m: int) -> int | None:
+        ledger.comparisons += max(1, len(ends)).bit_length()
+        piece = back[n - i - m : n - i]
+        at = bisect.bisect_left(ends, piece, key=lambda e: back[n - e : n - e + m])
+        return ends[at] if at < len(ends) and back[n - ends[at] : n - ends[at] + m] == piece else None
+
+    while i < n:
+        size = gallop(lambda m, i=i: m == 0 or holder(i, m) is not None, 0, n - i)
         ledger.search(max(1, size))
         ledger.grover_time += max(1, size)
-        out.append((i, size, s.find(s[i : i + size], 0, i), -1) if size else (i, 1, -1, int(codes[i])))
+        out.append((i, size, holder(i, size) - size, -1) if size else (i, 1, -1, int(codes[i])))
+        for end in range(i + 1, i + max(1, size) + 1):
+            ledger.comparisons += max(1, len(ends)).bit_length()
+            bisect.insort_left(ends, end, key=lambda e: back[n - e :])
         i += max(1, size)
     return out
 
