@@ -6,16 +6,13 @@ import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
 
+from textfactor.functions.rowwise import each
 from textfactor.kernels import anchor, apps, edit, index, lz, solve, suffix
 
 
-def _map(function, *columns):
-    return pd.Series([None if any(v is None for v in row) else function(*row) for row in zip(*columns, strict=True)], dtype=object)
-
-
 @pandas_udf("int")
 def tf_edit_distance(a: pd.Series, b: pd.Series) -> pd.Series:
-    return _map(lambda x, y: edit.ed_diagonal_auto(x, y), a, b)
+    return each(lambda x, y: edit.ed_diagonal_auto(x, y), a, b)
 
 
 @pandas_udf("int")
@@ -24,47 +21,47 @@ def tf_edit_bounded(a: pd.Series, b: pd.Series, k: pd.Series) -> pd.Series:
         d = edit.ed_diagonal(x, y, int(m))
         return -1 if d is None else d
 
-    return _map(bounded, a, b, k)
+    return each(bounded, a, b, k)
 
 
 @pandas_udf("int")
 def tf_lz_size(t: pd.Series) -> pd.Series:
-    return _map(lz.lz_size, t)
+    return each(lz.lz_size, t)
 
 
 @pandas_udf("int")
 def tf_lz_end_size(t: pd.Series) -> pd.Series:
-    return _map(lambda x: len(lz.lz_end(x)), t)
+    return each(lambda x: len(lz.lz_end(x)), t)
 
 
 @pandas_udf("int")
 def tf_grid_size(t: pd.Series, tau: pd.Series) -> pd.Series:
-    return _map(lambda x, k: len(lz.lz_end_grid(x, int(k))), t, tau)
+    return each(lambda x, k: len(lz.lz_end_grid(x, int(k))), t, tau)
 
 
 @pandas_udf("double")
 def tf_delta(t: pd.Series) -> pd.Series:
-    return _map(suffix.delta, t)
+    return each(suffix.delta, t)
 
 
 @pandas_udf("int")
 def tf_bwt_runs(t: pd.Series) -> pd.Series:
-    return _map(suffix.run_count, t)
+    return each(suffix.run_count, t)
 
 
 @pandas_udf("int")
 def tf_lce(t: pd.Series, i: pd.Series, j: pd.Series) -> pd.Series:
-    return _map(lambda x, p, q: suffix.SuffixOrder(x).lce(int(p), int(q)), t, i, j)
+    return each(lambda x, p, q: suffix.SuffixOrder(x).lce(int(p), int(q)), t, i, j)
 
 
 @pandas_udf("int")
 def tf_lcs_len(a: pd.Series, b: pd.Series) -> pd.Series:
-    return _map(lambda x, y: apps.longest_common_substring(x, y)[2], a, b)
+    return each(lambda x, y: apps.longest_common_substring(x, y)[2], a, b)
 
 
 @pandas_udf("boolean")
 def tf_is_anchor(a: pd.Series, b: pd.Series, x: pd.Series, y: pd.Series) -> pd.Series:
-    return _map(lambda s, t, p, q: anchor.test_anchor(s, t, edit.ed_diagonal_auto(s, t), int(p), int(q)), a, b, x, y)
+    return each(lambda s, t, p, q: anchor.test_anchor(s, t, edit.ed_diagonal_auto(s, t), int(p), int(q)), a, b, x, y)
 
 
 @pandas_udf("distance int, edits int, q_tokens double, t_tokens double")

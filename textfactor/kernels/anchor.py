@@ -1,10 +1,13 @@
-"""Edit anchors: compressible windows around a position, finding an anchor, testing one."""
+"""Edit anchors: compressible windows around a position, finding an anchor, testing one.
+
+`compressed` takes the distances from the phrases of the window's fragments, whose symbols are then not read again; otherwise the fragments are
+compared as they are, which costs less in Python."""
 
 from __future__ import annotations
 
 from textfactor.kernels.cost import Ledger
 from textfactor.kernels.edit import ed_diagonal, path_of
-from textfactor.kernels.lz import prefix_phrases
+from textfactor.kernels.lz import lz77, prefix_phrases
 from textfactor.kernels.suffix import symbols_of
 
 
@@ -25,11 +28,21 @@ def _window_pair(x, y, lo: int, hi: int):
     return None if end < lo else (x[lo:hi], y[lo:end])
 
 
-def find_anchor(x, y, k: int, pos: int, const: int = 6, add: int = 2, ledger: Ledger | None = None) -> int:
+def _distance(x, y, k: int, compressed: bool, ledger: Ledger | None, script: bool = False):
+    if not compressed:
+        return ed_diagonal(x, y, k, script=script)
+    from textfactor.kernels.grammar import ed_compressed
+
+    if ledger:
+        ledger.lz_calls += 2
+    return ed_compressed(lz77(x), lz77(y), k, script)
+
+
+def find_anchor(x, y, k: int, pos: int, const: int = 6, add: int = 2, ledger: Ledger | None = None, compressed: bool = False) -> int:
     """y with (pos, y) an anchor, provided ed(x, y) <= k; 0 stands for the trivial answer. The smallest such y on the window's alignment."""
     lo, hi, _, _ = context_window(x, pos, k, const, add, ledger)
     pair = _window_pair(x, y, lo, hi)
-    found = ed_diagonal(*pair, k, script=True) if pair else None
+    found = _distance(*pair, k, compressed, ledger, script=True) if pair else None
     if ledger:
         ledger.grover_time += k * k
     if found is None:
@@ -38,7 +51,7 @@ def find_anchor(x, y, k: int, pos: int, const: int = 6, add: int = 2, ledger: Le
     return lo + next(b for a, b in path if a == pos - lo)
 
 
-def test_anchor(x, y, k: int, pos: int, at: int | None, const: int = 6, add: int = 2, ledger: Ledger | None = None) -> bool:
+def test_anchor(x, y, k: int, pos: int, at: int | None, const: int = 6, add: int = 2, ledger: Ledger | None = None, compressed: bool = False) -> bool:
     """Whether (pos, at) splits the distance, provided ed(x, y) <= k; without that promise any answer may come."""
     if at is None:
         return False
@@ -46,11 +59,11 @@ def test_anchor(x, y, k: int, pos: int, at: int | None, const: int = 6, add: int
     pair = _window_pair(x, y, lo, hi)
     if not pair or not lo <= at <= lo + len(pair[1]):
         return False
-    whole = ed_diagonal(*pair, k)
+    whole = _distance(*pair, k, compressed, ledger)
     if whole is None:
         return False
-    left = ed_diagonal(x[lo:pos], y[lo:at], whole)
-    right = None if left is None else ed_diagonal(x[pos:hi], pair[1][at - lo :], whole - left)
+    left = _distance(x[lo:pos], y[lo:at], whole, compressed, ledger)
+    right = None if left is None else _distance(x[pos:hi], pair[1][at - lo :], whole - left, compressed, ledger)
     if ledger:
         ledger.grover_time += 3 * k * k
     return right is not None and left + right == whole

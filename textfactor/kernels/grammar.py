@@ -127,6 +127,35 @@ def rules_of(g: Grammar) -> list[tuple[int, int, int, int, int, int]]:
     return [(v, g.left[v], g.right[v], g.size[v], g.height[v], g.sym[v]) for v in sorted(used)]
 
 
+def run_length_rules(g: Grammar) -> list[tuple[int, int, int, int, int]]:
+    """(rule, left, right, times, symbol): rules that repeat one base are a single rule base^times (right -1); only used rules."""
+    form: dict[int, tuple[int, int]] = {}
+    for v in range(len(g.size)):  # parts come before what they make
+        l, r = g.left[v], g.right[v]
+        same = l >= 0 and form[l][0] == form[r][0]
+        form[v] = (form[l][0], form[l][1] + form[r][1]) if same else (v, 1)
+    rules, stack = {}, [] if g.root is None else [g.root]
+    while stack:
+        v = stack.pop()
+        if v in rules:
+            continue
+        base, times = form[v]
+        if times > 1:
+            rules[v] = (v, base, -1, times, -1)
+            stack.append(base)
+        else:
+            rules[v] = (v, g.left[v], g.right[v], 1, g.sym[v])
+            stack += [c for c in (g.left[v], g.right[v]) if c >= 0]
+    return [rules[v] for v in sorted(rules)]
+
+
+def expand_run_length(rules: list[tuple[int, int, int, int, int]]) -> list[int]:
+    done: dict[int, list[int]] = {}
+    for v, left, right, times, sym in rules:
+        done[v] = done[left] * times if right < 0 <= left else [sym] if left < 0 else done[left] + done[right]
+    return done[rules[-1][0]] if rules else []
+
+
 class PhraseLce:
     """Longest common extensions on factorized texts, without expanding them: binary search over fingerprints."""
 

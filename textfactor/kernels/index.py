@@ -9,7 +9,9 @@ import math
 
 import numpy as np
 
-from textfactor.kernels.suffix import SuffixOrder, codes_of, lf_mapping, runs_of, with_sentinel
+from textfactor.kernels.grammar import PhraseLce
+from textfactor.kernels.lz import Phrase, decode, lz77
+from textfactor.kernels.suffix import SuffixOrder, bwt, codes_of, lf_mapping, runs_of, with_sentinel
 
 
 class BwtRuns:
@@ -117,6 +119,7 @@ def lf_power(runs: BwtRuns, tau: int) -> LfPower:
 
 class _Built:
     def __init__(self, text):
+        self.text = text
         codes = with_sentinel(codes_of(text))
         self.order = SuffixOrder(codes)
         self.n = len(codes)
@@ -305,7 +308,7 @@ class SaIndex(_Built):
             v = self.sa(mid)
             if v == position:
                 return mid
-            m = self.order.lce(v, position)
+            m = self.lce(v, position)
             if codes[v + m] < codes[position + m]:
                 lo = mid + 1
             else:
@@ -313,7 +316,11 @@ class SaIndex(_Built):
         return lo
 
     def lce(self, i: int, j: int) -> int:
-        return self.order.lce(i, j)
+        """Common extension of two text positions, from fingerprints on the text's phrases."""
+        if not hasattr(self, "_phrases"):
+            phrases = lz77(self.text)
+            self._phrases = PhraseLce(phrases, phrases)
+        return self._phrases.lce(i, j)
 
     def subtree(self, p) -> int:
         """Leaves below the place of pattern p in the suffix tree."""
@@ -340,5 +347,10 @@ def build_indexes_metered(text) -> dict:
     return {"n": n - 1, "r": r, "tau": slow.tau, "lf_intervals": len(slow.power), "r_words": r_index.words(), "sa_words": levels.words(), "fm_words": FmIndex(text, max(1, slow.tau)).words(), "modelled_queries": math.sqrt(r * n), "levels": len(levels.half)}
 
 
+def rlbwt_from_lz(phrases: list[Phrase]) -> BwtRuns:
+    """Run-length BWT of a factorized text."""
+    return BwtRuns(bwt(decode(phrases)))
+
+
 def naive_lf(last: np.ndarray) -> np.ndarray:
     return lf_mapping(last)

@@ -7,6 +7,7 @@ at every tau-th position; tau = 1 is the greedy form without overlap, tau >= n t
 from __future__ import annotations
 
 import bisect
+import functools
 import math
 
 import numpy as np
@@ -71,8 +72,57 @@ def prefix_phrases(s: str, limit: int) -> list[int]:
     return ends
 
 
-def lz_size(text, **options) -> int:
-    return len(lz77(text, **options))
+def lz_size(text, overlap: bool = True) -> int:
+    """Number of greedy phrases; sources are not looked for."""
+    if not overlap:
+        return len(lz77(text, overlap=False))
+    length, _ = previous_factors(SuffixOrder(symbols_of(text)))
+    steps, i, count = np.maximum(length, 1).tolist(), 0, 0
+    while i < len(steps):
+        i, count = i + steps[i], count + 1
+    return count
+
+
+def read_all(text, ledger: Ledger) -> list[Phrase]:
+    """The baseline that reads every symbol once and factorizes classically."""
+    ledger.oracle_reads += len(text)
+    return lz77(text)
+
+
+class DynamicLce:
+    """A growing text with common extensions: symbols are appended one by one or as a copy of an earlier fragment. Fingerprints of all prefixes stand in for
+    the persistent structure: an append costs a step per symbol, an extension a binary search."""
+
+    # fixed values: modulus and base of the rolling fingerprint
+    MODULUS, BASE = (1 << 61) - 1, 911_382_323
+
+    def __init__(self):
+        self.codes: list[int] = []
+        self.prefix, self.power = [0], [1]
+
+    def __len__(self) -> int:
+        return len(self.codes)
+
+    def push_symbol(self, code: int) -> None:
+        self.codes.append(code)
+        self.prefix.append((self.prefix[-1] * self.BASE + code + 1) % self.MODULUS)
+        self.power.append(self.power[-1] * self.BASE % self.MODULUS)
+
+    def push_copy(self, start: int, size: int) -> None:
+        """Appends text[start : start + size]; the fragment may run into what is being appended."""
+        for k in range(start, start + size):
+            self.push_symbol(self.codes[k])
+
+    def print_of(self, lo: int, hi: int) -> int:
+        return (self.prefix[hi] - self.prefix[lo] * self.power[hi - lo]) % self.MODULUS
+
+    def lce(self, i: int, j: int) -> int:
+        """Longest common prefix of the suffixes at i and j."""
+        return gallop(lambda m: m == 0 or self.print_of(i, i + m) == self.print_of(j, j + m), 0, len(self) - max(i, j))
+
+    def lcs(self, a: int, b: int) -> int:
+        """Longest common suffix of the prefixes of lengths a and b."""
+        return gallop(lambda m: m == 0 or self.print_of(a - m, a) == self.print_of(b - m, b), 0, min(a, b))
 
 
 class PrefixOrder:
@@ -82,16 +132,28 @@ class PrefixOrder:
         self.n, self.reverse = len(s), SuffixOrder(s[::-1])
         self.ledger = ledger or Ledger()
         self.rank = np.r_[-1, self.reverse.isa[::-1]].tolist()  # of the prefix of each length
-        self.keys: list[int] = []
+        self.end_of_rank = {r: e for e, r in enumerate(self.rank)}
+        self.keys: list = []
         self.ends: list[int] = []
         self.members: set[int] = set()
 
+    def key(self, end: int):
+        """What orders the prefix of this length among the others."""
+        return self.rank[end]
+
+    def end_of(self, key) -> int:
+        return self.end_of_rank[key]
+
+    def read(self, start: int, size: int, source: int, code: int) -> None:
+        """A phrase was factorized; nothing to do for an order of the whole text."""
+
     def insert(self, end: int) -> None:
         if end in self.members:
             return
-        at = bisect.bisect_left(self.keys, self.rank[end])
+        key = self.key(end)
+        at = bisect.bisect_left(self.keys, key)
         self.ledger.comparisons += max(1, len(self.keys)).bit_length()
-        self.keys.insert(at, self.rank[end])
+        self.keys.insert(at, key)
         self.ends.insert(at, end)
         self.members.add(end)
 
@@ -102,7 +164,7 @@ class PrefixOrder:
 
     def holder(self, start: int, end: int) -> int | None:
         """An allowed end whose prefix has text[start:end] as a suffix."""
-        at, need = bisect.bisect_left(self.keys, self.rank[end]), end - start
+        at, need = bisect.bisect_left(self.keys, self.key(end)), end - start
         for k in (at - 1, at):
             if 0 <= k < len(self.ends) and self.common(self.ends[k], end) >= need:
                 return self.ends[k]
@@ -113,12 +175,75 @@ class PrefixOrder:
         need = end - start
         if need <= 0:
             return 0, len(self.ends)
-        at = bisect.bisect_left(self.keys, self.rank[end])
+        at = bisect.bisect_left(self.keys, self.key(end))
         lo = bisect.bisect_left(range(at), True, key=lambda k: self.common(self.ends[k], end) >= need)
         hi = bisect.bisect_left(range(at, len(self.ends)), True, key=lambda k: self.common(self.ends[k], end) < need) + at
         return lo, hi
 
 
+@functools.total_ordering
+class _Prefix:
+    """Co-lexicographic order of prefixes by their common suffix and the symbols before it."""
+
+    def __init__(self, order: DynamicPrefixOrder, end: int):
+        self.order, self.end = order, end
+
+    def __eq__(self, other) -> bool:
+        return self.end == other.end
+
+    def __lt__(self, other) -> bool:
+        a, b = self.end, other.end
+        k = self.order.common(a, b)
+        return a < b if k == min(a, b) else self.order.s[a - k - 1] < self.order.s[b - k - 1]
+
+
+class DynamicPrefixOrder(PrefixOrder):
+    """The same order over what has been factorized only: extensions of the read part come from DynamicLce, which phrases extend by copies; symbols
+    further right are compared by a search that is charged."""
+
+    def __init__(self, s: str, ledger: Ledger | None = None):
+        self.s, self.n, self.ledger, self.dynamic = s, len(s), ledger or Ledger(), DynamicLce()
+        self.keys, self.ends, self.members = [], [], set()
+
+    def key(self, end: int) -> _Prefix:
+        return _Prefix(self, end)
+
+    def end_of(self, key: _Prefix) -> int:
+        return key.end
+
+    def read(self, start: int, size: int, source: int, code: int) -> None:
+        if source < 0:
+            self.dynamic.push_symbol(code)
+        else:
+            self.dynamic.push_copy(source, size)
+
+    def common(self, a: int, b: int) -> int:
+        self.ledger.lce_calls += 1
+        if a == b:
+            return a
+        ahead = min(max(a, b) - len(self.dynamic), a, b)
+        if ahead > 0:  # the unread part first
+            self.ledger.search(ahead)
+            k = next((k for k in range(ahead) if self.s[a - k - 1] != self.s[b - k - 1]), ahead)
+            if k < ahead:
+                return k
+            return ahead + (self.common(a - ahead, b - ahead) if a > ahead and b > ahead else 0)
+        return self.dynamic.lcs(a, b)
+
+
+class _Shifted:
+    """A range of the sorted ends, each `cut` symbols shorter: still sorted, and never copied."""
+
+    def __init__(self, prefixes: PrefixOrder, lo: int, hi: int, cut: int):
+        self.prefixes, self.lo, self.size, self.cut = prefixes, lo, hi - lo, cut
+
+    def __len__(self) -> int:
+        return self.size
+
+    def __getitem__(self, k: int):
+        return self.prefixes.key(self.prefixes.ends[self.lo + k] - self.cut)
+
+
 def select_in_sorted(arrays: list[list], x: int):
     """The x-th smallest (0-based) of sorted arrays that are never merged: weighted medians halve what is left."""
     left, right = [0] * len(arrays), [len(a) for a in arrays]
@@ -141,12 +266,13 @@ def select_in_sorted(arrays: list[list], x: int):
 
 
 class GridState:
-    """State of the grid factorization: allowed ends, and the far test with its three search modes."""
+    """State of the grid factorization: allowed ends, and the far test with its three search modes. order: static (of the whole text, built beforehand) or
+    dynamic (of what is read)."""
 
-    def __init__(self, text, tau: int, grid: str = "one", mode: str = "merged", ledger: Ledger | None = None):
+    def __init__(self, text, tau: int, grid: str = "one", mode: str = "merged", ledger: Ledger | None = None, order: str = "static"):
         self.s, self.tau, self.grid, self.mode = symbols_of(text), max(1, tau), grid, mode
         self.ledger = ledger or Ledger()
-        self.prefixes = PrefixOrder(self.s, self.ledger)
+        self.prefixes = {"static": PrefixOrder, "dynamic": DynamicPrefixOrder}[order](self.s, self.ledger)
 
     def on_grid(self, end: int) -> bool:
         return (end - 1) % self.tau == 0 if self.grid == "one" else end % self.tau == 0
@@ -160,11 +286,15 @@ class GridState:
         """h is the exclusive end of a candidate phrase starting at i; i itself stands for the empty phrase."""
         return i if h == i else self.prefixes.holder(i, h)
 
+    def holds(self, i: int, j: int) -> bool:
+        """Whether some h in [j - tau, j] is a potential phrase end."""
+        return self._merged(i, j) if self.mode == "merged" else self.far(i, j) is not None
+
     def far(self, i: int, j: int) -> int | None:
         """Largest h in [j - tau, j] that is a potential phrase end, or None."""
         low = max(i, j - self.tau)
         if self.mode == "merged":
-            return self._far_merged(i, j, low)
+            return next((h for h in range(j, low - 1, -1) if self.good(i, h) is not None), None)
         reach = j  # least start of a held fragment so far; a fragment that ends further left starts no earlier unless it holds text[reach:h]
         for h in range(j, low - 1, -1):
             if h == i:
@@ -194,59 +324,46 @@ class GridState:
             return m
         return gallop(held, 0, start - i)
 
-    def _far_merged(self, i: int, j: int, low: int) -> int | None:
-        """Each h keeps the ends that share text[low:h]; stripped of it they form one virtual list that is searched once for text[i:low]."""
-        rank, ends, need = self.prefixes.rank, self.prefixes.ends, low - i
-        lists, owners = [], []
+    def _merged(self, i: int, j: int) -> bool:
+        """Each h keeps the ends that share text[low:h]; stripped of it they form one virtual sorted list that is searched once for text[i:low]."""
+        low, prefixes, lists = max(i, j - self.tau), self.prefixes, []
+        need, wanted = low - i, prefixes.key(low)
         for h in range(j, low - 1, -1):
             if h == i:
-                lists.append([rank[low]])
-                owners.append((h, None))
-                continue
-            lo, hi = self.prefixes.range_with_suffix(low, h)
-            cut = h - low
-            lists.append([rank[e - cut] for e in ends[lo:hi]])
-            owners.append((h, lo))
+                return True  # the empty phrase
+            lists.append(_Shifted(prefixes, *prefixes.range_with_suffix(low, h), h - low))
         total = sum(map(len, lists))
         if not total:
-            return None
+            return False
         self.ledger.search(need)
         lo, hi = 0, total  # first place in the virtual list that is not below the wanted prefix
         while lo < hi:
             mid = (lo + hi) // 2
             self.ledger.comparisons += 1
-            if select_in_sorted(lists, mid) < rank[low]:
+            if select_in_sorted(lists, mid) < wanted:
                 lo = mid + 1
             else:
                 hi = mid
-        near = [select_in_sorted(lists, k) for k in (lo - 1, lo) if 0 <= k < total]
-        back = self._lengths()
-        if not any(self.prefixes.common(back[r], low) >= need for r in near):
-            return None
-        for h in range(j, low - 1, -1):  # the test holds for some h: the largest is found by its own list
-            if self.good(i, h) is not None:
-                return h
-        return None
-
-    def _lengths(self) -> dict[int, int]:
-        if not hasattr(self, "_by_rank"):
-            self._by_rank = {r: e for e, r in enumerate(self.prefixes.rank)}
-        return self._by_rank
+        near = (select_in_sorted(lists, k) for k in (lo - 1, lo) if 0 <= k < total)
+        return any(prefixes.common(prefixes.end_of(key), low) >= need for key in near)
 
 
-def lz_end_grid(text, tau: int, grid: str = "one", mode: str = "merged", ledger: Ledger | None = None, limit: int | None = None) -> list[Phrase] | None:
-    """Grid factorization; None if more than `limit` phrases would be needed."""
-    state, codes = GridState(text, tau, grid, mode, ledger), codes_of(text)
+def lz_end_grid(text, tau: int | str, grid: str = "one", mode: str = "merged", ledger: Ledger | None = None, limit: int | None = None, order: str = "static", z: int | None = None) -> list[Phrase] | None:
+    """Grid factorization; None if more than `limit` phrases would be needed. tau "opt" is the best step for a known phrase count z."""
+    if tau == "opt":
+        tau = math.ceil(math.sqrt(max(1, len(text)) / max(1, z or lz_size(text))))
+    state, codes = GridState(text, tau, grid, mode, ledger, order), codes_of(text)
     s, out, i = state.s, [], 0
     n = len(s)
     while i < n:
-        j = gallop(lambda v, i=i: state.far(i, v) is not None, i, n)
+        j = gallop(lambda v, i=i: state.holds(i, v), i, n)
         h = state.far(i, j)
         if h is None or h == i:
             out.append((i, 1, -1, int(codes[i])))
             h = i + 1
         else:
             out.append((i, h - i, state.good(i, h) - (h - i), -1))
+        state.prefixes.read(*out[-1])
         state.advance(i, h)
         i = h
         if limit is not None and len(out) > limit:
@@ -407,23 +524,30 @@ def lz_no_suffix_array(text, ledger: Ledger | None = None) -> list[Phrase]:
     return out
 
 
+@functools.lru_cache(maxsize=4)
+def binary_strings(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """(bits, phrase counts) of all binary strings of length n."""
+    bits = (np.arange(1 << n)[:, None] >> np.arange(n - 1, -1, -1)) & 1
+    return bits, np.array([lz_size("".join(map(str, row))) for row in bits.tolist()])
+
+
 def identify_by_halving(hidden: str, z_cap: int | None = None, ledger: Ledger | None = None) -> tuple[str, int]:
     """Recover a short binary string from mismatch searches: candidates are all strings of at most z_cap phrases; each search against the
     majority string removes at least half. Unknown size: the cap doubles until the string is confirmed. Returns (string, searches)."""
     n, ledger = len(hidden), ledger or Ledger()
     if n > 16:
         raise ValueError("exponential in the length")
-    cap, rounds = z_cap or 1, 0
+    cap, rounds, (bits, sizes) = z_cap or 1, 0, binary_strings(n)
+    own = np.array([c == "1" for c in hidden], np.int64)
     while True:
-        left = [c for c in (format(v, f"0{n}b") for v in range(1 << n)) if lz_size(c) <= cap] if n else [""]
-        while left:
-            ones = [sum(c[k] == "1" for c in left) for k in range(n)]
-            majority = "".join("1" if 2 * o >= len(left) else "0" for o in ones)
+        left = bits[sizes <= cap]
+        while len(left):
+            majority = (2 * left.sum(0) >= len(left)).astype(np.int64)
             rounds += 1
             ledger.search(n)
-            wrong = next((k for k in range(n) if majority[k] != hidden[k]), None)
-            if wrong is None:
-                return majority, rounds
-            left = [c for c in left if c[wrong] == hidden[wrong]]
+            wrong = np.flatnonzero(majority != own)
+            if not len(wrong):
+                return "".join(map(str, majority.tolist())), rounds
+            left = left[left[:, wrong[0]] == own[wrong[0]]]
         cap *= 2
         ledger.restarts += 1

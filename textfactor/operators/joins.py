@@ -26,12 +26,12 @@ def asof_join(rows: DataFrame, at: str, marks: DataFrame, mark: str, values: lis
     return both.select(*rows.columns, "_row", *last).where("_row = 1").drop("_row").withColumnRenamed("_mark", mark)
 
 
-def similarity_join(left: DataFrame, right: DataFrame, l_id: str, r_id: str, l_text: str, r_text: str, k: int, self_join: bool = False) -> DataFrame:
+def similarity_join(left: DataFrame, right: DataFrame, l_id: str, r_id: str, l_text: str, r_text: str, k: int, self_join: bool = False, count_q: int | None = None) -> DataFrame:
     """(l_id, r_id, distance) of all pairs with edit distance <= k.
 
     Pigeonhole: cut the left text into k+1 segments; k edits leave one of them untouched, and shifted by at most k in the right text. So pairs meet on
-    (segment number, left length, segment text). Texts of at most k symbols have empty segments and meet by length instead. Verification is
-    the bounded built-in distance, once per pair."""
+    (segment number, left length, segment text). Texts of at most k symbols have empty segments and meet by length instead. With count_q, pairs that share
+    too few distinct q-grams fall out: an edit touches at most q of them. Verification is the bounded built-in distance, once per pair."""
     a = left.select(F.col(l_id).alias("l_id"), F.col(l_text).alias("lt")).where("lt is not null")
     b = right.select(F.col(r_id).alias("r_id"), F.col(r_text).alias("rt")).where("rt is not null")
     parts = k + 1
@@ -49,6 +49,10 @@ def similarity_join(left: DataFrame, right: DataFrame, l_id: str, r_id: str, l_t
     if self_join:
         pairs = pairs.where("l_id < r_id")
     pairs = pairs.dropDuplicates(["l_id", "r_id"])
+    if count_q:
+        grams = lambda c: F.expr(f"array_distinct(transform(sequence(1, greatest(length({c}) - {count_q - 1}, 1)), i -> substr({c}, i, {count_q})))")
+        pairs = pairs.withColumn("lg", grams("lt")).withColumn("rg", grams("rt"))
+        pairs = pairs.where(F.size(F.array_intersect("lg", "rg")) >= F.greatest(F.size("lg"), F.size("rg")) - k * count_q)
     return pairs.select("l_id", "r_id", F.levenshtein(F.col("lt"), F.col("rt"), k).alias("distance")).where("distance >= 0")
 
 

@@ -69,6 +69,8 @@ def _distance(method: str, k: int | None, a, b) -> tuple:
         d = grammar.ed_compressed(x, y, len(a) + len(b) if k is None else k)
     elif method == "restart":
         d, ledger = solve.solve_restart(a, b)
+    elif method == "restart_in_three":
+        d, ledger = solve.solve_restart(a, b, branch=3)
     elif method == "ideal":
         d, ledger = solve.solve_ideal(a, b)
     elif method == "anchor":
@@ -174,7 +176,7 @@ def context_windows(df: DataFrame, text: str, pos: str, keep: list[str], k: int)
 
 def phrases_of(scheme: str, text, tau: int | None = None, source: str = "leftmost", mode: str = "direct", engine: str = "direct") -> list[lz.Phrase]:
     if scheme == "lz77":
-        return lz.lz77_metered(text)[0] if engine == "metered" else lz.lz77(text, source)
+        return {"metered": lambda: lz.lz77_metered(text)[0], "read_all": lambda: lz.read_all(text, Ledger()), "direct": lambda: lz.lz77(text, source)}[engine]()
     if scheme == "nonoverlap":
         return {"direct": lambda: lz.lz77(text, source, overlap=False), "suffix_array": lambda: lz.lz_no_suffix_array(text), "sorted_prefix": lambda: lz.lz_no_sorted_prefix(text)}[engine]()
     if scheme == "lzend":
@@ -232,14 +234,16 @@ def guess_doubling(df: DataFrame, text: str, keep: list[str]) -> DataFrame:
 
 
 def check_factorization(df: DataFrame, text: str, keep: list[str], scheme: str, **options) -> DataFrame:
-    """keep + (phrases, valid, decodes, converts): the scheme's result is LZ77-like, decodes to the text, and converts to the greedy one."""
+    """keep + (phrases, valid, decoded, converted): whether the scheme's result is LZ77-like, the text it decodes to, and the number of greedy phrases it converts to
+    (-1 if those are not the greedy ones)."""
 
     def check(t):
         p = phrases_of(scheme, t, **options)
-        same = [x[:2] for x in lz.to_lz77(p)] == [x[:2] for x in lz.lz77(t)]
-        return [(len(p), lz.is_lz77_like(p, t), lz.decode(p) == suffix.codes_of(t).tolist(), same)]
+        greedy = lz.to_lz77(p)
+        same = [x[:2] for x in greedy] == [x[:2] for x in lz.lz77(t)]
+        return [(len(p), lz.is_lz77_like(p, t), "".join(map(chr, lz.decode(p))), len(greedy) if same else -1)]
 
-    return explode_kernel(df, keep, [text], "phrases int, valid boolean, decodes boolean, converts boolean", check, heavy=True)
+    return explode_kernel(df, keep, [text], "phrases int, valid boolean, decoded string, converted int", check, heavy=True)
 
 
 def grammar_rules(df: DataFrame, text: str, keep: list[str]) -> DataFrame:

@@ -34,8 +34,9 @@ def choose_power(n: int, r: int) -> int:
     return 1 << max(0, round(math.log2(max(1.0, math.sqrt(n / max(1, r))))))
 
 
-def work_formula(n: Column, z: Column, tau: Column) -> Column:
-    return n / tau + tau * z + F.sqrt(z * n)
+def work_formula(n: Column, z: Column, tau: Column, roots: Column | None = None) -> Column:
+    """n / tau + z + tau z + the sum of the roots of phrase lengths (sqrt(zn) bounds it)."""
+    return n / tau + z + tau * z + (F.sqrt(z * n) if roots is None else roots)
 
 
 def checked_broadcast(df: DataFrame, bytes_bound: int = 64 << 20) -> DataFrame:

@@ -2,45 +2,23 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from textfactor.operators import columns, joins, long_text, rows
+from textfactor.registry import ORACLES, QUERIES, query
+from textfactor.registry import wide as _wide
 from textfactor.sources import tables as src
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-ORACLES: dict[str, str] = {}
-
 # --- SQL building blocks -----------------------------------------------------------------------------------------------------
 SEQS = "seqs as (select user_id, string_agg(left(event_type, 1), '' order by ts, event_id) as s from events group by user_id)"
 PAIRS = SEQS + ", pairs as (select x.user_id as a_id, y.user_id as b_id, x.s as a, y.s as b from seqs x join seqs y on y.user_id = x.user_id + 1)"
 TEXTS = SEQS + ", texts as (select 'b' || item_id as id, text as t from benchmark union all select 'u' || user_id, s from seqs)"
-SUFFIXES = TEXTS + ", sufs as (select id, t, p as pos, substr(t, p) as suffix from texts, lateral (select unnest(range(1, length(t) + 1)) as p)), ranks as (select *, row_number() over (partition by id order by suffix) as rank from sufs)"
-BWT = SUFFIXES + ", bw as (select id, rank, pos, case when pos = 1 then '' else substr(t, pos - 1, 1) end as bwt from ranks union all select id, 0, length(t) + 1, right(t, 1) from texts where length(t) > 0)"
-
-
-def _wide(function):
-    """Integers as bigint, as SQL engines widen them."""
-
-    def run(spark: SparkSession, d: str) -> DataFrame:
-        df = function(spark, d)
-        narrow = {c for c, t in df.dtypes if t in ("int", "smallint", "tinyint")}
-        return df.select(*(F.col(c).cast("bigint").alias(c) if c in narrow else F.col(c) for c in df.columns))
-
-    run.__name__, run.__doc__ = function.__name__, function.__doc__
-    return run
-
-
-def query(sql: str | None = None):
-    def add(function):
-        QUERIES[function.__name__] = _wide(function)
-        if sql:
-            ORACLES[function.__name__] = sql
-        return function
-
-    return add
+SUFFIX_STEPS = "sufs as (select id, t, p as pos, substr(t, p) as suffix from texts, lateral (select unnest(range(1, length(t) + 1)) as p)), ranks as (select *, row_number() over (partition by id order by suffix) as rank from sufs)"
+BWT_STEPS = SUFFIX_STEPS + ", bw as (select id, rank, pos, case when pos = 1 then '' else substr(t, pos - 1, 1) end as bwt from ranks union all select id, 0, length(t) + 1, right(t, 1) from texts where length(t) > 0)"
+RUN_STEPS = BWT_STEPS + """, marked as (select *, case when lag(bwt) over (partition by id order by rank) = bwt then 0 else 1 end as new from bw),
+numbered as (select *, sum(new) over (partition by id order by rank) as run_no from marked)"""
+SUFFIXES, BWT, RUNS = f"{TEXTS}, {SUFFIX_STEPS}", f"{TEXTS}, {BWT_STEPS}", f"{TEXTS}, {RUN_STEPS}"
 
 
 # --- metered primitives and distances ----------------------------------------------------------------------------------------
@@ -74,14 +52,14 @@ def edit_anchor_test(spark, d):
     return rows.test_anchors(pairs, "a", "b", "p", ["a_id", "b_id"])
 
 
-@query(f"with {PAIRS} select a_id, b_id, true as found_is_anchor, true as in_window from pairs")
+@query(f"with {PAIRS} select a_id, b_id, cast(ceil(length(a) / 2.0) as bigint) as x, levenshtein(a, b) as split_cost, true as in_window from pairs")
 def edit_anchor_find(spark, d):
-    """The found anchor satisfies the definition by three distances, and lies in its window."""
+    """The two distances beside the found anchor add up to the whole one, and it lies in its window."""
     pairs = src.neighbour_pairs(spark, d).withColumn("p", F.ceil(F.length("a") / 2).cast("int"))
     found = rows.anchors(pairs, "a", "b", "p", ["a_id", "b_id", "a", "b"])
     left = F.levenshtein(F.expr("left(a, x)"), F.expr("left(b, y)"))
     right = F.levenshtein(F.expr("substr(a, x + 1)"), F.expr("substr(b, y + 1)"))
-    return found.select("a_id", "b_id", (left + right == F.levenshtein("a", "b")).alias("found_is_anchor"), F.expr("lo <= x and x <= hi").alias("in_window"))
+    return found.select("a_id", "b_id", "x", (left + right).alias("split_cost"), F.expr("lo <= x and x <= hi").alias("in_window"))
 
 
 @query(f"with {PAIRS} select a_id, b_id, levenshtein(a, b) as distance, levenshtein(a, b) as edits, length(b) - length(a) as growth, true as replays from pairs")
@@ -125,15 +103,22 @@ def edit_cost_profile(spark, d):
 
 
 def _edited(k: int):
+    """The main method on documents with k injected edits, next to the diagonal method; reads against sqrt(n (1 + k))."""
+
     def run(spark, d):
-        pairs = src.edit_inject(src.table(spark, d, "documents").where("text is not null"), "doc_id", "text", k)
-        r = rows.edit_distance(pairs.withColumn("n", F.length("a")), "a", "b", ["doc_id", "n"], "anchor")
-        return r.select("doc_id", "n", F.lit(k).alias("k"), "distance", (F.col("distance") <= k).alias("within"), (F.col("grover_queries") / F.sqrt(F.col("n") * F.lit(1.0 + k))).alias("bound_ratio"))
+        pairs = src.edit_inject(src.table(spark, d, "documents").where("text is not null"), "doc_id", "text", k).withColumn("n", F.length("a"))
+        r = rows.edit_distance(pairs, "a", "b", ["doc_id", "n"], "anchor")
+        e7 = rows.edit_distance(pairs, "a", "b", ["doc_id"], "diagonal", k=max(1, k)).select("doc_id", F.col("distance").alias("by_diagonals"))
+        ratio = F.col("grover_queries") / F.sqrt(F.greatest("n", F.lit(1)) * F.lit(1.0 + k))
+        return r.join(e7, "doc_id").select("doc_id", "n", "distance", "by_diagonals", (ratio >= 0).alias("charged"))
 
     QUERIES[f"edit_injected_k{k}"] = _wide(run)
+    places = f"list_distinct(list_transform(range(1, {k + 1}), lambda j: (doc_id * 7919 + j * 104729) % greatest(length(text), 1) + 1))" if k else "[]"
+    changed = f"cast(len(list_filter({places}, lambda p: length(text) > 0 and substr(text, cast(p as int), 1) <> '~')) as bigint)" if k else "cast(0 as bigint)"
+    ORACLES[f"edit_injected_k{k}"] = f"select doc_id, length(text) as n, {changed} as distance, {changed} as by_diagonals, true as charged from documents where text is not null"
 
 
-for _k in (0, 1, 4, 16):
+for _k in (0, 1, 2, 4, 8, 16, 32, 64):
     _edited(_k)
 
 
@@ -233,13 +218,13 @@ for _tau, _mode in ((1, "merged"), (2, "linear"), (2, "merged"), (4, "sqrt_produ
     _grid(_tau, _mode)
 
 
-@query(f"with {TEXTS} select id, scheme, true as valid, true as decodes, true as converts from texts, (select unnest(['lz77', 'nonoverlap', 'lzend', 'grid']) as scheme)")
+@query(GREEDY.format(texts=TEXTS, test=_OVERLAP).replace("substr(t, nxt, m)", "substr(t, nxt, cast(m as int))") + ", z as (select id, count(*) as z from f group by id) select texts.id, scheme, true as valid, t as decoded, coalesce(z, 0) as converted from texts left join z on z.id = texts.id, (select unnest(['lz77', 'nonoverlap', 'lzend', 'grid']) as scheme)")
 def factorization_checks(spark, d):
-    """Every scheme is LZ77-like, decodes to its text, and converts to the greedy factorization."""
+    """Every scheme is LZ77-like, decodes to its text, and converts to the greedy factorization, whose size is given."""
     texts, out = src.short_texts(spark, d), None
     for scheme in ("lz77", "nonoverlap", "lzend", "grid"):
         options = {"tau": 3} if scheme == "grid" else {}
-        part = rows.check_factorization(texts, "t", ["id"], scheme, **options).select("id", F.lit(scheme).alias("scheme"), "valid", "decodes", "converts")
+        part = rows.check_factorization(texts, "t", ["id"], scheme, **options).select("id", F.lit(scheme).alias("scheme"), "valid", "decoded", "converted")
         out = part if out is None else out.unionByName(part)
     return out
 
@@ -337,10 +322,6 @@ def bwt_symbols(spark, d):
     return columns.bwt_rows(src.short_texts(spark, d), "t", ["id"]).select("id", "rank", "bwt")
 
 
-RUNS = BWT + """, marked as (select *, case when lag(bwt) over (partition by id order by rank) = bwt then 0 else 1 end as new from bw),
-numbered as (select *, sum(new) over (partition by id order by rank) as run_no from marked)"""
-
-
 @query(f"with {RUNS} select id, cast(run_no as bigint) as run_no, any_value(bwt) as bwt, min(rank) as row_start, max(rank) as row_end from numbered group by id, run_no")
 def bwt_runs(spark, d):
     return columns.bwt_run_rows(src.short_texts(spark, d), "t", ["id"])
@@ -388,10 +369,10 @@ def differential_suffix_array(spark, d):
     return columns.dsa_rows(src.short_texts(spark, d), "t", ["id"])
 
 
-@query(f"with {SUFFIXES} select id, cast(rank as bigint) as i, cast(pos - 1 as bigint) as sa, cast(rank as bigint) as isa from ranks union all select id, 0, length(t), 0 from texts")
+@query(f"with {SUFFIXES}, spots as (select id, cast(pos - 1 as bigint) as pos, cast(rank as bigint) as rank from ranks union all select id, length(t), 0 from texts) select x.id, x.rank as i, x.pos as sa, y.rank as isa from spots x join spots y on x.id = y.id and y.pos = x.rank")
 def sa_lookup_levels(spark, d):
-    """Every row and its inverse, answered by the level index."""
-    return rows.sa_lookup(src.short_texts(spark, d), "t", ["id"], "level").select("id", "i", "sa", F.col("i").alias("isa"))
+    """Both arrays at every place, answered by the level index."""
+    return rows.sa_lookup(src.short_texts(spark, d), "t", ["id"], "level").select("id", "i", "sa", "isa")
 
 
 @query(f"with {SUFFIXES} select id, cast(rank as bigint) as i, cast(pos - 1 as bigint) as sa from ranks union all select id, 0, length(t) from texts")
@@ -404,20 +385,18 @@ def index_space_profile(spark, d):
     return rows.index_space(src.short_texts(spark, d), "t", ["id"])
 
 
-@query(f"""with {TEXTS}, grams as (select id, q, count(distinct substr(t, cast(p as int), cast(q as int))) as dq from texts, lateral (select unnest(range(1, length(t) + 1)) as q), lateral (select unnest(range(1, length(t) - q + 2)) as p) where id like 'u%' group by id, q)
+@query(f"""with {TEXTS}, grams as (select id, q, count(distinct substr(t, cast(p as int), cast(q as int))) as dq from texts, lateral (select unnest(range(1, length(t) + 1)) as q), lateral (select unnest(range(1, length(t) - q + 2)) as p) group by id, q)
 select id, round(max(dq / q), 6) as delta from grams group by id""")
 def delta_of_sequences(spark, d):
-    seqs = src.short_texts(spark, d).where("id like 'u%'")
-    return columns.delta_rows(seqs, "t", ["id"], 1 << 20).select("id", F.round("delta", 6).alias("delta"))
+    return columns.delta_rows(src.short_texts(spark, d), "t", ["id"], 1 << 20).select("id", F.round("delta", 6).alias("delta"))
 
 
-@query(f"""with {TEXTS}, grams as (select id, q, count(distinct substr(t, cast(p as int), cast(q as int))) as dq from texts, lateral (select unnest(range(1, length(t) + 1)) as q), lateral (select unnest(range(1, length(t) - q + 2)) as p) where id like 'u%' group by id, q)
+@query(f"""with {TEXTS}, grams as (select id, q, count(distinct substr(t, cast(p as int), cast(q as int))) as dq from texts, lateral (select unnest(range(1, length(t) + 1)) as q), lateral (select unnest(range(1, length(t) - q + 2)) as p) group by id, q)
 select id, round(max(dq / q), 6) as delta from grams group by id""")
 def delta_kernel(spark, d):
     from textfactor.kernels import suffix
 
-    seqs = src.short_texts(spark, d).where("id like 'u%'")
-    return rows.explode_kernel(seqs, ["id"], ["t"], "delta double", lambda t: [(round(suffix.delta(t), 6),)])
+    return rows.explode_kernel(src.short_texts(spark, d), ["id"], ["t"], "delta double", lambda t: [(round(suffix.delta(t), 6),)])
 
 
 # --- applications ------------------------------------------------------------------------------------------------------------
@@ -431,7 +410,7 @@ def _qgrams(q: int):
     ORACLES[name] = f"select lang, substr(text, cast(p as int), {q}) as gram, count(*) as n from documents, lateral (select unnest(range(1, length(text) - {q - 2})) as p) where length(text) >= {q} group by 1, 2"
 
 
-for _q in (1, 3, 5):
+for _q in (1, 2, 3, 5, 8):
     _qgrams(_q)
 
 
@@ -483,12 +462,13 @@ def shortest_unique_substrings(spark, d):
     return rows.shortest_unique(src.event_sequences(spark, d), "s", ["user_id"])
 
 
-_PATTERNS = "patterns as (select distinct substr(text, 1, 12) as pattern from benchmark)"
+_PATTERNS = "patterns as (select distinct text as pattern from benchmark)"
 
 
 @query(f"with {_PATTERNS} select doc_id, pattern, cast(p as bigint) as pos from documents, patterns, lateral (select unnest(range(1, length(text) - length(pattern) + 2)) as p) where contains(text, pattern) and substr(text, cast(p as int), length(pattern)) = pattern")
 def pattern_positions(spark, d):
-    patterns = src.table(spark, d, "benchmark").select(F.left("text", F.lit(12)).alias("pattern"))
+    """Where documents hold whole test items."""
+    patterns = src.table(spark, d, "benchmark").select(F.col("text").alias("pattern"))
     return columns.pattern_positions(src.table(spark, d, "documents"), "text", patterns, ["doc_id"])
 
 
@@ -496,13 +476,15 @@ def _indexed_patterns(kind: str):
     name = f"pattern_index_{kind}"
 
     def run(spark, d):
-        wanted = src.table(spark, d, "benchmark").select(F.left("text", F.lit(5)).alias("p")).agg(F.array_sort(F.collect_set("p")).alias("wanted"))  # one short string per test item
-        texts = src.table(spark, d, "conversations").crossJoin(F.broadcast(wanted))
+        from textfactor.plans.rewrite import checked_broadcast
+
+        words = src.table(spark, d, "benchmark").select(F.explode(F.split("text", " ")).alias("p")).where("p <> ''")
+        texts = src.table(spark, d, "conversations").crossJoin(checked_broadcast(words.agg(F.array_sort(F.collect_set("p")).alias("wanted"))))  # the distinct words of the test set
         found = rows.pattern_occurrences(texts, "text", "wanted", ["conv_id", "turn"], kind)
         return found.where("pos is not null").select("conv_id", "turn", "pattern", "n", "pos")
 
     QUERIES[name] = _wide(run)
-    ORACLES[name] = """with patterns as (select distinct substr(text, 1, 5) as pattern from benchmark),
+    ORACLES[name] = """with patterns as (select distinct pattern from (select unnest(string_split(text, ' ')) as pattern from benchmark) where pattern <> ''),
 hits as (select conv_id, turn, pattern, cast(p - 1 as bigint) as pos from conversations, patterns, lateral (select unnest(range(1, length(text) - length(pattern) + 2)) as p) where contains(text, pattern) and substr(text, cast(p as int), length(pattern)) = pattern)
 select conv_id, turn, pattern, cast(count(*) over (partition by conv_id, turn, pattern) as bigint) as n, pos from hits"""
 
@@ -542,18 +524,21 @@ def size_reduction(spark, d):
     return rows.explode_kernel(bits, ["quality"], ["s"], "z int, n int", run)
 
 
-@query("select cast(quality as bigint) as quality, count(*) as n, true as z_within, true as r_within from labels group by quality")
+_BITS = "texts as (select quality as id, string_agg(cast(toxic as varchar), '' order by doc_id) as t from labels group by quality)"
+
+
+@query(GREEDY.format(texts=_BITS, test=_OVERLAP).replace("substr(t, nxt, m)", "substr(t, nxt, cast(m as int))") + ", z as (select id, count(*) as z from f group by id) select cast(texts.id as bigint) as quality, length(t) as n, z, 3 * (length(t) - length(replace(t, '1', ''))) + 2 as z_bound, 2 * (length(t) - length(replace(t, '1', ''))) + 1 as r_bound, true as r_within from texts join z on z.id = texts.id")
 def threshold_size_bounds(spark, d):
-    """Phrase and run counts of a bit string against the bounds in its number of ones."""
+    """Phrase and run counts of a bit string and their bounds in its number of ones."""
     from textfactor.kernels import hard, lz, suffix
 
     bits = src.ordered_string(src.table(spark, d, "labels"), ["quality"], ["doc_id"], F.col("toxic").cast("string"))
 
     def run(s):
         z, r = hard.threshold_bounds(s.count("1"))
-        return [(len(s), lz.lz_size(s) <= z, suffix.run_count(s, False) <= r)]
+        return [(len(s), lz.lz_size(s), z, r, suffix.run_count(s, False) <= r)]
 
-    return rows.explode_kernel(bits, ["quality"], ["s"], "n long, z_within boolean, r_within boolean", run)
+    return rows.explode_kernel(bits, ["quality"], ["s"], "n long, z long, z_bound long, r_bound long, r_within boolean", run)
 
 
 @query("select quantile_disc(p_partkey, 0.5) as median, count(*) as z from part")
@@ -706,7 +691,15 @@ def order_sequences(spark, d):
     return src.ordered_array(src.table(spark, d, "lineitem"), ["l_orderkey"], order, "l_partkey").select("l_orderkey", F.array_join(F.col("syms").cast("array<string>"), ",").alias("syms"))
 
 
-@query()
+_LINES = "list(l_partkey order by l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_shipdate)"
+#: Every symbol beyond ASCII as a control character of its own, since DuckDB's levenshtein counts bytes.
+ASCII = "odd as (select string_agg(c, '' order by c) as c, string_agg(chr(cast(k as int)), '' order by c) as m from (select c, row_number() over (order by c) as n from (select distinct unnest(string_split({text}, '')) as c from {table}) where strlen(c) > 1) join (select k, row_number() over (order by k) as n from range(1, 32) t(k) where k not in (9, 10, 11, 12, 13)) using (n))"
+
+
+@query(f"""with s as (select l_orderkey, {_LINES} as syms from lineitem group by l_orderkey),
+p as (select x.l_orderkey, x.syms as a, y.syms as b, list_distinct(list_concat(x.syms, y.syms)) as known from s x join s y on y.l_orderkey = x.l_orderkey + 1),
+m as (select l_orderkey, array_to_string(list_transform(a, lambda v: chr(cast(33 + list_position(known, v) as int))), '') as a, array_to_string(list_transform(b, lambda v: chr(cast(33 + list_position(known, v) as int))), '') as b from p)
+select l_orderkey, levenshtein(a, b) as distance from m""")
 def order_sequence_distance(spark, d):
     """Large-alphabet sequences of each order against the next order's."""
     order = ["l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_shipdate"]
@@ -737,12 +730,12 @@ def text_blocks(spark, d):
     return src.blocks(src.table(spark, d, "documents"), "doc_id", "text", 1000, 50).groupBy("doc_id").agg(F.count(F.lit(1)).alias("pieces"))
 
 
-@query("select conv_id, turn, levenshtein(role, 'assistant') as d_role from conversations")
+@query("select role, count(*) as turns, cast(sum(length(text)) as bigint) as chars, cast(max(turn) as bigint) as last_turn from conversations group by role")
 def conversation_roles(spark, d):
-    return src.table(spark, d, "conversations").select("conv_id", "turn", F.levenshtein(F.col("role"), F.lit("assistant")).alias("d_role"))
+    return src.table(spark, d, "conversations").groupBy("role").agg(F.count(F.lit(1)).alias("turns"), F.sum(F.length("text")).alias("chars"), F.max("turn").alias("last_turn"))
 
 
-@query()
+@query(f"with {ASCII.format(text='text', table='conversations')}, plain as (select conv_id, turn, translate(text, coalesce((select c from odd), ''), coalesce((select m from odd), '')) as text from conversations) select x.conv_id, x.turn, levenshtein(x.text, y.text) as distance from plain x join plain y on y.conv_id = x.conv_id and y.turn = x.turn + 1")
 def conversation_turn_distance(spark, d):
     """Far pairs: each turn against the next, distance without a bound."""
     c = src.table(spark, d, "conversations")
@@ -793,15 +786,23 @@ def phrase_length_histogram(spark, d):
     return rows.factorize(src.short_texts(spark, d), "t", ["id"], "lz77").groupBy("id", F.floor(F.log2("len")).cast("bigint").alias("bucket")).agg(F.count(F.lit(1)).alias("phrases"))
 
 
-@query(f"""{GREEDY.format(texts=TEXTS, test=_OVERLAP).replace('substr(t, nxt, m)', 'substr(t, nxt, cast(m as int))')}, z as (select id, count(*) as lz77 from f group by id) select id, lz77 from z""")
+def greedy(name: str = "f", overlap: bool = True, source: str = "texts") -> str:
+    """A recursive CTE with the greedy phrases of a table (id, t)."""
+    return GREEDY.format(texts="", test=_OVERLAP if overlap else _APART).replace("substr(t, nxt, m)", "substr(t, nxt, cast(m as int))").replace("with recursive ,", "").replace(" f as (", f"{name} as (").replace("from f where", f"from {name} where").replace("from texts where", f"from {source} where").strip()
+
+
+SEQ_TEXTS = SEQS + ", texts as (select user_id as id, s as t from seqs)"
+ENDS_CTE = "ends_of as (" + ENDS.split(", f as (")[1].rpartition("select user_id, cast(max(n)")[0].rstrip().rpartition(")")[0].replace("from f where", "from ends_of where") + ")"
+
+
+@query(f"with recursive {SEQ_TEXTS}, {greedy('f')}, {greedy('g', False)}, {ENDS_CTE.format(cands='ends')} select a.id as user_id, a.n as lz77, b.n as nonoverlap, c.n as lzend from (select id, count(*) as n from f group by id) a join (select id, count(*) as n from g group by id) b on a.id = b.id join (select user_id, cast(max(n) as bigint) as n from ends_of group by user_id) c on c.user_id = a.id")
 def scheme_pivot(spark, d):
-    """Phrase counts with one column per scheme; the greedy count is kept after the bounds between schemes are checked."""
-    texts, out = src.short_texts(spark, d), None
+    """Phrase counts with one column per scheme."""
+    texts, out = src.event_sequences(spark, d), None
     for scheme in ("lz77", "nonoverlap", "lzend"):
-        part = rows.factorize(texts, "t", ["id"], scheme).select("id", F.lit(scheme).alias("scheme"))
+        part = rows.factorize(texts, "s", ["user_id"], scheme).select("user_id", F.lit(scheme).alias("scheme"))
         out = part if out is None else out.unionByName(part)
-    wide = out.groupBy("id").pivot("scheme", ["lz77", "nonoverlap", "lzend"]).count()
-    return wide.where("lz77 <= nonoverlap and nonoverlap <= lzend").select("id", "lz77")
+    return out.groupBy("user_id").pivot("scheme", ["lz77", "nonoverlap", "lzend"]).count()
 
 
 @query("select user_id, cast(sum(cast(json_extract_string(props, '$.k') as bigint)) as bigint) as k_sum, cast(count(distinct date_trunc('hour', ts)) as bigint) as hours from events group by user_id")
@@ -815,16 +816,16 @@ def string_functions(spark, d):
     return src.table(spark, d, "part").select("p_partkey", F.concat(F.upper(F.left("p_name", F.lit(3))), F.lpad(F.col("p_size").cast("string"), 4, "0")).alias("tag"), F.instr("p_name", " ").alias("gap"), F.replace("p_name", F.lit(" "), F.lit("_")).alias("slug"), F.reverse("p_name").alias("back"), F.sha2("p_name", 256).alias("digest"))
 
 
-@query(f"with {SEQS} select user_id, length(s) as n, round(sqrt(5.0 * length(s)), 6) as lz_bound, round(sqrt(3.0 * length(s)), 6) as threshold_bound, round(4 * sqrt(length(s)), 6) as extension_cost from seqs")
+@query(f"with recursive {SEQ_TEXTS}, {RUN_STEPS}, {greedy()} select z.id as user_id, n, round(sqrt(z * n), 6) as lz_bound, round(sqrt(r * n), 6) as rlbwt_bound, round(sqrt((ones + 1) * n), 6) as threshold_bound, round(ones * sqrt(n), 6) as extension_cost from (select id, count(*) as z from f group by id) z join (select id, count(distinct run_no) as r from numbered group by id) r on r.id = z.id join (select id, length(t) as n, length(t) - length(replace(t, 'c', '')) as ones from texts) t on t.id = z.id")
 def lower_bound_columns(spark, d):
-    """Bounds as columns: z = 5, t = 2, k = 4 for every sequence."""
-    from textfactor.kernels import cost
+    """Bounds as columns, from each sequence's own phrases, runs, and number of one of its symbols."""
+    from textfactor.kernels import cost, lz, suffix
 
     def run(s):
-        n = len(s)
-        return [(n, round(cost.lower_bound("lz77", z=5, n=n), 6), round(cost.lower_bound("threshold", t=2, n=n), 6), round(cost.cost_lce_dp(n, 4), 6))]
+        n, ones = len(s), s.count("c")
+        return [(n, *(round(v, 6) for v in (cost.lower_bound("lz77", z=lz.lz_size(s), n=n), cost.lower_bound("rlbwt", r=suffix.run_count(s), n=n), cost.lower_bound("threshold", t=ones, n=n), cost.cost_lce_dp(n, ones))))]
 
-    return rows.explode_kernel(src.event_sequences(spark, d), ["user_id"], ["s"], "n int, lz_bound double, threshold_bound double, extension_cost double", run)
+    return rows.explode_kernel(src.event_sequences(spark, d), ["user_id"], ["s"], "n int, lz_bound double, rlbwt_bound double, threshold_bound double, extension_cost double", run)
 
 
 @query("select o.o_orderkey, l.lines, c.c_custkey is null as no_customer from orders o left join (select l_orderkey, count(*) as lines from lineitem group by 1) l on l.l_orderkey = o.o_orderkey left join customer c on c.c_custkey = o.o_custkey")
@@ -835,11 +836,9 @@ def outer_join_lines(spark, d):
     return o.select("o_orderkey", "lines", F.col("c_custkey").isNull().alias("no_customer"))
 
 
-@query("select page_id, length(html) > 0 as has_html, not contains(lower(html), 'zzzz-never') as clean from pages")
+@query(r"""select page_id, trim(regexp_replace(regexp_replace(regexp_replace(regexp_replace(html, '<script[^>]*>.*?</script>', ' ', 'gis'), '<style[^>]*>.*?</style>', ' ', 'gis'), '<[^>]*>', ' ', 'gs'), '[ \t\n\v\f\r]+', ' ', 'g')) as visible from pages""")
 def page_text(spark, d):
-    """Visible text holds no tag; every page has some."""
-    p = src.table(spark, d, "pages").withColumn("visible", src.html_text("html"))
-    return p.select("page_id", (F.length("html") > 0).alias("has_html"), (~F.contains("visible", F.lit("</"))).alias("clean"))
+    return src.table(spark, d, "pages").select("page_id", src.html_text("html").alias("visible"))
 
 
 @query(f"with {LF}, orbit as (select id, count(*) as n, count(distinct lf) as images from lf group by id) select id, n, images from orbit")

@@ -105,11 +105,12 @@ def exact_groups(df: DataFrame, id_col: str, text: str) -> DataFrame:
 
 
 def edit_inject(df: DataFrame, id_col: str, text: str, k: int) -> DataFrame:
-    """id, a, b: b is a with k substitutions at hashed places, so the distance is at most k."""
-    places = F.array_distinct(F.transform(F.sequence(F.lit(1), F.lit(max(1, k))), lambda j: F.pmod(F.xxhash64(F.col(id_col), j), F.greatest(F.length(text), F.lit(1))) + 1)) if k else F.array().cast("array<bigint>")
+    """id, a, b: b is a with "~" put in k places that follow from the id. Each changed place adds one "~", so the distance is the number of changed places."""
+    size = F.greatest(F.length(text), F.lit(1))
+    places = F.array_distinct(F.transform(F.sequence(F.lit(1), F.lit(max(1, k))), lambda j: F.pmod(F.col(id_col) * 7919 + j * 104729, size) + 1)) if k else F.array().cast("array<bigint>")
     base = df.select(id_col, F.col(text).alias("a"), places.alias("_p"))
     edited = F.aggregate("_p", F.col("a"), lambda s, p: F.overlay(s, F.lit("~"), p.cast("int"), F.lit(1)))
-    return base.select(id_col, "a", edited.alias("b"))
+    return base.select(id_col, "a", F.when(F.length("a") > 0, edited).otherwise(F.col("a")).alias("b"))
 
 
 def html_text(html: str) -> Column:

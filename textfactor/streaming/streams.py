@@ -113,6 +113,36 @@ def to_memory(stream: DataFrame, name: str, mode: str, checkpoint: str | None =
     return (writer.option("checkpointLocation", checkpoint) if checkpoint else writer).start()
 
 
+def to_batches(stream: DataFrame, path: str, checkpoint: str, mode: str = "append"):
+    """Every batch in a folder of its own, so a batch that is run again replaces itself; run once over what is there."""
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    return stream.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(write).start()
+
+
+def _numbered(spark: SparkSession, path: str, prefix: str) -> list[int]:
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    system = folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    names = [f.getPath().getName() for f in system.listStatus(folder)] if system.exists(folder) else []
+    return sorted(int(n.removeprefix(prefix)) for n in names if n.startswith(prefix))
+
+
+def read_batches(spark: SparkSession, path: str, schema_, mode: str = "append") -> DataFrame:
+    """What to_batches wrote: all batches, or in complete mode the last one, which holds everything."""
+    numbers = _numbered(spark, path, "batch=")
+    if not numbers:
+        return spark.createDataFrame([], schema_)
+    wanted = numbers[-1:] if mode == "complete" else numbers
+    return spark.read.schema(schema_).parquet(*(f"{path}/batch={n}" for n in wanted))
+
+
+def newest_version(spark: SparkSession, path: str) -> DataFrame:
+    """The table that merge_into left."""
+    return spark.read.parquet(f"{path}/v{_numbered(spark, path, 'v')[-1]}")
+
+
 def merge_into(stream: DataFrame, path: str, keys: list[str], checkpoint: str):
     """Upsert by foreachBatch: each batch writes a version of the table in which its rows replace those with equal keys."""
 
