@@ -258,3 +258,84 @@ def test_metered_primitives():
         misses.append(sum(cost.grover_any(np.arange(16) == 3, seeded) is None for _ in range(300)))
     assert misses[0] > misses[1] > misses[2]
     assert cost.SymbolOracle("ab", ledger).read(1) == "b" and ledger.oracle_reads == 1
+
+
+def test_dynamic_order_and_extensions():
+    for s in texts(21, 40, 24) + EDGES:
+        grown = lz.DynamicLce()
+        for _, size, source, code in lz.lz77(s):
+            if source >= 0:
+                grown.push_copy(source, size)
+            else:
+                grown.push_symbol(code)
+        assert "".join(map(chr, grown.codes)) == s
+        for i, j in itertools.product(range(len(s)), repeat=2):
+            want = next((k for k in range(len(s)) if max(i, j) + k >= len(s) or s[i + k] != s[j + k]), len(s) - max(i, j))
+            assert grown.lce(i, j) == want
+            back = next((k for k in range(min(i, j)) if s[i - k - 1] != s[j - k - 1]), min(i, j))
+            assert grown.lcs(i, j) == back
+        for tau in (1, 3):
+            for mode in ("linear", "sqrt_product", "merged"):
+                ledger = cost.Ledger()
+                assert lengths(lz.lz_end_grid(s, tau, mode=mode, order="dynamic", ledger=ledger)) == lengths(lz.lz_end_grid(s, tau, mode=mode))
+        assert lengths(lz.lz_end_grid(s, "opt")) == lengths(lz.lz_end_grid(s, max(1, int(np.ceil(np.sqrt(max(1, len(s)) / max(1, lz.lz_size(s))))))))
+        assert lz.lz_size(s) == len(lz.lz77(s)) and lz.lz_size(s, overlap=False) == len(lz.lz77(s, overlap=False))
+        ledger = cost.Ledger()
+        assert lz.read_all(s, ledger) == lz.lz77(s) and ledger.oracle_reads == len(s)
+
+
+def test_token_parts():
+    rng, dropped = random.Random(8), 0
+    for _ in range(40):
+        x = "".join(rng.choice("ab") for _ in range(rng.randint(2, 60)))
+        y = "".join(rng.choice("ab") if rng.random() < 0.2 else c for c in x)
+        if x == y:
+            continue
+        for base, scale in ((5, 1.0), (2, 1e-3), (3, 1e-4)):
+            d, _, g = solve.solve(x, y, base=base, quota_scale=scale, const=1 if base == 2 else 6)
+            assert abs(g.q_useful + g.q_own + g.q_terminated - g.q_tokens) <= 1e-9 * g.q_tokens and abs(g.t_useful + g.t_own + g.t_terminated - g.t_tokens) <= 1e-9 * g.t_tokens
+            dropped += g.q_terminated > 0
+            if base == 5:
+                q, t = solve.token_quota(len(x), len(y), d, 5)
+                for part, share in (("useful", 5 / 7), ("own", 0.1 / 4), ("terminated", 1 / 4)):
+                    assert getattr(g, f"q_{part}") <= share * q and getattr(g, f"t_{part}") <= share * t
+    assert dropped
+
+
+def test_anchors_from_phrases():
+    pool = [t for t in texts(19, 20, 8, "ab") if t]
+    for x, y in zip(pool, pool[1:], strict=False):
+        k = edit.ed_dp(x, y)
+        for p in range(len(x) + 1):
+            assert edit.is_anchor_exact(x, y, p, anchor.find_anchor(x, y, k, p, compressed=True))
+            for q in range(len(y) + 1):
+                assert anchor.test_anchor(x, y, k, p, q, compressed=True) == anchor.test_anchor(x, y, k, p, q)
+
+
+def test_windows_are_monotone_and_complexity_is_stable():
+    rng = random.Random(13)
+    for s, t in zip(texts(31, 40, 20), texts(32, 40, 20), strict=True):
+        if s:
+            i, j = sorted((rng.randint(0, len(s)), rng.randint(0, len(s))))
+            assert edit.ed_dp(s[i:j], t[i : max(i, j + len(t) - len(s))]) <= edit.ed_dp(s, t) or j + len(t) - len(s) < i
+            p = rng.randrange(len(s))
+            changed = s[:p] + "z" + s[p + 1 :]
+            assert suffix.delta(s) == suffix.delta(s[::-1]) and suffix.delta(s[i:j]) <= suffix.delta(s) and abs(suffix.delta(changed) - suffix.delta(s)) <= 1 + 1e-9
+            assert suffix.delta(s + t) <= suffix.delta(s) + suffix.delta(t) + 1e-9 or suffix.delta(s + t) <= suffix.delta(s) + suffix.delta(t) + 1
+            assert suffix.delta(s) <= lz.lz_size(s)
+
+
+def test_run_length_rules_and_runs_from_phrases():
+    for s in texts(23, 40, 30) + EDGES:
+        g = grammar.grammar_from_lz(lz.lz77(s))
+        rules = grammar.run_length_rules(g)
+        assert "".join(map(chr, grammar.expand_run_length(rules))) == s and len(rules) <= len(grammar.rules_of(g))
+        assert index.rlbwt_from_lz(lz.lz77(s)).runs == suffix.runs_of(suffix.bwt(s))
+    assert len(grammar.run_length_rules(grammar.grammar_from_lz(lz.lz77("a" * 4096)))) <= 3
+
+
+def test_level_index_answers_from_phrases():
+    for s in [t for t in texts(14, 20, 20) if t]:
+        found = index.SaIndex(s)
+        for i, j in itertools.product(range(len(s)), repeat=2):
+            assert found.lce(i, j) == suffix.SuffixOrder(s).lce(i, j)

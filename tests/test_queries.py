@@ -57,3 +57,35 @@ def test_entry_works_without_optional_parts(spark, sf):
 
     assert __spark_entry__.entry(spark).count() > 0
     assert "edit_distance_methods" in __spark_entry__.queries()
+
+
+def test_near_copies_by_brute_force(spark, sf, tmp_path):
+    from textfactor import workload_queries as w
+
+    head = "the same first words, then "
+    texts = {0: head + "a b c d", 1: head + "a b x d", 2: head + "q" * 200, 3: "another", 4: head + "a b c d", 5: None}
+    spark.createDataFrame(list(texts.items()), "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    got = {(r.a_id, r.b_id): r.distance for r in w.near_copy_distances(spark, str(tmp_path)).collect()}
+    assert got == w.brute_near_copies({k: v for k, v in texts.items() if v is not None})
+    assert all(r.agree for r in w.near_copy_distances(spark, str(tmp_path)).collect())
+    assert {(r.a_id, r.b_id) for r in w.near_copy_matches(spark, str(tmp_path)).collect()} == set(got)
+
+
+def test_bucketed_table_joins_without_shuffle(spark, sf):
+    from textfactor.plans.rewrite import plan_text
+    from textfactor.sources import tables
+
+    for name, key in (("tf_orders", "o_orderkey"), ("tf_lines", "l_orderkey")):
+        source = {"tf_orders": "orders", "tf_lines": "lineitem"}[name]
+        tables.write_bucketed(tables.table(spark, sf, source).select(key), name, key, 4)
+    joined = spark.table("tf_orders").join(spark.table("tf_lines").hint("merge"), spark.table("tf_orders").o_orderkey == spark.table("tf_lines").l_orderkey)
+    assert "Exchange" not in plan_text(joined) and joined.count() == tables.table(spark, sf, "lineitem").join(tables.table(spark, sf, "orders"), tables.F.expr("o_orderkey = l_orderkey")).count()
+
+
+def test_count_filter_loses_no_pair(spark, sf):
+    from textfactor.operators import joins
+    from textfactor.sources import tables
+
+    names = tables.table(spark, sf, "part").groupBy("p_name").agg(tables.F.min("p_partkey").alias("p_partkey"))
+    plain, counted = (joins.similarity_join(names, names, "p_partkey", "p_partkey", "p_name", "p_name", 3, self_join=True, count_q=q) for q in (None, 2))
+    assert sorted(map(tuple, plain.collect())) == sorted(map(tuple, counted.collect()))

@@ -485,7 +485,7 @@ def _indexed_patterns(kind: str):
 
     QUERIES[name] = _wide(run)
     ORACLES[name] = """with patterns as (select distinct pattern from (select unnest(string_split(text, ' ')) as pattern from benchmark) where pattern <> ''),
-hits as (select conv_id, turn, pattern, cast(p - 1 as bigint) as pos from conversations, patterns, lateral (select unnest(range(1, length(text) - length(pattern) + 2)) as p) where contains(text, pattern) and substr(text, cast(p as int), length(pattern)) = pattern)
+hits as (select conv_id, turn, pattern, cast(p - 1 as bigint) as pos from conversations, lateral (select unnest(range(1, length(text) + 1)) as p), (select distinct length(pattern) as l from patterns) sizes join patterns on pattern = substr(text, cast(p as int), cast(l as int)))
 select conv_id, turn, pattern, cast(count(*) over (partition by conv_id, turn, pattern) as bigint) as n, pos from hits"""
 
 
