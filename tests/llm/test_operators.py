@@ -135,17 +135,40 @@ def test_op2_returns_every_link(spark, docs, rows):
     assert len(got) == len(set(got)) and set(got) == links_
     assert Counter((r.doc_id, r.n_links) for r in found.collect()) == degree
     scratch = common.Scratch(spark, "links")
-    classes = found.where("class_id = doc_id and n_shingles > 0").dropDuplicates(["class_id"]).select(found.class_id.alias("id"), found.n_shingles.cast("int").alias("n"), found.component_id.alias("comp"))
     from pyspark.sql import functions as F
 
+    prints = spark.createDataFrame([(i, ngram_join.fingerprint(ngram_join.shingle_sets([t.encode()], 5)[0])) for i, t in dict(rows).items() if i is not None and t], "doc long, id long")
+    classes = found.where("class_id = doc_id and n_shingles > 0").dropDuplicates(["class_id"]).select(found.class_id.alias("doc"), found.n_shingles.cast("int").alias("n"), found.component_id.alias("comp")).join(prints, "doc")
+
     pairs, others = ngram_join.linked_pairs(docs, classes.withColumn("docs", F.lit(1).cast("long")), 5, 80, scratch, block=4)  # many block pairs
     got = [(r.a, r.b) for r in pairs.collect()]
     assert len(got) == len(set(got)) and set(got) == links_
     want = Counter(x for pair in links_ for x in pair)
-    assert {r.id: r.others for r in others.collect() if r.others} == want
+    named = {r.id: r.doc for r in classes.collect()}
+    assert {named[r.id]: r.others for r in others.collect() if r.others} == want
     assert ngram_join.near_duplicates(docs.limit(0))[1].count() == 0
 
 
+def test_rows_with_a_partner():
+    rng = random.Random(10)
+    for percent in (80, 60):
+        rows = sorted((rng.randrange(6), rng.randint(1, 30)) for _ in range(80))
+        token, n = (np.array(x, np.int64) for x in zip(*rows, strict=True))
+        rest = np.array([rng.randint(1, m) for m in n.tolist()], np.int64)
+        fits = lambda a, b: a != b and token[a] == token[b] and ngram_join.needed_overlap(int(n[a]), int(n[b]), percent) <= min(rest[a], rest[b])  # noqa: B023, E731
+        assert ngram_join.partnered(token, n, rest, percent).tolist() == [any(fits(a, b) for b in range(80)) for a in range(80)]
+    assert len(ngram_join.partnered(*[np.empty(0, np.int64)] * 3, 80)) == 0
+
+
+def test_op2_many_unlike_documents_of_shared_passages(spark):
+    """Documents of 4 out of 12 paragraphs: their tokens are shared by many, few pairs are alike, and the last round deals them in salted blocks."""
+    rng = random.Random(11)
+    paragraphs = [" ".join(rng.choices(WORDS, k=30)) for _ in range(12)]
+    rows = [(k, " ".join([*rng.sample(paragraphs, 4), f"own{k}"])) for k in range(150)]
+    found, _ = ngram_join.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), whole_links=False, salt_rows=10)
+    assert Counter((r.doc_id, r.n_shingles, r.component_id) for r in found.collect()) == Counter(brute_components(rows))
+
+
 def test_shared_counts():
     rng = random.Random(9)
     sets = [np.array(sorted(rng.sample(range(60), rng.randint(1, 40))), np.uint64) for _ in range(11)]
@@ -186,43 +209,106 @@ def test_url_model_separates_held_out_classes():
     assert url_filter.UrlRatio([], bad).verdict("x")[0] == "allow"
 
 
-def brute_leaks(index, texts, least, least_overlap):
-    out = set()
+def test_op3_verdicts_against_plain_models(spark):
+    """Where no rule fits, the verdict is that of Witten-Bell models written out anew."""
+    rng = random.Random(7)
+    urls = [f"http://a{rng.randint(1, 40)}.net/x{rng.randint(1, 9)}" for _ in range(60)] + [f"http://b{rng.randint(1, 40)}.org/fr/{rng.randint(1, 9)}" for _ in range(60)]
+    urls += ["http://c.com/fr/x", "http://zz.info/net", None, "", "http://q.com/" + "long" * 3000, *urls[:5]]
+    pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    model = url_filter.train(url_filter.with_rules(pages, "url"), "url")
+
+    def p(texts, context, symbol, order=5):
+        after = Counter(t[i] for t in ("\x02" + u + "\x03" for u in texts) for i in range(1, len(t)) if t[max(0, i - len(context)) : i] == context and i >= len(context))
+        below = p(texts, context[1:], symbol) if context else 1 / 256
+        total = sum(after.values())
+        return below if context and total < 2 else (after[symbol] + len(after) * below) / (total + len(after))
+
+    sample = {v: [r.url for r in url_filter.with_rules(pages, "url").where(f"rule_verdict = '{v}'").selectExpr("url", "xxhash64(url) h").distinct().orderBy("h", "url").collect()] for v in ("allow", "block")}
+    fit = {v: [u for k, u in enumerate(x) if k % 4 != 3] for v, x in sample.items()}
+    for u in ("http://c.com/fr/x", "http://zz.info/net", ""):
+        t = "\x02" + u + "\x03"
+        logs = {v: sum(math.log(p(fit[v], t[max(0, i - 5) : i], t[i])) for i in range(1, len(t))) for v in fit}
+        assert abs(model.score(u) - (logs["allow"] - logs["block"]) / (len(u) + 1)) < 1e-9
+    got = {r.page_id: r for r in url_filter.judge(pages).collect()}
+    assert len(got) == len(urls)
+    for k, u in enumerate(urls):
+        s = model.score(u or "")
+        assert abs(got[k].lm_score - s) < 1e-9 and got[k].verdict == ("block" if u and ".net/" in u else "allow" if u and ".org/fr/" in u else "allow" if s >= model.cut else "block")
+
+
+def brute_leaks(items, texts, factor=8, least=0.5, least_overlap=0.5, short=8):
+    """Plain BM25 from raw counts over every window and item: {(text, item): largest score of a confirmed window}."""
+    read = [(i, contamination.terms_of(t.encode()), contamination.read_item(i, t)) for i, t in items if t and contamination.terms_of(t.encode())]
+    read.sort(key=lambda x: len(x[1]))
+    n, mean = len(read), sum(len(w) for _, w, _ in read) / max(1, len(read))
+    df = Counter(t for _, w, _ in read for t in set(w))
+    spans, groups = {}, []
+    for i, w, _ in read:
+        if not groups or len(w) > factor * len(groups[-1][0]):
+            groups.append([])
+        groups[-1].append(w)
+        spans[i] = len(groups) - 1
+    weight = {}
+    for i, w, _ in read:
+        raw = {t: math.log(1 + (n - df[t] + 0.5) / (df[t] + 0.5)) * w.count(t) * 2.2 / (w.count(t) + 1.2 * (0.25 + 0.75 * len(w) / mean)) for t in set(w)}
+        weight[i] = {t: v / sum(raw.values()) for t, v in raw.items()}
+    grams = lambda w, n: {tuple(w[k : k + n]) for k in range(len(w) - n + 1)}
+    share = lambda part, window: len(grams(part, m) & grams(window, m)) / len(grams(part, m)) if (m := min(3, len(part))) else 1.0
+    out = {}
     for k, t in enumerate(texts):
         words = contamination.terms_of(t)
-        span = index.longest
-        for start in range(0, max(1, len(words)), span):
-            window = words[start : start + 2 * span] if start == 0 or len(words) > start else []
-            terms = [index.vocab[w] for w in set(window) if w in index.vocab]
-            scores = index.impact[terms].sum(0)
-            for j, i in enumerate(index.ids):
-                q, a = (contamination.gram_share(p, {}, window) for p in index.parts[j])
-                if scores[j] >= least and q >= least_overlap and a >= least_overlap:
-                    out.add((k, i))
+        for i, w, item in read:
+            span = len(groups[spans[i]][-1])
+            for start in range(0, len(words), span):
+                window = words[start : start + 2 * span]
+                score = sum(v for t, v in weight[i].items() if t in set(window))
+                if score < least:
+                    continue
+                short_part = min(len(item.question), len(item.answer)) < short
+                if share(w, window) >= least_overlap if short_part else share(item.question, window) >= least_overlap and share(item.answer, window) >= least_overlap:
+                    out[k, i] = max(score, out.get((k, i), 0))
     return out
 
 
-def test_op4(spark, sf, empty):
+@pytest.mark.parametrize(("factor", "index_bytes"), [(8, 128 << 20), (1, 1)])
+def test_op4(spark, sf, empty, factor, index_bytes):
     bench = spark.read.parquet(f"{sf}/benchmark.parquet")
     items = [(r.item_id, r.text) for r in bench.collect()]
     rng = random.Random(8)
     texts = []
     for k in range(60):
         filler = rng.choices(WORDS, k=rng.randint(0, 300))
+        own = items[k % len(items)][1].split()
         if k % 3 == 0:
-            filler[len(filler) // 2 : len(filler) // 2] = items[k % len(items)][1].upper().split() if k % 2 else items[k % len(items)][1].split()
+            filler[len(filler) // 2 : len(filler) // 2] = [w.upper() if w.isascii() else w for w in own] if k % 2 else own
         if k % 3 == 1:
-            filler += items[k % len(items)][1].split()[:6]  # a fragment is no leak
+            filler += own[:6]  # a fragment is no leak
+        if k % 12 == 2:
+            filler += own[:-1] + ["changed"]  # the last word altered: still the item
         texts.append(" ".join(filler))
-    docs = spark.createDataFrame([(k, t, "x") for k, t in enumerate([*texts, None, ""])], "doc_id long, text string, item_id string")
-    got = {(r.doc_id, r.item_id) for r in contamination.find_leaks(docs, bench, part_items=7).collect()}
-    index = contamination.BlockMaxIndex(items)
-    assert got == brute_leaks(index, [t.encode() for t in texts], 0.5, 0.5)
-    assert {k for k in range(60) if k % 6 == 0} <= {d for d, _ in got} and not any(d % 3 for d, _ in got)  # whole items are found, fragments and filler are not
-    assert contamination.decontaminate(docs, bench).count() == 62 - len({d for d, _ in got})
+    texts.append(" ".join(rng.choices([w for _, t in items for w in t.split()], k=30_000)) + " " + items[1][1])  # a very long text of the items' own words
+    rows = [(k, t, "x") for k, t in enumerate([*texts, None, ""])]
+    docs = spark.createDataFrame(rows + rows[:2], "doc_id long, text string, item_id string")  # repeated rows are each reported
+    found = contamination.find_leaks(docs, bench, index_bytes=index_bytes, factor=factor).collect()
+    want = brute_leaks(items, [t.encode() for t in texts], factor)
+    assert Counter((r.doc_id, r.item_id) for r in found) == Counter(want.keys()) + Counter(x for x in want if x[0] < 2)
+    assert all(abs(r.score - want[r.doc_id, r.item_id]) < 1e-9 for r in found)
+    assert {(k, items[k % len(items)][0]) for k in range(60) if k % 3 == 0 or k % 12 == 2} <= set(want) and not any(k % 3 == 1 or k % 12 in (5, 8, 11) for k, _ in want if k < 60)
+    assert (60, items[1][0]) in want
+    assert contamination.decontaminate(docs, bench, factor=factor).count() == len(rows) + 2 - len({d for d, _ in want}) - len({d for d, _ in want if d < 2})
     assert contamination.find_leaks(empty, bench).count() == 0 and contamination.find_leaks(docs, bench.where("false")).count() == 0
     nulls = spark.createDataFrame([(None, "alpha beta gamma. delta epsilon zeta."), (None, None), (1, "")], "item_id long, text string")
     assert contamination.find_leaks(docs, nulls).count() == 0
+    split = spark.createDataFrame([(7, "one two three four five six seven eight", "nine ten eleven twelve thirteen fourteen fifteen sixteen")], "item_id long, text string, answer string")
+    both = spark.createDataFrame([(0, "one two three four five six seven eight so nine ten eleven twelve thirteen fourteen fifteen sixteen"), (1, "one two three four five six seven eight")], "doc_id long, text string")
+    assert [(r.doc_id, r.item_id) for r in contamination.find_leaks(both, split).collect()] == [(0, 7)]
+
+
+def test_op4_keeps_scores_whatever_the_groups(spark, sf):
+    items = [contamination.read_item(r.item_id, r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
+    weights = lambda **o: {(item.id, t): v for index in contamination.build_indexes(items, **o) for t, k in index.vocab.items() for item, v in [(index.items[p], index.value[i]) for i, p in enumerate(index.item) if index.term[i] == k]}
+    one, many = weights(), weights(factor=1, block=3)
+    assert one.keys() == many.keys() and all(abs(one[x] - many[x]) < 1e-12 for x in one)
 
 
 def test_op5_takes_the_commonest_length_of_all_rows(spark):
@@ -234,10 +320,46 @@ def test_op5_takes_the_commonest_length_of_all_rows(spark):
     assert {r.query_id for r in got} == {10_000 + 100 * k for k in range(13)} and all(10_000 <= r.vec_id < 20_000 for r in got)
 
 
+def recall_and_share(spark, x, **options):
+    """(recall over queries that did not calibrate, share of the rows that a query scores)."""
+    table = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<float>")
+    seen = []
+    measured = ann_search._measured
+    ann_search._measured = lambda *a: seen.append(measured(*a)) or seen[-1]
+    try:
+        got: dict = {}
+        for r in ann_search.nearest(table, "vec_id % 10 = 0", **options).collect():
+            got.setdefault(r.query_id, set()).add(r.vec_id)
+    finally:
+        ann_search._measured = measured
+    asked = [r.vec_id for r in table.where("vec_id % 10 = 0").selectExpr("vec_id", "xxhash64(vec_id) h").orderBy("h", "vec_id").collect()][options.get("calibrate", 64) :]
+    x = np.float32(x).astype(float)
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    hits = 0
+    for q in asked:
+        s = unit @ unit[q]
+        s[q] = -2
+        hits += len(set(np.argsort(-s, kind="stable")[:5].tolist()) & got[q])
+    used, window = seen[0]
+    return hits / (5 * len(asked)), used * min(len(x), 2 * window + 1) / len(x)
+
+
+def test_op5_scores_a_small_share_of_clustered_vectors(spark):
+    rng = np.random.default_rng(3)
+    shares = []
+    for size in (2000, 8000):
+        centres = rng.standard_normal((size // 20, 16))
+        x = np.repeat(centres, 20, axis=0) + 0.05 * rng.standard_normal((size, 16))
+        recall, share = recall_and_share(spark, x[rng.permutation(size)], calibrate=64)
+        assert recall >= 0.9
+        shares.append(share)
+    assert shares[0] < 0.25 and shares[1] < shares[0] / 2  # the window does not grow with the table
+
+
 def test_op5(spark, sf):
     e = spark.read.parquet(f"{sf}/embeddings.parquet")
     bad = spark.createDataFrame([(5000, None), (5050, [0.0] * 64), (5100, [float("nan")] * 64), (5150, [1.0] * 63), (5200, [None] + [1.0] * 63)], "vec_id long, embedding array<float>")
-    twins = e.where("vec_id = 7").selectExpr("vec_id + 9000 as vec_id", "embedding").union(e.where("vec_id = 7").selectExpr("vec_id + 9043 as vec_id", "embedding"))
+    twins = e.where("vec_id = 7").selectExpr("vec_id + 9000 as vec_id", "embedding").union(e.where("vec_id = 7").selectExpr("vec_id + 9043 as vec_id", "embedding"))  # 9050 is a query
     table = e.select("vec_id", "embedding").union(bad).union(twins)
     kept = [(r.vec_id, np.array(r.embedding, float)) for r in e.union(e.limit(0)).select("vec_id", "embedding").union(twins).collect()]
     ids, x = np.array([i for i, _ in kept]), np.stack([v for _, v in kept])
@@ -252,7 +374,7 @@ def test_op5(spark, sf):
             mine = [got[q][k][0] for k in range(1, 6)]
             hits, total = hits + len(set(order) & set(mine)), total + 5
             assert all(abs(got[q][k][1] - s[ids == got[q][k][0]][0]) < 1e-12 for k in got[q]) and [got[q][k][1] for k in range(1, 6)] == sorted((v[1] for v in got[q].values()), reverse=True)
-        assert hits / total >= 0.9
+        assert hits / total >= 0.9 and [got[9050][k][0] for k in (1, 2)] == [7, 9007]  # equal scores: the smaller id first
     assert ann_search.nearest(table.where("false"), "vec_id % 50 = 0").count() == 0
     assert ann_search.nearest(table.where("vec_id in (0, 1, 2)"), "vec_id % 50 = 0").count() == 2
 
@@ -282,6 +404,10 @@ def test_op6(spark, sf):
         assert got[k].base_spans == brute_spans(t or "")
         assert got[k].n_assign == brute_spans(t or "").count("assign") and got[k].n_hex == brute_spans(t or "").count("hex")
     assert got[4].spans == f"random:6:{6 + 40}" and got[9].spans == ""
+    value = "tEq7Zr0XbL2mVn8KwPd4Hs6J"
+    long = spark.createDataFrame([(0, f"password={value} " * 20_000 + "plain words " * 30_000), (0, "k " + value), (0, "k " + value), (None, value)], "doc_id long, text string")
+    many = sorted((r.n_assign, r.n_random) for r in secrets.scan(long, models).collect())  # a very long text of matches, repeated rows, a null id
+    assert many == [(0, 1), (0, 1), (0, 1), (20_000, 0)]
     assert secrets.scan(table.where("false"), models).count() == 0
 
 
@@ -291,19 +417,37 @@ def test_secret_models_on_held_out_strings():
     ratio = lambda s: noisy.per_symbol(s) - words.per_symbol(s)
     assert all(ratio(s) > 0.5 for s in secrets.seeded_random_strings(200, seed=99))
     assert ratio(b"internationaltransformation") < 0
+    piece = secrets.seeded_random_strings(30)
+    assert abs(noisy.per_symbol(b"".join(piece), piece=7) - noisy.per_symbol(b"".join(piece))) < 1e-9
+    assert secrets.calibrated_cut([1.0, 2.0, 3.0], [-1.0, 0.0]) == 0.5 and secrets.calibrated_cut([], [1.0]) == 0.5
 
 
 def test_op7(spark, sf, docs, empty):
     table = spark.read.parquet(f"{sf.replace('0.001', '0.01')}/documents.parquet")
-    known = langid.train_dictionaries(table.where(langid.in_training()).select("doc_id", "text", "lang"))
+    known = langid.train(table.where(langid.in_training()).select("doc_id", "text", "lang"))
     held = langid.classify(table.where(~langid.in_training()), known)
     assert held.where("lang_pred = lang").count() / held.count() > 0.95
     assert held.where("not accepted").count() <= 0.02 * held.count()
     odd = {r.doc_id: r for r in langid.classify(docs, known).collect() if r.text is None or not any(map(str.isalpha, r.text))}
     assert odd and all(r.lang_pred == "und" and r.score == 0 and not r.accepted for r in odd.values())
     assert langid.classify(docs, known).columns.count("score") == 1
-    assert langid.classify(docs, {}).where("lang_pred <> 'und'").count() == 0 and langid.classify(empty, known).count() == 0
-    assert langid.train_dictionaries(empty.select("doc_id", "text", "lang")) == {}
+    assert langid.classify(docs, langid.Model({})).where("lang_pred <> 'und'").count() == 0 and langid.classify(empty, known).count() == 0
+    assert langid.train(empty.select("doc_id", "text", "lang")) == langid.Model({})
+    rng = random.Random(6)  # letters without any language: no dictionary is ahead by much
+    junk = spark.createDataFrame([(k, "".join(rng.choice("abcdefghijklmnopqrstuvwxyz ") for _ in range(4000))) for k in range(30)], "doc_id long, text string")
+    assert 0 < known.least_score <= 0.01 and langid.classify(junk, known).where("accepted").count() <= 15
+
+
+def test_op7_sizes_against_the_library(spark, sf):
+    import zstandard
+
+    model = langid.Model({"a": b"the cat sat on the mat and the dog ran", "b": b"el gato se sienta en la alfombra y corre"})
+    size = lambda lang, text, level: len(zstandard.ZstdCompressor(level=level, dict_data=zstandard.ZstdCompressionDict(model.dictionaries[lang], dict_type=zstandard.DICT_TYPE_RAWCONTENT), write_content_size=False, write_dict_id=False, write_checksum=False).compress(text.lower().encode()))
+    judge = langid.CompressionClassifier(model, finer=())
+    for text in ("The cat and the dog sat on the mat", "el gato corre en la alfombra", "El gato se sienta", "zzz the mat"):
+        sizes = {lang: size(lang, text, 6) for lang in model.dictionaries}
+        lang, margin, score = judge.classify(text)
+        assert sizes[lang] == min(sizes.values()) and margin == max(sizes.values()) - min(sizes.values()) and score == margin / max(sizes.values())
 
 
 def test_op8(docs, rows, empty):
@@ -345,24 +489,50 @@ def test_op9(docs, rows, empty):
     want = Counter()
     for i, t in rows:
         want[i, len(words(t)), sum(count[w] > 0 for w in words(t)), n, round(sum(math.log10((count[w] + 1) / (n + 1 * (v + 1))) for w in words(t)), 6)] += 1
-    for bound in (256 << 20, 0):  # exact counts by broadcast, then by join
-        got = lm_score.score(docs, ~held, max_table_bytes=bound).collect()
+    for bound in (256 << 20, 0):  # broadcast, then routed
+        got = lm_score.score(docs, ~held, max_broadcast_bytes=bound).collect()
         assert Counter((r.doc_id, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 6)) for r in got) == want
         assert all(r.score < 0 and math.isfinite(r.score) for r in got)
     assert lm_score.score(empty, ~held).count() == 0
     assert all(r.n_known == 0 for r in lm_score.score(docs, F.lit(False)).collect())
 
 
-def test_op9_filter_beyond_the_broadcast_bound(docs):
-    """A filter that is too large to broadcast holds every bigram: the scores do not depend on the bound."""
+def test_op9_beyond_the_broadcast_bound(docs):
+    """What is too large to broadcast holds every n-gram all the same: the scores do not depend on the bound."""
     from pyspark.sql import functions as F
 
     held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 7 == 2, F.lit(False))
     rows_of = lambda df: Counter((r.doc_id, r.n_tokens, r.n_known, round(r.base_score, 6), round(r.score, 6)) for r in df.collect())
     want = rows_of(lm_score.score(docs, ~held))
-    assert rows_of(lm_score.score(docs, ~held, max_filter_bytes=0)) == want
-    assert rows_of(lm_score.score(docs, ~held, max_filter_bytes=0, max_table_bytes=0, unit_bytes=2000)) == want
-    assert rows_of(lm_score.score(docs, ~held & (F.col("doc_id") < 3), max_filter_bytes=0)) == rows_of(lm_score.score(docs, ~held & (F.col("doc_id") < 3)))
+    assert rows_of(lm_score.score(docs, ~held, max_broadcast_bytes=0)) == want
+    assert rows_of(lm_score.score(docs, ~held, max_broadcast_bytes=0, unit_bytes=2000)) == want
+    assert rows_of(lm_score.score(docs, ~held & (F.col("doc_id") < 3), max_broadcast_bytes=0)) == rows_of(lm_score.score(docs, ~held & (F.col("doc_id") < 3)))
+
+
+def test_op9_scores_are_those_of_the_quantised_model(spark):
+    """Against plain counts, with a filter too large for false probes; and what a context gives to all words is one at most."""
+    rng = random.Random(12)
+    texts = [" ".join(rng.choices(["a", "b", "c", "dd", "e"], [9, 5, 2, 1, 1], k=rng.randint(0, 40))) for _ in range(60)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    train = texts[:40]
+    one, two = Counter(), Counter()
+    for t in train:
+        w = [None, *t.split(), "<end>"]
+        one.update(w[1:])
+        two.update(zip(w, w[1:], strict=False))
+    low, high = (lambda c: 2 ** (c.bit_length() - 1) if c else 0), (lambda c: 2 ** c.bit_length() - 1)
+    total, distinct = sum(one.values()), len(one)
+
+    def p(before, word):
+        back = (low(one[word]) + 1) / (total + distinct + 1)
+        most = len(train) if before is None else high(one[before])
+        return 0.6 * min(low(two[before, word]), most) / most + 0.4 * back if most else back
+
+    got = {r.doc_id: r.score for r in lm_score.score(docs, docs.doc_id < 40, bits=400).collect()}
+    for k, t in enumerate(texts):
+        w = [None, *t.split(), "<end>"]
+        assert abs(got[k] - sum(math.log10(p(x, y)) for x, y in zip(w, w[1:], strict=False))) < 1e-9
+    assert all(sum(p(before, w) for w in [*one, "unseen"]) <= 1 + 1e-12 for before in [None, "unseen", *one])
 
 
 def test_log_frequency_filter():

@@ -4,10 +4,10 @@ import zlib
 from collections import Counter
 
 import numpy as np
-from test_operators import brute_components, brute_lines  # noqa: F401
+from test_operators import brute_components, brute_leaks, brute_lines
 
 import corpus_pipeline
-from textfactor.llm import contamination, langid, line_dedup, packing
+from textfactor.llm import langid, line_dedup, packing
 
 
 def test_stages_against_brute_force(spark, sf):
@@ -16,8 +16,8 @@ def test_stages_against_brute_force(spark, sf):
     by_name = dict(corpus_pipeline.STAGES)
 
     one = by_name["language_id"](spark, docs, sf)
-    model = langid.CompressionClassifier(langid.train_dictionaries(docs.where(langid.in_training()).select("doc_id", "text", "lang")))
-    want = {r.doc_id for r in docs.collect() if (f := model.classify(r.text))[0] != "und" and f[1] >= 1}
+    model = langid.CompressionClassifier(langid.train(docs.where(langid.in_training()).select("doc_id", "text", "lang")))
+    want = {r.doc_id for r in docs.collect() if (f := model.classify(r.text))[0] != "und" and f[1] >= 1 and f[2] >= model.least_score}
     assert {r.doc_id for r in one.collect()} == want and one.columns == columns and len(want) >= 0.97 * docs.count()
 
     before = [(r.doc_id, r.text) for r in one.collect()]
@@ -31,12 +31,10 @@ def test_stages_against_brute_force(spark, sf):
     assert {r.doc_id for r in three.collect()} == {i for i, _, c in brute_components(before) if i == c}
 
     four = by_name["decontamination"](spark, three, sf)
-    items = contamination.BlockMaxIndex([(r.item_id, r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()])
-    left = {r.doc_id: r.text for r in three.collect()}
-    words = {i: [contamination.words_of(t.encode())] for i, t in left.items()}
-    memo = contamination.TermIds(items)
-    leaked = {i for i, w in words.items() if any(True for _ in contamination.search(items, memo, w, 0.5, 0.5))}
-    assert {r.doc_id for r in four.collect()} == set(left) - leaked and four.columns == columns
+    items = [(r.item_id, r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
+    left = [(r.doc_id, r.text) for r in three.collect()]
+    leaked = {left[k][0] for k, _ in brute_leaks(items, [t.encode() for _, t in left])}
+    assert {r.doc_id for r in four.collect()} == {i for i, _ in left} - leaked and four.columns == columns
 
     five = by_name["packing"](spark, four, sf).collect()
     memo = packing.memo_of(packing.default_tokenizer())

@@ -7,11 +7,14 @@ session names in ``spark.checkpoint.dir``; nothing is kept on an executor's own
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
+from itertools import chain
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+import xxhash
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 _own_dirs: dict[str, str] = {}
@@ -22,10 +25,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; a private temporary one only where the session names none."""
+    """The folder all executors share. Where the session names none, a private temporary one in local mode, and an error on a cluster."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.partition("[")[0] == "local":
+        raise ValueError("spark.checkpoint.dir has to name a folder that the driver and all executors share")
     app = spark.sparkContext.applicationId
     if app not in _own_dirs:
         _own_dirs[app] = tempfile.mkdtemp(prefix="textfactor-")
@@ -41,6 +46,7 @@ def _remove(spark: SparkSession, path: str) -> None:
 
 
 ARROW_BYTES = 8 << 20
+ROW_GROUP_BYTES = 32 << 20
 
 
 def bound_batches(spark: SparkSession) -> None:
@@ -53,17 +59,27 @@ def bound_batches(spark: SparkSession) -> None:
 
 
 class Scratch:
-    """Written intermediates of one operator call, removed when the interpreter ends or on close()."""
+    """Written intermediates of one operator call, removed when the interpreter ends, on close(), or by close_since()."""
+
+    made: list[Scratch] = []
 
     def __init__(self, spark: SparkSession, operator: str):
         bound_batches(spark)
         self.spark = spark
         self.root = f"{shared_dir(spark)}/textfactor-{operator}-{uuid.uuid4().hex[:12]}"
         atexit.register(_remove, spark, self.root)
+        Scratch.made.append(self)
+
+    @classmethod
+    def close_since(cls, mark: int) -> None:
+        """Removes the intermediates of all operator calls after the first `mark`; for callers that have written the results."""
+        for scratch in cls.made[mark:]:
+            scratch.close()
+        del cls.made[mark:]
 
     def write(self, df: DataFrame, name: str, partition_by: tuple[str, ...] = ()) -> DataFrame:
         path = f"{self.root}/{name}"
-        writer = df.write.option("compression", "zstd")
+        writer = df.write.option("compression", "zstd").option("parquet.block.size", ROW_GROUP_BYTES)  # what a task holds while it writes
         (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
         return self.spark.read.schema(df.schema).parquet(path)
 
@@ -74,6 +90,18 @@ class Scratch:
         _remove(self.spark, self.root)
 
 
+def release(spark: SparkSession) -> None:
+    """Lets Spark delete the shuffle files of plans that nothing refers to any more: an iterative job would else keep those of all its rounds, since
+    Spark's cleaner follows the garbage collection of the driver."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
+def bounded_broadcast(df: DataFrame, row_bytes: int, bytes_bound: int = 32 << 20) -> DataFrame:
+    """Broadcast hint if the counted rows are under the bound; the plain frame (a shuffle join) beyond it. For written tables, where counting is cheap."""
+    return F.broadcast(df) if df.count() * row_bytes <= bytes_bound else df
+
+
 # Word keys: every byte has a seeded 64-bit value, a word's key is their polynomial in an odd base modulo 2^64, finalised with the length.
 # Prefix sums give all words of a joined buffer at once; the base has an inverse, so a word's place in the buffer drops out.
 BYTE_VALUES = np.random.default_rng(20).integers(0, 2**64, 256, dtype=np.uint64)
@@ -81,6 +109,7 @@ SPACE = np.zeros(256, bool)
 SPACE[[9, 10, 11, 12, 13, 32]] = True
 BASE, INVERSE = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 2**64)
 PIECE = 1 << 20
+LONG_WORD = 256  # polynomials modulo 2^64 have known collisions between long words: those are hashed one by one
 _powers: list[np.ndarray] = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
 
@@ -103,6 +132,8 @@ def _buffer_keys(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
     sums = np.zeros(len(data) + 1, np.uint64)
     np.cumsum(BYTE_VALUES[data] * power[: len(data)], out=sums[1:])
     keys = (sums[end] - sums[first]) * inverse[first]
+    for k in np.flatnonzero(end - first > LONG_WORD).tolist():
+        keys[k] = xxhash.xxh3_64_intdigest(raw[first[k] : end[k]])
     return mix64(keys + (end - first).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)), first
 
 
@@ -144,17 +175,17 @@ def word_keys(texts: list[bytes | None]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def hash_sample(df: DataFrame, k: int, id_col: str = "doc_id", by: str | None = None) -> DataFrame:
-    """At least min(k, all) rows per group, those with the smallest hash of their id (column `h`), about 4 k at most. The cut follows
-    from the group's count, so nothing is sorted and no task reads more than its own partition."""
+    """The min(k, all) rows per group with the smallest hash of their id (column `h`), ties by id. A cut that follows from the group's count
+    leaves about 4 k rows before any are sorted, so no task reads more than its own partition and that."""
     group = F.col(by) if by else F.lit(0)
-    sizes = df.groupBy(group.alias("g")).agg(F.count(F.lit(1)).alias("n")).collect()
-    h = F.xxhash64(F.col(id_col).cast("string"))
-    keep = F.lit(False)
-    for r in sizes:
-        share = 4 * k / max(1, r.n)
-        here = group.eqNullSafe(F.lit(r.g))
-        keep = keep | (here if share >= 1 else here & (h < F.lit(int(-(2**63) + share * 2**64))))
-    return df.where(keep).withColumn("h", h)
+    sizes = df.where(group.isNotNull()).groupBy(group.alias("g")).agg(F.count(F.lit(1)).alias("n")).collect()
+    if not sizes:
+        return df.where("false").withColumn("h", F.lit(0).cast("long"))
+    highest = lambda n: (1 << 63) - 1 if 4 * k >= n else int(-(2**63) + 4 * k / n * 2**64)
+    cuts = F.create_map(*chain.from_iterable((F.lit(r.g), F.lit(highest(r.n)).cast("long")) for r in sizes))
+    some = df.where(group.isNotNull()).withColumn("h", F.xxhash64(F.col(id_col).cast("string"))).where(F.col("h") <= cuts[group])
+    order = Window.partitionBy(group).orderBy("h", id_col)
+    return some.withColumn("_nth", F.row_number().over(order)).where(F.col("_nth") <= k).drop("_nth")
 
 
 def words_of(text: bytes | None) -> list[bytes]:

@@ -27,6 +27,7 @@ from textfactor.llm.common import Scratch
 
 DEFAULT_TOKENIZER = "word_bpe_49k.json"
 SEPARATOR = 1
+LONGEST_MEMO = 64
 PIECE_SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
@@ -55,14 +56,16 @@ class WordIds(dict):
 
     def __missing__(self, word: str) -> bytes:
         raw = word if word.isascii() else "".join([self.symbols[b] for b in word.encode()])
-        value = self[word] = array(self.code, [t.id for t in self.merge(raw)]).tobytes()
+        value = array(self.code, [t.id for t in self.merge(raw)]).tobytes()
+        if len(word) <= LONGEST_MEMO:  # so entries bound the memo's bytes too
+            self[word] = value
         return value
 
 
 class ChunkIds(dict):
     """Memo from a chunk between ASCII white space to its ids; this tokenizer drops white space, so chunks are independent."""
 
-    def __init__(self, tokenizer_path: str, limit: int = 300_000):
+    def __init__(self, tokenizer_path: str, limit: int = 200_000):
         super().__init__()
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
@@ -78,7 +81,8 @@ class ChunkIds(dict):
             value = b"".join(map(self.words.__getitem__, PARTS.findall(text.lower())))
         else:
             value = array(self.code, self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
-        self[chunk] = value
+        if len(chunk) <= LONGEST_MEMO:
+            self[chunk] = value
         return value
 
     def ids(self, text: bytes | None) -> bytes:

@@ -4,7 +4,7 @@ Offline, the vocabulary is checked for two facts: which strings encode alone as
 that no token holds the space mark after another symbol. The second fact means that no merge crosses
 the start of a run of spaces, so a text's count is the sum over its pre-tokens (a run of spaces with
 the symbols after it). Pre-tokens proven whole count one at once; only the rest is merged, each
-distinct string once per memo generation.
+distinct string of up to 64 symbols once per memo generation.
 
 Cases: null text counts as empty (0 bytes, 0 tokens); a table without rows gives no rows; repeated
 rows each give a row; columns other than the two named are ignored; the memo is bounded.
@@ -18,8 +18,11 @@ import sentencepiece
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from textfactor.llm.common import bound_batches
+
 SPACE_MARK = "▁"
 DEFAULT_MODEL = "piece_bpe_32k.model"
+LONGEST_MEMO = 64
 
 
 class PieceCounter(dict):
@@ -41,7 +44,9 @@ class PieceCounter(dict):
         return {name: 1 for name, ids in zip(names, sp.encode(names, num_threads=1), strict=True) if len(ids) == 1}
 
     def __missing__(self, key: str) -> int:
-        value = self[key] = len(self.processor.encode(key, num_threads=1))
+        value = len(self.processor.encode(key, num_threads=1))
+        if len(key) <= LONGEST_MEMO:  # so entries bound the memo's bytes too
+            self[key] = value
         return value
 
     def trim(self) -> None:
@@ -69,6 +74,7 @@ class PieceCounter(dict):
 
 def token_counts(docs: DataFrame, model_path: str, max_tokens: int = 4096, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: id, n_bytes, n_tokens, over_limit (n_tokens > max_tokens). A map without shuffle."""
+    bound_batches(docs.sparkSession)
     kept = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.coalesce(F.octet_length(text_col), F.lit(0)).cast("long").alias("n_bytes"))
     id_type = kept.schema["doc_id"].dataType.simpleString()
 

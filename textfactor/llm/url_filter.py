@@ -3,8 +3,8 @@
 Two variable-order Markov models (orders 0 to `order`, Witten-Bell smoothing, each order backing off to the one
 below) are fitted to accepted and to rejected URLs. A URL's score is the difference of its log-likelihoods divided by its length.
 The cut is calibrated on a held-out quarter of the labelled sample (largest balanced accuracy; midway between the scores next to it).
-Labels are what the rules decide. At most `sample_urls` distinct labelled URLs per class are used, those with the smallest
-hash; judging covers every row.
+Labels are what the rules decide. At most `sample_urls` distinct labelled URLs of at most `sample_chars` characters per class are used, those with
+the smallest hash; judging covers every row and whole URLs.
 
 Cases: null, or no `://`: host and path are empty, no rule fits, and the empty text scores 0 against the cut like any other; if one class has no sample the
 verdict is `allow`; repeated rows get a verdict each; a table without rows gives no rows.
@@ -19,6 +19,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from textfactor.llm.common import bound_batches
+
 # fixed values: (verdict, host, path)
 RULES = (("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "example.com", "/de/"), ("allow", "org", "/fr/"))
 
@@ -102,9 +104,9 @@ class UrlRatio:
         return ("allow" if s >= self.cut else "block"), s
 
 
-def train(ruled: DataFrame, url_col: str, sample_urls: int = 3000, order: int = 5) -> UrlRatio:
+def train(ruled: DataFrame, url_col: str, sample_urls: int = 3000, order: int = 5, sample_chars: int = 2000) -> UrlRatio:
     def sample(verdict: str) -> list[str]:
-        urls = ruled.where((F.col("rule_verdict") == verdict) & F.col(url_col).isNotNull()).select(F.left(url_col, F.lit(2000)).alias("u")).distinct()
+        urls = ruled.where((F.col("rule_verdict") == verdict) & (F.length(url_col) <= sample_chars)).select(F.col(url_col).alias("u")).distinct()
         return [r.u for r in urls.orderBy(F.xxhash64("u"), "u").limit(sample_urls).collect()]
 
     return UrlRatio(sample("allow"), sample("block"), order)
@@ -112,6 +114,7 @@ def train(ruled: DataFrame, url_col: str, sample_urls: int = 3000, order: int =
 
 def judge(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", sample_urls: int = 3000, order: int = 5) -> DataFrame:
     """(id, host, path, rule, verdict, lm_score): rule verdicts first, the model's where no rule fits."""
+    bound_batches(pages.sparkSession)
     slim = with_rules(pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).alias("url")), "url")
     sent = pages.sparkSession.sparkContext.broadcast(train(slim, "url", sample_urls, order))
 
