@@ -1,19 +1,23 @@
 """Language-model scores from a log-frequency Bloom filter.
 
 Unigrams and bigrams of all training texts are counted exactly: each partition counts its own share, shares are merged by shard of
-the key's hash. A count c has the level 1 + floor(log2 c), and the filter holds the pairs (n-gram, 1) ... (n-gram, level); it is built in
-one sub-filter per shard and broadcast. A count is read back by probing level after level until one is missing. Bigrams and
-unigrams are interpolated with additive smoothing below. A false probe can only raise a level; with 10 bits an entry it does so in under 1 % of probes.
+the key's hash. A count c has the level 1 + floor(log2 c), and the filter holds the pairs (n-gram, 1) ... (n-gram, level), in one sub-filter
+per shard. A count is read back by probing level after level until one is missing: it lies between 2^(level-1) and 2^level - 1.
 
-Every n-gram is in the filter, whatever its size. A filter beyond `max_filter_bytes` is not broadcast: texts are packed into units, a unit's distinct
-keys are shuffled to the sub-filters that may hold them, and the levels come back by unit; scores are the same as with a broadcast.
-Exact unigram counts (for the base score) are broadcast up to `max_table_bytes`; beyond that they are joined by shuffle.
+Bigrams are interpolated with additive unigrams. A numerator is the least count of its level and the context below it the largest, so what a context
+gives to all words adds up to one at most. A false probe can only raise a level; with 10 bits an entry it does so in under 1 % of probes.
+
+Every n-gram is in the filter, whatever its size. While filter and exact unigram counts (for the base score) take up to `max_broadcast_bytes` they are
+broadcast; beyond that texts are packed into written units, a unit's distinct keys are shuffled to the shards that may hold them, and levels and
+counts come back by unit. Scores are the same either way.
 
 Cases: null and empty texts are one end token; without training rows every count is 0; repeated rows are scored each; extra columns are ignored.
 """
 
 from __future__ import annotations
 
+from typing import NamedTuple
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -55,8 +59,18 @@ def shard_of(keys: np.ndarray, shards: int) -> np.ndarray:
     return (mix64(keys) % np.uint64(shards)).astype(np.int64)
 
 
-def count_ngrams(train: DataFrame, shards: int, flush: int = 1_500_000) -> DataFrame:
-    """(shard, kind, keys, counts): exact counts, kind 1 or 2, each key in one row."""
+def by_shard(keys: np.ndarray, shards: int) -> tuple[np.ndarray, np.ndarray]:
+    """(the order that sorts keys by shard, their shards in that order)."""
+    shard = shard_of(keys, shards)
+    order = np.argsort(shard, kind="stable")
+    return order, shard[order]
+
+
+SHARD = "shard long, size long, cells binary, keys binary, counts binary, words long, total long, entries long"
+
+
+def count_and_build(train: DataFrame, shards: int, bits: int, probes: int, flush: int = 1_000_000) -> DataFrame:
+    """One row per shard: its sub-filter (size, cells) over both kinds, its words' exact counts (keys, counts), and what it holds."""
 
     def emit(batches):
         held, size = ([], []), 0
@@ -64,9 +78,8 @@ def count_ngrams(train: DataFrame, shards: int, flush: int = 1_500_000) -> DataF
         def out():
             for kind in (1, 2):
                 keys, counts = summed(np.concatenate(held[kind - 1]))
-                shard = shard_of(keys, shards)
-                order = np.argsort(shard, kind="stable")
-                keys, counts, shard = keys[order], counts[order].astype(np.uint32), shard[order]
+                order, shard = by_shard(keys, shards)
+                keys, counts = keys[order], counts[order].astype(np.uint32)
                 first = np.flatnonzero(np.r_[True, shard[1:] != shard[:-1]])
                 ends = np.r_[first[1:], len(shard)]
                 blobs = [pa.array([x[a:b].tobytes() for a, b in zip(first, ends, strict=True)], pa.binary()) for x in (keys, counts)]
@@ -84,22 +97,40 @@ def count_ngrams(train: DataFrame, shards: int, flush: int = 1_500_000) -> DataF
         if size:
             yield from out()
 
-    def merge(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
-        read = lambda name, kind: np.frombuffer(b"".join(table.column(name).to_pylist()), kind)
-        keys, counts = summed(read("keys", np.uint64), read("counts", np.uint32).astype(np.uint64))
-        return pa.table({"shard": pa.array([key[0].as_py()], pa.int64()), "kind": pa.array([key[1].as_py()], pa.int32()), "keys": pa.array([keys.tobytes()], pa.binary()), "counts": pa.array([counts.tobytes()], pa.binary())})
+    def build(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
+        kind, merged = table.column("kind").to_numpy(), []
+        keys, counts = table.column("keys").to_pylist(), table.column("counts").to_pylist()
+        for wanted in (1, 2):
+            rows = np.flatnonzero(kind == wanted).tolist()
+            merged.append(summed(np.frombuffer(b"".join(keys[k] for k in rows), np.uint64), np.frombuffer(b"".join(counts[k] for k in rows), np.uint32).astype(np.uint64)))
+        both, levels = np.concatenate([k for k, _ in merged]), np.concatenate([level_of(c) for _, c in merged])
+        entries = int(levels.sum())
+        size = max(64, -(-entries * bits // 64) * 64)
+        cells = np.zeros(size, bool)
+        for level in range(1, int(levels.max(initial=0)) + 1):
+            for at in probe_places(both[levels >= level], level, np.uint64(size), probes):
+                cells[at] = True
+        own, exact = merged[0]
+        values = [key[0].as_py(), size, np.packbits(cells, bitorder="little").tobytes(), own.tobytes(), exact.tobytes(), len(own), int(exact.sum()), entries]
+        kinds = [pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.int64()]
+        return pa.table([pa.array([v], k) for v, k in zip(values, kinds, strict=True)], [c.split()[0] for c in SHARD.split(", ")])
 
     blobs = train.select(F.col("text").cast("binary").alias("text")).mapInArrow(emit, "shard long, kind int, keys binary, counts binary")
-    return blobs.groupBy("shard", "kind").applyInArrow(merge, "shard long, kind int, keys binary, counts binary")
+    return blobs.groupBy("shard").applyInArrow(build, SHARD)
 
 
 def level_of(counts: np.ndarray) -> np.ndarray:
     return np.frexp(counts.astype(np.float64))[1]
 
 
-def value_of(level: np.ndarray) -> np.ndarray:
-    """The middle of a level's counts: 0, 1, 2.5, 5.5, 11.5, ..."""
-    return np.where(level > 0, 1.5 * np.exp2(level - 1.0) - 0.5, 0.0)
+def least_of(level: np.ndarray) -> np.ndarray:
+    """The least count of a level: 0, 1, 2, 4, 8, ..."""
+    return np.where(level > 0, np.exp2(level - 1.0), 0.0)
+
+
+def most_of(level: np.ndarray) -> np.ndarray:
+    """The largest count of a level: 0, 1, 3, 7, 15, ..."""
+    return np.exp2(level.astype(np.float64)) - 1
 
 
 def probe_places(keys: np.ndarray, level: int, sizes, probes: int):
@@ -110,25 +141,6 @@ def probe_places(keys: np.ndarray, level: int, sizes, probes: int):
             yield ((a + np.uint64(i) * b) % sizes).astype(np.int64)
 
 
-def build_filters(counts: DataFrame, bits: int, probes: int) -> DataFrame:
-    """(shard, size, cells): one sub-filter per shard over both kinds."""
-
-    def build(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
-        keys, levels = [], []
-        for k, c in zip(table.column("keys").to_pylist(), table.column("counts").to_pylist(), strict=True):
-            keys.append(np.frombuffer(k, np.uint64))
-            levels.append(level_of(np.frombuffer(c, np.uint64)))
-        keys, levels = np.concatenate(keys), np.concatenate(levels)
-        size = max(64, -(-int(levels.sum()) * bits // 64) * 64)
-        cells = np.zeros(size, bool)
-        for level in range(1, int(levels.max(initial=0)) + 1):
-            for at in probe_places(keys[levels >= level], level, np.uint64(size), probes):
-                cells[at] = True
-        return pa.table({"shard": pa.array([key[0].as_py()], pa.int64()), "size": pa.array([size], pa.int64()), "cells": pa.array([np.packbits(cells, bitorder="little").tobytes()], pa.binary())})
-
-    return counts.groupBy("shard").applyInArrow(build, "shard long, size long, cells binary")
-
-
 class LogFrequencyFilter:
     def __init__(self, rows, shards: int, probes: int):
         self.shards, self.probes = shards, probes
@@ -163,15 +175,64 @@ class LogFrequencyFilter:
         return out
 
 
-def pack_units(kept: DataFrame, unit_bytes: int) -> DataFrame:
-    """(unit, part, row, ids, texts): runs of texts of one partition, cut once they pass unit_bytes; row is the first one's place in it."""
+class ExactCounts:
+    def __init__(self, keys: np.ndarray, counts: np.ndarray):
+        order = np.argsort(keys)
+        self.keys, self.counts = keys[order], counts[order]
+
+    def of(self, keys: np.ndarray) -> np.ndarray:
+        if not len(self.keys):
+            return np.zeros(len(keys), np.uint64)
+        at = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
+        return np.where(self.keys[at] == keys, self.counts[at], 0).astype(np.uint64)
+
+
+class Held(NamedTuple):
+    """What broadcast workers look up."""
+
+    levels: LogFrequencyFilter
+    exact: ExactCounts
+
+    def words(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        return self.levels.levels(keys), self.exact.of(keys)
+
+    def pairs(self, keys: np.ndarray) -> np.ndarray:
+        return self.levels.levels(keys)
+
+
+class Answered:
+    """The same from the shards' answers for one unit's sorted distinct keys."""
+
+    def __init__(self, one: np.ndarray, two: np.ndarray, shards: int, answers: pa.Table):
+        order = np.argsort(answers.column("shard").to_numpy())
+
+        def read(name: str, kind) -> np.ndarray:
+            blobs = answers.column(name).to_pylist()
+            return np.frombuffer(b"".join(blobs[k] for k in order), kind)
+
+        self.one, self.two = one, two
+        self.word_levels, self.word_counts, self.pair_levels = np.empty(len(one), np.int64), np.empty(len(one), np.uint64), np.empty(len(two), np.int64)
+        mine = by_shard(one, shards)[0]
+        self.word_levels[mine], self.word_counts[mine] = read("word_levels", np.uint8), read("word_counts", np.uint64)
+        self.pair_levels[by_shard(two, shards)[0]] = read("pair_levels", np.uint8)
+
+    def words(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        at = np.searchsorted(self.one, keys)
+        return self.word_levels[at], self.word_counts[at]
+
+    def pairs(self, keys: np.ndarray) -> np.ndarray:
+        return self.pair_levels[np.searchsorted(self.two, keys)]
+
+
+def pack_units(docs: DataFrame, unit_bytes: int) -> DataFrame:
+    """(unit, ids, texts): runs of texts of one partition, cut once they pass unit_bytes."""
 
     def pack(batches):
-        ids, texts, part, row, held, number = [], [], 0, 0, 0, 0
+        ids, texts, part, held, number = [], [], 0, 0, 0
 
         def out():
-            kinds = [pa.int64(), pa.int32(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.binary())]
-            return pa.RecordBatch.from_arrays([pa.array([x], k) for x, k in zip((part << 32 | number, part, row, ids, texts), kinds, strict=True)], ["unit", "part", "row", "ids", "texts"])
+            kinds = [pa.int64(), pa.list_(pa.int64()), pa.list_(pa.binary())]
+            return pa.RecordBatch.from_arrays([pa.array([x], k) for x, k in zip((part << 32 | number, ids, texts), kinds, strict=True)], ["unit", "ids", "texts"])
 
         for batch in batches:
             for i, text, part in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), batch.column("part").to_pylist(), strict=True):
@@ -180,163 +241,107 @@ def pack_units(kept: DataFrame, unit_bytes: int) -> DataFrame:
                 held += len(text or b"")
                 if held >= unit_bytes or len(ids) >= 20_000:
                     yield out()
-                    row, number = row + len(ids), number + 1
+                    number += 1
                     ids, texts, held = [], [], 0
         if ids:
             yield out()
 
-    return kept.mapInArrow(pack, "unit long, part int, row long, ids array<bigint>, texts array<binary>")
+    kept = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"), F.spark_partition_id().alias("part"))
+    return kept.mapInArrow(pack, "unit long, ids array<bigint>, texts array<binary>")
 
 
-def wanted_keys(keys: np.ndarray, starts: np.ndarray, shards: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(distinct keys of a unit's words and bigrams, the order that sorts them by shard, their shards in that order)."""
-    wanted = np.unique(np.concatenate((keys, bigram_keys(keys, starts))))
-    shard = shard_of(wanted, shards)
-    order = np.argsort(shard, kind="stable")
-    return wanted, order, shard[order]
+def distinct_keys(texts: list) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(token keys, where texts begin, sorted distinct word keys, sorted distinct bigram keys)."""
+    keys, starts = batch_keys(texts)
+    return keys, starts, np.unique(keys), np.unique(bigram_keys(keys, starts))
 
 
-def routed_levels(units: DataFrame, filters: DataFrame, shards: int, probes: int, salts: int) -> DataFrame:
-    """(unit, shard, levels): the levels of each unit's distinct keys in wanted_keys order, one byte each. A sub-filter is sent to `salts` groups."""
+def routed_answers(units: DataFrame, table: DataFrame, shards: int, probes: int, salts: int) -> DataFrame:
+    """(unit, shard, word_levels, word_counts, pair_levels) for each unit's distinct keys. A shard is sent to `salts` groups."""
 
     def ask(batches):
         for batch in batches:
             for unit, texts in zip(batch.column("unit").to_pylist(), batch.column("texts").to_pylist(), strict=True):
-                wanted, order, shard = wanted_keys(*batch_keys(texts), shards)
-                first = np.flatnonzero(np.r_[True, shard[1:] != shard[:-1]])
-                blobs = [x.tobytes() for x in np.split(wanted[order], first[1:])]
+                _, _, one, two = distinct_keys(texts)
+                (o1, s1), (o2, s2) = by_shard(one, shards), by_shard(two, shards)
+                one, two, here = one[o1], two[o2], np.unique(np.concatenate((s1, s2)))
+                cut = lambda keys, of: [keys[a:b].tobytes() for a, b in zip(np.searchsorted(of, here, "left"), np.searchsorted(of, here, "right"), strict=True)]
                 salt = int(mix64(np.array([unit], np.uint64))[0] % np.uint64(salts))
-                yield pa.RecordBatch.from_arrays([pa.array(shard[first]), pa.array([salt] * len(first), pa.int64()), pa.array([unit] * len(first), pa.int64()), pa.array(blobs, pa.binary())], ["shard", "salt", "unit", "keys"])
+                same = [pa.array(np.full(len(here), v, np.int64)) for v in (salt, unit)]
+                yield pa.RecordBatch.from_arrays([pa.array(here), *same, pa.array(cut(one, s1), pa.binary()), pa.array(cut(two, s2), pa.binary())], ["shard", "salt", "unit", "words", "pairs"])
 
     def answer(key: tuple[pa.Scalar, ...], asked: pa.Table, held: pa.Table) -> pa.Table:
-        blobs = [np.frombuffer(x, np.uint64) for x in asked.column("keys").to_pylist()]
-        own = LogFrequencyFilter(zip([0] * held.num_rows, held.column("size").to_pylist(), held.column("cells").to_pylist(), strict=True), 1, probes)
-        levels = own.levels(np.concatenate(blobs)).astype(np.uint8) if blobs else np.empty(0, np.uint8)
-        found = [x.tobytes() for x in np.split(levels, np.cumsum([len(x) for x in blobs])[:-1])] if blobs else []
-        return pa.table({"unit": asked.column("unit"), "shard": asked.column("shard"), "levels": pa.array(found, pa.binary())})
-
-    asked = units.select("unit", "texts").mapInArrow(ask, "shard long, salt long, unit long, keys binary")
-    sent = filters.crossJoin(filters.sparkSession.range(salts).withColumnRenamed("id", "salt"))
-    return asked.groupBy("shard", "salt").cogroup(sent.groupBy("shard", "salt")).applyInArrow(answer, "unit long, shard long, levels binary")
+        words, pairs = ([np.frombuffer(x, np.uint64) for x in asked.column(c).to_pylist()] for c in ("words", "pairs"))
+        rows = zip([0] * held.num_rows, held.column("size").to_pylist(), held.column("cells").to_pylist(), strict=True)
+        read = lambda c: np.frombuffer(b"".join(held.column(c).to_pylist()), np.uint64)
+        own = Held(LogFrequencyFilter(rows, 1, probes), ExactCounts(read("keys"), read("counts")))
+        parts = lambda values, like: pa.array([x.tobytes() for x in np.split(values, np.cumsum([len(x) for x in like])[:-1])] if like else [], pa.binary())
+        joined = lambda x: np.concatenate(x) if x else np.empty(0, np.uint64)
+        levels, counts = own.words(joined(words))
+        return pa.table({"unit": asked.column("unit"), "shard": asked.column("shard"), "word_levels": parts(levels.astype(np.uint8), words), "word_counts": parts(counts, words), "pair_levels": parts(own.pairs(joined(pairs)).astype(np.uint8), pairs)})
+
+    asked = units.select("unit", "texts").mapInArrow(ask, "shard long, salt long, unit long, words binary, pairs binary")
+    sent = table.select("shard", "size", "cells", "keys", "counts", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))).alias("salt"))
+    return asked.groupBy("shard", "salt").cogroup(sent.groupBy("shard", "salt")).applyInArrow(answer, "unit long, shard long, word_levels binary, word_counts binary, pair_levels binary")
+
+
+class Scorer(NamedTuple):
+    tokens: int
+    distinct: int
+    texts: int
+
+    def judge(self, ids, keys: np.ndarray, starts: np.ndarray, look) -> pa.RecordBatch:
+        floor = np.log10(self.tokens + 1.0 * (self.distinct + 1))
+        unique, back = np.unique(keys, return_inverse=True)
+        level, count = look.words(unique)
+        base = np.add.reduceat((np.log10(count + 1.0) - floor)[back], starts)
+        n_known = np.add.reduceat((count > 0).astype(np.int64)[back], starts)
+        p1 = ((least_of(level) + 1) / (self.tokens + self.distinct + 1))[back]
+        most, before = most_of(level)[back], np.empty(len(keys))
+        before[1:] = most[:-1]
+        before[starts] = self.texts
+        two = np.minimum(least_of(look.pairs(bigram_keys(keys, starts))), before)
+        p = np.where(before > 0, LAMBDA * two / np.maximum(before, 1) + (1 - LAMBDA) * p1, p1)
+        total = np.add.reduceat(np.log10(p), starts)
+        n_tokens = np.diff(np.r_[starts, len(keys)])
+        return pa.RecordBatch.from_arrays([ids, pa.array(n_tokens), pa.array(n_known), pa.array(base), pa.array(total)], ["doc_id", "n_tokens", "n_known", "base_score", "score"])
 
 
-def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_filter_bytes: int = 256 << 20, max_table_bytes: int = 256 << 20, shard_bytes: int = 4 << 20, unit_bytes: int = 4 << 20) -> DataFrame:
+def score(docs: DataFrame, training, bits: int = 10, probes: int = 7, max_broadcast_bytes: int = 256 << 20, shard_bytes: int = 4 << 20, unit_bytes: int = 4 << 20) -> DataFrame:
     """training: boolean column. (doc_id, n_tokens, n_known, train_tokens, base_score, score) of every row of docs."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "lm")
-    train = docs.where(training)
     weight = F.octet_length("text")
     size = docs.agg(F.sum(F.when(training, weight)).alias("b"), F.count_if(training).alias("n"), F.sum(weight).alias("every")).first()
     shards = max(16, (size.b or 0) // shard_bytes)
-    counts = scratch.write(count_ngrams(train, shards), "counts")
-
-    def facts(batches):
-        for batch in batches:
-            for kind, k, c in zip(batch.column("kind").to_pylist(), batch.column("keys").to_pylist(), batch.column("counts").to_pylist(), strict=True):
-                c = np.frombuffer(c, np.uint64)
-                per_level = np.bincount(level_of(c), minlength=65)[:65]
-                yield pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([len(c)], pa.int64()), pa.array([int(c.sum())], pa.int64()), pa.array([per_level.tolist()], pa.list_(pa.int64()))], ["kind", "n", "total", "per_level"])
-
-    n = {1: [0, 0, np.zeros(65, np.int64)], 2: [0, 0, np.zeros(65, np.int64)]}
-    for r in counts.mapInArrow(facts, "kind int, n long, total long, per_level array<bigint>").collect():  # two rows a shard
-        n[r.kind][0] += r.n
-        n[r.kind][1] += r.total
-        n[r.kind][2] += np.array(r.per_level)
-    distinct, tokens = n[1][0], n[1][1]
-    entries = int(((n[1][2] + n[2][2]) * np.arange(65)).sum())
-    filters = scratch.write(build_filters(counts, bits, probes), "filters")
-    held = None
-    if entries * bits // 8 <= max_filter_bytes:
-        held = spark.sparkContext.broadcast(LogFrequencyFilter(((r.shard, r.size, r.cells) for r in filters.toLocalIterator()), shards, probes))  # one file at a time
-    exact = None
-    unigrams = counts.where("kind = 1").select("keys", "counts")
-    if distinct * 16 <= max_table_bytes:
-        keys, values, at = np.empty(distinct, np.uint64), np.empty(distinct, np.uint64), 0
-        for r in unigrams.toLocalIterator():
+    table = scratch.write(count_and_build(docs.where(training), shards, bits, probes), "shards")
+    sums = table.agg(F.sum("words").alias("words"), F.sum("total").alias("total"), F.sum("entries").alias("entries")).first()
+    distinct, tokens, entries = sums.words or 0, sums.total or 0, sums.entries or 0
+    scorer, columns = Scorer(tokens, distinct, size.n), "doc_id long, n_tokens long, n_known long, base_score double, score double"
+    if entries * bits // 8 + distinct * 16 <= max_broadcast_bytes:
+        keys, counts, at = np.empty(distinct, np.uint64), np.empty(distinct, np.uint64), 0
+        for r in table.select("keys", "counts").toLocalIterator():  # one file at a time
             k = np.frombuffer(r["keys"], np.uint64)
-            keys[at : at + len(k)], values[at : at + len(k)] = k, np.frombuffer(r["counts"], np.uint64)
+            keys[at : at + len(k)], counts[at : at + len(k)] = k, np.frombuffer(r["counts"], np.uint64)
             at += len(k)
-        order = np.argsort(keys)
-        exact = spark.sparkContext.broadcast((keys[order], values[order].astype(np.uint32) if values.max(initial=0) < 1 << 32 else values[order]))
-        del keys, values, order
-    begin_count = float(size.n)
-    floor = np.log10(tokens + 1.0 * (distinct + 1))
-    kept = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"), F.spark_partition_id().alias("part"))
+        levels = LogFrequencyFilter(((r.shard, r.size, r.cells) for r in table.select("shard", "size", "cells").toLocalIterator()), shards, probes)
+        held = spark.sparkContext.broadcast(Held(levels, ExactCounts(keys, counts)))
+        del keys, counts, levels
 
-    def judged_batch(ids, part, row, keys, starts, levels):
-        unique, back = np.unique(keys, return_inverse=True)
-        if exact is not None:
-            known, values = exact.value
-            at = np.minimum(np.searchsorted(known, unique), max(0, len(known) - 1))
-            c = np.where(known[at] == unique, values[at], 0).astype(np.float64) if len(known) else np.zeros(len(unique))
-            base = np.add.reduceat((np.log10(c + 1) - floor)[back], starts)
-            n_known = np.add.reduceat((c > 0).astype(np.int64)[back], starts)
-        else:
-            base, n_known = np.zeros(len(starts)), np.zeros(len(starts), np.int64)
-        one = value_of(levels(unique))[back]
-        before = np.empty_like(one)
-        before[1:] = one[:-1]
-        before[starts] = begin_count
-        two = np.minimum(value_of(levels(bigram_keys(keys, starts))), before)
-        p1 = (one + 1) / (tokens + distinct + 1)
-        p = np.where(before > 0, LAMBDA * two / np.maximum(before, 1) + (1 - LAMBDA) * p1, p1)
-        total = np.add.reduceat(np.log10(p), starts)
-        n_tokens = np.diff(np.r_[starts, len(keys)])
-        index = np.arange(row, row + len(starts))
-        return pa.RecordBatch.from_arrays([ids, part, pa.array(index), pa.array(n_tokens), pa.array(n_known), pa.array(base), pa.array(total)], ["doc_id", "part", "row", "n_tokens", "n_known", "base_score", "score"])
+        def judge(batches):
+            for whole in batches:
+                for low in range(0, whole.num_rows, 500):
+                    batch = whole.slice(low, 500)
+                    yield scorer.judge(batch.column("doc_id"), *batch_keys(batch.column("text").to_pylist()), held.value)
 
-    def judge(batches):
-        row = 0
-        for whole in batches:
-            for low in range(0, whole.num_rows, 500):
-                batch = whole.slice(low, 500)
-                yield judged_batch(batch.column("doc_id"), batch.column("part"), row, *batch_keys(batch.column("text").to_pylist()), held.value.levels)
-                row += batch.num_rows
-
-    def judge_unit(key: tuple[pa.Scalar, ...], unit: pa.Table, answers: pa.Table) -> pa.Table:
-        ids, part, row = (unit.column(c)[0].as_py() for c in ("ids", "part", "row"))
-        keys, starts = batch_keys(unit.column("texts")[0].as_py())
-        wanted, order, _ = wanted_keys(keys, starts, shards)
-        level = np.empty(len(wanted), np.int64)
-        by_shard = np.argsort(answers.column("shard").to_numpy())
-        blobs = answers.column("levels").to_pylist()
-        level[order] = np.frombuffer(b"".join(blobs[k] for k in by_shard), np.uint8)
-        found = judged_batch(pa.array(ids, pa.int64()), pa.array([part] * len(ids), pa.int32()), row, keys, starts, lambda k: level[np.searchsorted(wanted, k)])
-        return pa.Table.from_batches([found])
-
-    columns = "doc_id long, part int, row long, n_tokens long, n_known long, base_score double, score double"
-    if held is not None:
-        judged = kept.mapInArrow(judge, columns)
+        judged = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text")).mapInArrow(judge, columns)
     else:
-        units = scratch.write(pack_units(kept, unit_bytes), "units")
-        salts = max(1, -(-(size.every or 0) // (16 * max(1, size.b or 0))))
-        judged = units.groupBy("unit").cogroup(routed_levels(units, filters, shards, probes, salts).groupBy("unit")).applyInArrow(judge_unit, columns)
-    if exact is None:
-        joined = base_by_join(kept, unigrams, float(floor))
-        judged = judged.drop("n_known", "base_score").join(joined, ["part", "row"])
-    return judged.select("doc_id", "n_tokens", "n_known", F.lit(int(tokens)).cast("long").alias("train_tokens"), "base_score", "score")
-
 
-def base_by_join(kept: DataFrame, unigrams: DataFrame, floor: float) -> DataFrame:
-    """(part, row, n_known, base_score) with the exact counts joined by key: for vocabularies too large to broadcast."""
-
-    def tokens(batches):
-        row = 0
-        for whole in batches:
-            for low in range(0, whole.num_rows, 500):
-                batch = whole.slice(low, 500)
-                part = batch.column("part").to_pylist()
-                all_keys, starts = batch_keys(batch.column("text").to_pylist())
-                for k, own in enumerate(np.split(all_keys, starts[1:])):
-                    keys, n = np.unique(own, return_counts=True)
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), part[k], np.int32)), pa.array(np.full(len(keys), row + k)), pa.array(keys.view(np.int64)), pa.array(n)], ["part", "row", "key", "tf"])
-                row += len(part)
-
-    def explode(batches):
-        for batch in batches:
-            for k, c in zip(batch.column("keys").to_pylist(), batch.column("counts").to_pylist(), strict=True):
-                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(k, np.int64)), pa.array(np.frombuffer(c, np.int64))], ["key", "c"])
+        def judge_unit(key: tuple[pa.Scalar, ...], unit: pa.Table, answers: pa.Table) -> pa.Table:
+            keys, starts, one, two = distinct_keys(unit.column("texts")[0].as_py())
+            return pa.Table.from_batches([scorer.judge(pa.array(unit.column("ids")[0].as_py(), pa.int64()), keys, starts, Answered(one, two, shards, answers))])
 
-    c = F.coalesce("c", F.lit(0))
-    found = kept.mapInArrow(tokens, "part int, row long, key long, tf long").join(unigrams.mapInArrow(explode, "key long, c long"), "key", "left")
-    return found.groupBy("part", "row").agg(F.sum(F.when(c > 0, F.col("tf")).otherwise(0)).alias("n_known"), F.sum(F.col("tf") * (F.log10(c + 1) - floor)).alias("base_score"))
+        units = scratch.write(pack_units(docs, unit_bytes), "units")
+        salts = max(1, -(-(size.every or 0) // (16 * max(1, size.b or 0))))
+        judged = units.groupBy("unit").cogroup(routed_answers(units, table, shards, probes, salts).groupBy("unit")).applyInArrow(judge_unit, columns)
+    return judged.select("doc_id", "n_tokens", "n_known", F.lit(int(tokens)).cast("long").alias("train_tokens"), "base_score", "score")
