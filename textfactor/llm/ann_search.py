@@ -3,12 +3,14 @@
 Each ordering projects the unit vectors to a few dimensions with its own seeded matrix, spreads every coordinate evenly over a
 grid with its own shift, and sorts all rows by their place on the Hilbert curve: rows are range-partitioned, numbered, and cut into
 blocks of equal length, so no block is larger than another however often a vector is repeated. A query looks at the rows whose
-rank is within a window of its own, in every ordering; candidates are scored exactly and merged.
+rank is within a window of its own, in every ordering that is used; candidates are scored exactly and merged.
 
-The window is measured, not guessed: for at most `calibrate` queries (smallest hash of id) the true neighbours are found by a pass
-over all rows, and the window is the rank distance within which their `recall` share lies in the best ordering. Every row is in every ordering.
+How many orderings are used, and how wide the window is, is measured, not guessed: for at most `calibrate` queries (smallest hash of id) the true
+neighbours are found by a pass over all rows. For c = 1 .. `curves` orderings the window is the rank distance within which the `recall` share of them lies
+in the best of c; the c with the fewest rows to score is taken. On clustered vectors that is a small share of the table; on vectors without any structure
+no window is small, and close to all rows are scored. Every row is in every ordering used.
 
-Cases: vectors that are null, zero, hold a null or non-finite component, or have another length than most of the first 1,000 valid rows take no
+Cases: vectors that are null, zero, hold a null or non-finite component, or have another length than most valid rows take no
 part, as query or candidate; ties go to the smaller id; repeated vectors are separate candidates; fewer candidates than k are all returned; empty tables give no rows.
 """
 
@@ -76,14 +78,16 @@ def cosines(q: np.ndarray, rows: np.ndarray) -> np.ndarray:
     return (rows * q).sum(1) / (np.sqrt((q * q).sum()) * np.sqrt((rows * rows).sum(1)))
 
 
-def best(query_ids, queries, ids, rows, k: int, own_out: bool = True):
-    """Yields (query id, row id, score): each query's k nearest rows here, ties to smaller ids."""
+def best(query_ids, queries, ids, rows, k: int, asked=None, ranks=None, window: int = 0):
+    """Yields (query id, row id, score): each query's k nearest rows here, ties to smaller ids; with ranks only rows within the window of the query's."""
     unit = rows / np.linalg.norm(rows, axis=1, keepdims=True)
     for at in range(0, len(query_ids), 256):
         some = queries[at : at + 256]
         near = (some / np.linalg.norm(some, axis=1, keepdims=True)) @ unit.T
         for j, q in enumerate(query_ids[at : at + 256]):
             line = np.where(ids == q, -2.0, near[j])
+            if ranks is not None:
+                line[np.abs(ranks - asked[at + j]) > window] = -2.0
             least = np.partition(line, len(line) - k)[len(line) - k] if len(line) > k else -1.5
             pick = np.flatnonzero((line >= least - 1e-9) & (line > -1.5))
             exact = cosines(some[j], rows[pick])
@@ -137,17 +141,18 @@ def nearest(embeddings: DataFrame, is_query, k: int = 5, curves: int = 6, dims:
     bases = spark.createDataFrame(bases, "curve int, part int, base long")
     ranked = placed.join(F.broadcast(bases), ["curve", "part"]).select("curve", "vec_id", "vec", (F.col("base") + F.col("at")).alias("rank"))
     count = max(run.values(), default=0)
+    used, window = _measured(ranked, ranked.where(is_query), k, curves, calibrate, recall, dim, count)
+    ranked = ranked.where(F.col("curve") < used)
     queries = ranked.where(is_query)
-    window = _measured_window(ranked, queries, k, calibrate, recall, dim, count)
     low, high = F.greatest(F.col("rank") - window, F.lit(0)), F.least(F.col("rank") + window, F.lit(max(0, count - 1)))
-    asked = queries.select("curve", F.explode(F.sequence(F.floor(low / block), F.floor(high / block))).alias("block"), F.col("vec_id").alias("q_id"), F.col("vec").alias("q_vec"))
-    blocks = ranked.select(F.col("curve").alias("of_curve"), F.floor(F.col("rank") / block).alias("of_block"), F.col("vec_id").alias("row_id"), F.col("vec").alias("row_vec"))
+    asked = queries.select("curve", F.explode(F.sequence(F.floor(low / block), F.floor(high / block))).alias("block"), F.col("vec_id").alias("q_id"), F.col("vec").alias("q_vec"), F.col("rank").alias("q_rank"))
+    blocks = ranked.select(F.col("curve").alias("of_curve"), F.floor(F.col("rank") / block).alias("of_block"), F.col("vec_id").alias("row_id"), F.col("vec").alias("row_vec"), F.col("rank").alias("row_rank"))
 
     def rerank(key: tuple[pa.Scalar, ...], left: pa.Table, right: pa.Table) -> pa.Table:
         read = lambda t, c: np.frombuffer(b"".join(t.column(c).to_pylist()), np.float64).reshape(-1, dim)
         found = []
         if left.num_rows and right.num_rows:
-            found = list(best(left.column("q_id").to_numpy(), read(left, "q_vec"), right.column("row_id").to_numpy(), read(right, "row_vec"), k))
+            found = list(best(left.column("q_id").to_numpy(), read(left, "q_vec"), right.column("row_id").to_numpy(), read(right, "row_vec"), k, left.column("q_rank").to_numpy(), right.column("row_rank").to_numpy(), window))
         return pa.Table.from_arrays(_table(found), ["query_id", "vec_id", "score"])
 
     near = asked.groupBy("curve", "block").cogroup(blocks.groupBy("of_curve", "of_block")).applyInArrow(rerank, "query_id long, vec_id long, score double")
@@ -155,10 +160,21 @@ def nearest(embeddings: DataFrame, is_query, k: int = 5, curves: int = 6, dims:
     return near.distinct().withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
-def _measured_window(ranked: DataFrame, queries: DataFrame, k: int, calibrate: int, recall: float, dim: int, count: int) -> int:
+def fewest_rows(gaps: np.ndarray, recall: float, count: int) -> tuple[int, int]:
+    """(orderings, window) with the fewest rows to score; gaps: rank distances of true neighbours, a column per ordering."""
+    found = []
+    for c in range(1, gaps.shape[1] + 1):
+        least = np.sort(gaps[:, :c].min(1))
+        window = int(least[min(len(least) - 1, math.ceil(recall * len(least)) - 1)])
+        found.append((c * min(count, 2 * window + 1), c, min(count, window)))
+    _, c, window = min(found)
+    return c, window
+
+
+def _measured(ranked: DataFrame, queries: DataFrame, k: int, curves: int, calibrate: int, recall: float, dim: int, count: int) -> tuple[int, int]:
     sample = queries.where("curve = 0").select("vec_id", "vec").orderBy(F.xxhash64("vec_id"), "vec_id").limit(calibrate).collect()
     if not sample:
-        return 0
+        return 1, 0
     ids = np.array([r.vec_id for r in sample], np.int64)
     vectors = np.stack([np.frombuffer(bytes(r.vec), np.float64) for r in sample])
 
@@ -170,8 +186,8 @@ def _measured_window(ranked: DataFrame, queries: DataFrame, k: int, calibrate: i
 
     order = Window.partitionBy("q").orderBy(F.desc("score"), "v")
     truth = ranked.where("curve = 0").select("vec_id", "vec").mapInArrow(scan, "q long, v long, score double").withColumn("r", F.row_number().over(order)).where(F.col("r") <= k).select("q", "v").collect()
+    if not truth:
+        return 1, 0
     wanted = ranked.sparkSession.createDataFrame([(int(x),) for x in {y for t in truth for y in (t.q, t.v)}], "vec_id long")
     rank = {(r.vec_id, r.curve): r["rank"] for r in ranked.join(F.broadcast(wanted), "vec_id").select("vec_id", "curve", "rank").collect()}  # calibrate * (k + 1) ids at most
-    curves = {c for _, c in rank}
-    gaps = sorted(min(abs(rank[t.q, c] - rank[t.v, c]) for c in curves) for t in truth)
-    return min(count, gaps[min(len(gaps) - 1, math.ceil(recall * len(gaps)) - 1)]) if gaps else 0
+    return fewest_rows(np.array([[abs(rank[t.q, c] - rank[t.v, c]) for c in range(curves)] for t in truth]), recall, count)
