@@ -15,8 +15,10 @@ def shared_folder(spark: SparkSession) -> str:
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.partition("[")[0] == "local":
+        raise ValueError("spark.checkpoint.dir has to name a folder that the driver and all executors share")
     key = spark.sparkContext.applicationId
-    if key not in _own:  # only where no folder is named: local runs and tests
+    if key not in _own:  # local runs and tests
         _own[key] = "file://" + tempfile.mkdtemp(prefix="textfactor-")
     return _own[key]
 
