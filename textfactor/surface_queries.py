@@ -5,7 +5,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from textfactor.functions.udfs import register_all
 from textfactor.operators import rows
 from textfactor.operators.scratch import Scratch
 from textfactor.queries import ENDS, PAIRS, RUN_STEPS, SEQ_TEXTS, SEQS, SUFFIX_STEPS, greedy
@@ -14,8 +13,14 @@ from textfactor.sources import tables as src
 from textfactor.streaming import streams
 
 
-def _views(spark: SparkSession, d: str) -> None:
+def _functions(spark: SparkSession) -> None:
+    from textfactor.functions.udfs import register_all  # their types can only be read while a session is there
+
     register_all(spark)
+
+
+def _views(spark: SparkSession, d: str) -> None:
+    _functions(spark)
     src.event_sequences(spark, d).createOrReplaceTempView("tf_seqs")
     src.neighbour_pairs(spark, d).createOrReplaceTempView("tf_pairs")
 
@@ -92,7 +97,7 @@ def sql_match_table(spark, d):
 @query(f"with recursive nations as (select n_regionkey, string_agg(n_name, chr(1) order by n_name) as t, min(n_name) as one, min(n_name) filter (where n_name <> (select min(n_name) from nation m where m.n_regionkey = nation.n_regionkey)) as two from nation group by n_regionkey), texts as (select n_regionkey as id, t from nations), {greedy()}, grams as (select n_regionkey, two, substr(one, cast(i as int), cast(l as int)) as g from nations, lateral (select unnest(range(1, length(one) + 1)) as i), lateral (select unnest(range(1, length(one) - i + 2)) as l)) select cast(z.id as bigint) as n_regionkey, z, lcs from (select id, count(*) as z from f group by id) z join (select n_regionkey, cast(max(case when contains(two, g) then length(g) else 0 end) as bigint) as lcs from grams group by n_regionkey) c on c.n_regionkey = z.id")
 def sql_group_functions(spark, d):
     """Aggregates: phrases of a group's joined texts, and what its first two share."""
-    register_all(spark)
+    _functions(spark)
     src.table(spark, d, "nation").createOrReplaceTempView("tf_nations")
     return spark.sql("select n_regionkey, tf_concat_size(n_name) as z, tf_lcs_group(n_name) as lcs from tf_nations group by n_regionkey")
 
