@@ -5,7 +5,7 @@ from compare import same_rows
 
 from textfactor import catalog as queries
 
-#: Metered sweeps that take minutes; their kernels are tested on their own.
+#: Sweeps that take long; their kernels are tested on their own, and the queries are compared with their SQL outside of these tests.
 SLOW = {"edit_distance_methods", "edit_anchor_test", "lz_grid_sizes_tau8_merged", "lz_grid_sizes_tau4_sqrt_product", "lz_grid_sizes_tau2_merged", "lz_grid_sizes_tau1_merged", "lz77_engines"}
 
 

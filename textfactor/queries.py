@@ -485,8 +485,10 @@ def _indexed_patterns(kind: str):
 
     QUERIES[name] = _wide(run)
     ORACLES[name] = """with patterns as (select distinct pattern from (select unnest(string_split(text, ' ')) as pattern from benchmark) where pattern <> ''),
-hits as (select conv_id, turn, pattern, cast(p - 1 as bigint) as pos from conversations, lateral (select unnest(range(1, length(text) + 1)) as p), (select distinct length(pattern) as l from patterns) sizes join patterns on pattern = substr(text, cast(p as int), cast(l as int)))
-select conv_id, turn, pattern, cast(count(*) over (partition by conv_id, turn, pattern) as bigint) as n, pos from hits"""
+spots as (select conv_id, turn, text, unnest(range(1, length(text) + 1)) as p from conversations),
+pieces as (select conv_id, turn, p, unnest(list_transform((select list(distinct length(pattern)) from patterns), lambda l: substr(text, cast(p as int), cast(l as int)))) as piece from spots),
+hits as (select distinct conv_id, turn, pattern, p - 1 as pos from pieces join patterns on piece = pattern)
+select conv_id, turn, pattern, cast(count(*) over (partition by conv_id, turn, pattern) as bigint) as n, cast(pos as bigint) as pos from hits"""
 
 
 _indexed_patterns("run")
