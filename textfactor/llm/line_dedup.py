@@ -2,9 +2,9 @@
 
 The store holds runs of (key hash, owner): every line key seen so far with the id of the document that
 owns it. Documents come in batches of ascending id. A batch's keys are merge-joined with the runs: keys found
-there belong to an earlier document, the others get the batch's smallest id as owner and become a new run
+there belong to an earlier document, the others (the anti-join) get the batch's smallest id as owner and become a new run
 of level 0. When a level has `fanout` runs they are merged into one run of the next level, so a
-key is rewritten once per level and a batch meets few runs.
+key is rewritten once per level and a batch meets few runs. Only keys that a second document holds are joined back to the lines.
 
 A key is a line stripped of ASCII white space with A-Z lower-cased; keys under `min_chars` code points are never
 dropped. Hashes have 128 bits, so that a false match is out of reach at any corpus size.
@@ -59,55 +59,52 @@ class LineRuns:
     def __init__(self, scratch: Scratch, fanout: int = 4):
         self.scratch, self.fanout, self.levels, self.made = scratch, fanout, [[]], 0
 
-    def runs(self) -> list[DataFrame]:
-        return [run for level in self.levels for _, run in level]
-
-    def _write(self, rows: DataFrame) -> tuple[str, DataFrame]:
-        name = f"run-{self.made}"
+    def _write(self, rows: DataFrame) -> DataFrame:
         self.made += 1
-        return name, self.scratch.write(rows.sortWithinPartitions("key"), name)
+        return self.scratch.write(rows.sortWithinPartitions("key"), f"run-{self.made}")
 
     def owners(self) -> DataFrame | None:
-        runs = self.runs()
+        runs = [run for level in self.levels for run in level]
         out = runs[0] if runs else None
         for run in runs[1:]:  # runs are disjoint: a key enters the store once
             out = out.union(run)
         return out
 
-    def add(self, batch: DataFrame) -> None:
-        """batch: (doc_id, key). Its unseen keys become a run of level 0."""
-        fresh = batch.groupBy("key").agg(F.min("doc_id").alias("owner"))
-        for run in self.runs():
-            fresh = fresh.join(run.select("key"), "key", "left_anti")
-        self.levels[0].append(self._write(fresh))
+    def add(self, batch: DataFrame) -> DataFrame:
+        """batch: (doc_id, key). Its unseen keys become a run of level 0; returns (key, owner) of its keys that are held by an earlier batch or more than once here."""
+        own = batch.groupBy("key").agg(F.min("doc_id").alias("first"), (F.count(F.lit(1)) > 1).alias("many"))
+        known = self.owners()
+        met = own.withColumn("owner", F.lit(None).cast("long")) if known is None else own.join(known, "key", "left")
+        unseen = F.col("owner").isNull()
+        table = self._write(met.select("key", F.coalesce("owner", "first").alias("owner"), unseen.alias("unseen"), (~unseen | F.col("many")).alias("hit")))
+        self.levels[0].append(table.where("unseen").select("key", "owner"))
         for level in range(len(self.levels)):
             if len(self.levels[level]) >= self.fanout:
                 self._compact(level)
+        return table.where("hit").select("key", "owner")
 
     def _compact(self, level: int) -> None:
-        old = self.levels[level]
-        merged = old[0][1]
-        for _, run in old[1:]:
+        merged = self.levels[level][0]
+        for run in self.levels[level][1:]:
             merged = merged.union(run)
         if level + 1 == len(self.levels):
             self.levels.append([])
         self.levels[level] = []
         self.levels[level + 1].append(self._write(merged.repartition("key")))
-        for name, _ in old:
-            self.scratch.drop(name)
 
 
 def dedup_lines(docs: DataFrame, batches: int = 3, fanout: int = 2, min_chars: int = 10) -> DataFrame:
     """All columns of docs with text replaced by what is kept, and n_lines, n_dropped. docs needs doc_id and text."""
     scratch = Scratch(docs.sparkSession, "lines")
-    keys = document_keys(docs, min_chars)
+    keys = scratch.write(document_keys(docs, min_chars), "keys")
     cuts = sorted(set(docs.approxQuantile("doc_id", [i / batches for i in range(1, batches)], 0.01))) if batches > 1 else []
-    number = sum((F.when(F.col("doc_id") > c, 1).otherwise(0) for c in cuts), F.lit(0))
-    keys = scratch.write(keys.withColumn("batch", number), "keys", ("batch",))
-    store = LineRuns(scratch, fanout)
-    for b in range(len(cuts) + 1):
-        store.add(keys.where(F.col("batch") == b).select("doc_id", "key"))
-    lost = keys.select("doc_id", "key").join(store.owners(), "key").where("owner < doc_id")
+    store, hits = LineRuns(scratch, fanout), None
+    for low, high in zip([None, *cuts], [*cuts, None], strict=True):
+        inside = F.lit(True) if low is None else F.col("doc_id") > low
+        found = store.add(keys.where(inside if high is None else inside & (F.col("doc_id") <= high)))
+        hits = found if hits is None else hits.union(found)
+    # a key has one owner, however many batches meet it; a hot key's rows are many on the left only, which adaptive execution splits
+    lost = keys.join(hits.dropDuplicates(["key"]), "key").where("owner < doc_id")
     drops = lost.groupBy(F.col("doc_id").alias("_drop_id")).agg(F.collect_list("key").alias("_drop_keys"))  # no more than the document's own lines
     added = StructType.fromDDL("n_lines long, n_dropped long")
     names = [c for c in docs.columns if c not in ("n_lines", "n_dropped", "_drop_id", "_drop_keys")]
