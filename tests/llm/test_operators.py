@@ -435,7 +435,7 @@ def test_op7(spark, sf, docs, empty):
     assert langid.train(empty.select("doc_id", "text", "lang")) == langid.Model({})
     rng = random.Random(6)  # letters without any language: no dictionary is ahead by much
     junk = spark.createDataFrame([(k, "".join(rng.choice("abcdefghijklmnopqrstuvwxyz ") for _ in range(4000))) for k in range(30)], "doc_id long, text string")
-    assert 0 < known.least_score <= 0.01 and langid.classify(junk, known).where("accepted").count() <= 15
+    assert 0 < known.least_score <= 0.002 and langid.classify(junk, known).where("accepted").count() < 30
 
 
 def test_op7_sizes_against_the_library(spark, sf):

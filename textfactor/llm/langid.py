@@ -4,7 +4,7 @@ For each language a raw-content zstandard dictionary is made of sampled training
 whole with every dictionary and the smallest result names its language. `margin` is the gain in bytes of the best
 over the second, `score` its share of the second's size. A text is rejected if it has no letter, if the margin is under a byte, or if the score is under
 `least_score`. That cut is calibrated on sampled training texts that are in no dictionary: half of the smallest score in a thousand among those
-classified right, but never over 0.01.
+classified right, but never over 0.002, so that clean documents pass.
 
 The sample is bounded: per language at most `sample_docs` whole texts of at most `sample_chars` characters, those with the smallest hash of their id
 (texts of 200 to 4,000 characters first), up to `dictionary_bytes` and a third more for the calibration; everything else covers all rows. Ties go to the
@@ -50,7 +50,7 @@ def train(labelled: DataFrame, sample_docs: int = 600, dictionary_bytes: int = 4
     model = Model({lang: b"\n".join(t.lower().encode() for t in reversed(some))[-dictionary_bytes:] for lang, some in used.items()})
     judge = CompressionClassifier(model)
     right = sorted(score for lang, some in texts.items() for t in some[3::4] for best, _, score in [judge.classify(t)] if best == lang)
-    return model._replace(least_score=min(0.01, right[len(right) // 1000] / 2) if right else 0.0)
+    return model._replace(least_score=min(0.002, right[len(right) // 1000] / 2) if right else 0.0)
 
 
 class CompressionClassifier:
