@@ -14,7 +14,7 @@ ORACLE_SQL = None
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a letter or with no language in front go; the others stay as they are."""
-    known = langid.train_dictionaries(docs.where(langid.in_training()).select("doc_id", "text", "lang"))
+    known = langid.train(docs.where(langid.in_training()).select("doc_id", "text", "lang"))
     return langid.classify(docs, known).where("accepted").select(docs.columns)
 
 
@@ -52,5 +52,7 @@ STAGES = [
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     scratch, docs = Scratch(spark, "pipeline"), table(spark, sf_dir, "documents")
     for name, stage in STAGES:
+        mark = len(Scratch.made)
         docs = scratch.write(stage(spark, docs, sf_dir), name)
+        Scratch.close_since(mark)  # the stage's result is written: what it was made from can go
     return docs
