@@ -35,6 +35,9 @@ PIECE_SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens
 # other symbols in runs. Apostrophes (contractions), "<" (special strings) and all further symbols go to the library whole.
 PLAIN = re.compile(r"[!-&(-;=-~\u00c0-\u012f\u0131-\u024f]+")
 PARTS = re.compile(r"[^\W\d_]+|[0-9]|(?:[^\w]|_)+")
+# The same for a text of such chunks only, which is cut at once: most chunks of a text are new, most of their words are not.
+PLAIN_TEXT = re.compile(r"[\x09-\x0d !-&(-;=-~\u00c0-\u012f\u0131-\u024f]*")
+TEXT_PARTS = re.compile("[a-z\u00df-\u00f6\u00f8-\u02af\u2c65\u2c66]+|[0-9]|[!-/:-@\\[-`{-~\u00d7\u00f7]+")  # in lower case
 
 
 def byte_symbols() -> list[str]:
@@ -86,7 +89,11 @@ class ChunkIds(dict):
         return value
 
     def ids(self, text: bytes | None) -> bytes:
-        out = b"".join(map(self.__getitem__, text.split())) if text else b""
+        whole = text.decode() if text else ""
+        if PLAIN_TEXT.fullmatch(whole):
+            out = b"".join(map(self.words.__getitem__, TEXT_PARTS.findall(whole.lower())))
+        else:
+            out = b"".join(map(self.__getitem__, text.split()))
         for memo in (self, self.words):
             if len(memo) > self.limit:
                 memo.clear()
