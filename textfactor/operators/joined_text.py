@@ -17,25 +17,25 @@ from textfactor.sources.tables import SEPARATOR
 WHOLE = -1
 
 
-def phrase_counts(df: DataFrame, by: str, order: str, text: str, range_size: int = 1 << 22, small: int = 1 << 25) -> DataFrame:
+def phrase_counts(df: DataFrame, by: str, order: str, text: str, range_size: int = 1 << 22, least: int = 1 << 25) -> DataFrame:
     """by, n, z, n_over_z: symbols and greedy phrases of each group's texts, joined by a separator in the given order.
 
-    A text of at most `small` bytes is factorized in one task. The suffixes of a longer one are dealt by ranges of their first bytes to as many tasks as its share of
-    all bytes asks for (the session's parallelism in all); each of these reads the group's texts once into a file. Longest previous factors go on packed by blocks of
-    the text, and one task a group chains them block by block."""
+    The suffixes of a text of more than `least` bytes are dealt by ranges of their first bytes to as many tasks as its share of all bytes asks for (two thirds of the
+    session's parallelism in all, since each of these reads the group's texts once into a file). Longest previous factors go on packed by blocks of the text, and one
+    task a group chains them block by block; a text of one task that is small enough is chained there."""
     spark = df.sparkSession
     docs = df.select(F.col(by).alias("k"), F.col(order).alias("o"), F.col(text).alias("t")).where("t is not null")
     joints = F.count(F.lit(1)) - 1
     sizes = docs.groupBy("k").agg((F.sum(F.length("t").cast("long")) + joints).alias("n"), (F.sum(F.octet_length("t").cast("long")) + joints).alias("bytes"))
     sizes = Scratch(spark, "joined").write(sizes, "sizes")
     whole = sizes.agg(F.sum("bytes")).first()[0] or 0
-    share = max(small, whole // spark.sparkContext.defaultParallelism)
+    share = max(least, 3 * whole // (2 * spark.sparkContext.defaultParallelism))
     tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 4 * spark.sparkContext.defaultParallelism)
     parts = sizes.where("bytes > 0").select(F.col("k").alias("of"), F.ceil(F.col("bytes") / share).cast("int").alias("parts"))
     dealt = docs.join(parts, F.col("k").eqNullSafe(F.col("of"))).select("k", "parts", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), "o", "t")
     dealt = dealt.repartition(tasks, "k", "part").sortWithinPartitions("k", "part", "o", "t").select("k", "parts", "part", F.col("t").cast("binary").alias("t"))
     arrow, kind = to_arrow_schema(docs.select("k").schema).field(0).type, f"k {docs.schema['k'].dataType.simpleString()}"
-    found = dealt.mapInArrow(_steps(range_size, small, arrow), f"{kind}, bytes long, block long, steps long, packed binary, wide binary")
+    found = dealt.mapInArrow(_steps(range_size, 4 * least, arrow), f"{kind}, bytes long, block long, steps long, packed binary, wide binary")
     chained = found.repartition(tasks, "k").sortWithinPartitions("k", "block").mapInArrow(_chain(arrow), f"{kind}, z long")
     ends = chained.select(F.col("k").alias("of"), "z")
     out = sizes.join(ends, F.col("k").eqNullSafe(F.col("of")), "left").select(F.col("k").alias(by), "n", F.coalesce("z", F.lit(0).cast("long")).alias("z"))
@@ -51,7 +51,7 @@ def _steps(range_size: int, small: int, kind: pa.DataType):
 
     def work(key, text: external.TextFile) -> Iterator[pa.RecordBatch]:
         k, parts, part = key
-        if text.n and text.n <= small:
+        if text.n and parts == 1 and text.n <= small:
             yield batch([(k, text.n, WHOLE, external.phrase_count(text.view(), range_size), b"", b"")])
         elif text.n:
             view, rows = text.view(), []
